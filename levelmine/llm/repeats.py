@@ -329,10 +329,10 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
     occurrence included), r_sha (SHA-256 of the kept words joined by a space) and, if asked for, r_text (those words).
 
     buckets: tasks of the two hash exchanges, the session's shuffle width unless given. chunks: groups of documents,
-    four times as many unless given; one should hold a few MB to tens of MB of text.
+    twice as many unless given; one should hold a few MB to tens of MB of text.
     """
     width = shuffle_width(docs.sparkSession)
-    buckets, chunks = buckets or width, chunks or 4 * width
+    buckets, chunks = buckets or width, chunks or 2 * width
     names = [f"c{i}" for i in range(len(docs.columns))]
     doc_id, text = docs.columns.index("doc_id"), docs.columns.index("text")
     kinds = [f.dataType for f in docs.schema.fields]
