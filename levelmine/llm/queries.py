@@ -7,10 +7,20 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelmine.llm.bpe import encode_digests
 from levelmine.llm.repeats import difference_cover, remove_repeats, sparse_suffixes
+from levelmine.llm.simhash import near_duplicates
 from levelmine.session import read_table
 
 
+def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op4_bpe_encode_decode(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return encode_digests(read_table(spark, sf_dir, "documents"))
+
+
 def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of 50 words or more that occurs more than once; all but its first occurrence go."""
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -25,7 +35,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op7_suffix_array_dedup, op10_substring_dedup)}
+    return {f.__name__: f for f in (op2_simhash_near_dedup, op4_bpe_encode_decode, op7_suffix_array_dedup, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
