@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelmine.llm import decontaminate, quality, warc
 from levelmine.llm.bpe import encode_digests
 from levelmine.llm.repeats import difference_cover, remove_repeats, sparse_suffixes
 from levelmine.llm.simhash import near_duplicates
@@ -17,6 +18,10 @@ def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contamination(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")).drop("text_key")
+
+
 def op4_bpe_encode_decode(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_digests(read_table(spark, sf_dir, "documents"))
 
@@ -28,6 +33,17 @@ def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.filter("r_repeated > 0").select("doc_id", F.col("r_words").alias("n_words"), F.col("r_repeated").alias("n_repeated"), F.col("r_removed").alias("n_removed"), F.col("r_sha").alias("kept_sha256"))
 
 
+def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = quality.fit(docs, read_table(spark, sf_dir, "labels"))
+    scored = quality.score(docs, model)
+    return scored.select("doc_id", quality.held_out().alias("held_out"), F.col("r_score").alias("score"), F.col("r_predicted").alias("predicted"))
+
+
+def op9_warc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(read_table(spark, sf_dir, "pages"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     out = remove_repeats(docs, difference_cover(20))
@@ -35,8 +51,8 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_simhash_near_dedup, op4_bpe_encode_decode, op7_suffix_array_dedup, op10_substring_dedup)}
+    return {f.__name__: f for f in (op2_simhash_near_dedup, op3_benchmark_decontamination, op4_bpe_encode_decode, op7_suffix_array_dedup, op8_quality_classifier, op9_warc_round_trip, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_benchmark_decontamination": decontaminate.ORACLE}
