@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 
@@ -24,7 +25,9 @@ def scratch_root(spark: SparkSession) -> str:
     (tests, one machine) a folder of this machine serves."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
-        return named.rstrip("/")
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(named)
+        uri = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(path).toString()
+        return re.sub("^file:/+", "file:///", uri).rstrip("/")
     return f"file://{os.path.join(tempfile.gettempdir(), 'levelmine-scratch')}"
 
 
