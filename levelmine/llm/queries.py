@@ -9,11 +9,16 @@ from pyspark.sql import functions as F
 
 from levelmine.llm import decontaminate, quality, warc
 from levelmine.llm.bpe import encode_digests
+from levelmine.llm.crosspolytope import nearest
 from levelmine.llm.repeats import difference_cover, remove_repeats, sparse_suffixes
 from levelmine.llm.simhash import near_duplicates
 from levelmine.session import read_table
 
 
+def op1_cross_polytope_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(read_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -51,7 +56,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_simhash_near_dedup, op3_benchmark_decontamination, op4_bpe_encode_decode, op7_suffix_array_dedup, op8_quality_classifier, op9_warc_round_trip, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_cross_polytope_search, op2_simhash_near_dedup, op3_benchmark_decontamination, op4_bpe_encode_decode, op7_suffix_array_dedup, op8_quality_classifier, op9_warc_round_trip, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
