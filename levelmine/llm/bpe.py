@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 END = "</w>"
 #: Words kept with their tokens, in each Python worker.
-CACHED_WORDS = 250_000
+CACHED_WORDS = 500_000
 
 
 def byte_symbols() -> list[str]:
@@ -62,7 +62,8 @@ class MergeAutomaton:
                 continue
             whole = t.removesuffix(END) if t.endswith(END) and t != END else t
             (final if whole is not t else inner)[whole] = i
-            self.longest[whole[0]] = max(self.longest.get(whole[0], 0), len(whole))
+            for n in (1, 2, 3):  # the longest token that begins with these symbols
+                self.longest[whole[:n]] = max(self.longest.get(whole[:n], 0), len(whole))
         self.inner, self.final = inner, final
 
     def _reachable(self, token: int) -> bool:
@@ -105,7 +106,8 @@ class MergeAutomaton:
         at, limit = 0, n
         while True:
             last = path[-1] if path else -1
-            stop = min(limit, at + longest.get(word[at], 0))
+            most = longest.get(word[at : at + 3]) or (2 if word[at : at + 2] in longest else 1)
+            stop = min(limit, at + most)
             while stop > at:
                 token = final.get(word[at:]) if stop == n else inner.get(word[at:stop])
                 if token is not None and (last < 0 or follows(last, token)) and (stop, token) not in dead:

@@ -13,7 +13,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Rows are cut into blocks of about so many bytes; one longer text is a block of its own.
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 19
 
 _U = np.uint64
 
@@ -43,7 +43,7 @@ class _Powers:
 
     def of(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            size = max(n, 1 << 20)
+            size = max(n, 1 << 19)
             steps = np.full(size, self.base, _U)
             steps[0] = 1
             self.up = np.multiply.accumulate(steps)
