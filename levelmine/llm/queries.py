@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from levelmine.llm import decontaminate, quality, warc
 from levelmine.llm.bpe import encode_digests
 from levelmine.llm.crosspolytope import nearest
+from levelmine.llm.lm import stupid_backoff
 from levelmine.llm.order import training_order
 from levelmine.llm.repeats import difference_cover, remove_repeats, sparse_suffixes
 from levelmine.llm.simhash import near_duplicates
@@ -36,6 +37,10 @@ def op5_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     return training_order(read_table(spark, sf_dir, "documents"))
 
 
+def op6_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return stupid_backoff(read_table(spark, sf_dir, "documents"))
+
+
 def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of 50 words or more that occurs more than once; all but its first occurrence go."""
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -61,7 +66,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_cross_polytope_search, op2_simhash_near_dedup, op3_benchmark_decontamination, op4_bpe_encode_decode, op5_training_order, op7_suffix_array_dedup, op8_quality_classifier, op9_warc_round_trip, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_cross_polytope_search, op2_simhash_near_dedup, op3_benchmark_decontamination, op4_bpe_encode_decode, op5_training_order, op6_stupid_backoff, op7_suffix_array_dedup, op8_quality_classifier, op9_warc_round_trip, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
