@@ -81,13 +81,27 @@ def _covered(spans: Column) -> Column:
     return F.aggregate(spans, none, add, lambda acc: acc["n"])
 
 
-def contamination(docs: DataFrame, items: DataFrame, window: int = WINDOW, broadcast_windows: int = BROADCAST_WINDOWS) -> DataFrame:
-    """doc_id, text_key (hash of the text), n_words, n_hit, n_items, items_sha256, contaminated; one row per row of docs."""
+def _found(docs: DataFrame, items: DataFrame, window: int, broadcast_windows: int) -> tuple[DataFrame, DataFrame]:
+    """The documents' keys and words; keys and verified occurrences."""
     grams = item_windows(items, window)
     small = grams.limit(broadcast_windows + 1).count() <= broadcast_windows
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    keyed = docs.select(F.col("doc_id").alias("k_doc"), F.xxhash64(text).alias("k_text"), words(text).alias("w"))
-    found = matches(keyed, grams, small, window).groupBy("k_doc", "k_text").agg(
+    keyed = docs.select(F.col("doc_id").alias("k_doc"), text_key().alias("k_text"), words(F.col("text")).alias("w"))
+    return keyed, matches(keyed, grams, small, window)
+
+
+def text_key() -> Column:
+    return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
+
+
+def contaminated(docs: DataFrame, items: DataFrame, window: int = WINDOW, broadcast_windows: int = BROADCAST_WINDOWS) -> DataFrame:
+    """(k_doc, k_text): the keys of the documents with a hit."""
+    return _found(docs, items, window, broadcast_windows)[1].select("k_doc", "k_text").distinct()
+
+
+def contamination(docs: DataFrame, items: DataFrame, window: int = WINDOW, broadcast_windows: int = BROADCAST_WINDOWS) -> DataFrame:
+    """doc_id, text_key (hash of the text), n_words, n_hit, n_items, items_sha256, contaminated; one row per row of docs."""
+    keyed, occurrences = _found(docs, items, window, broadcast_windows)
+    found = occurrences.groupBy("k_doc", "k_text").agg(
         F.sort_array(F.collect_set(F.struct("start", "size"))).alias("spans"),
         F.array_distinct(F.flatten(F.collect_set("item_ids"))).alias("ids"),
     )

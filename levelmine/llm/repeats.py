@@ -306,16 +306,19 @@ def _result(table: pa.Table, anchor_bits: pa.Table, window_bits: pa.Table, how:
     n = len(chunk.hashes)
     gone, repeated = _cover(n, win.start[later], how.length), _cover(n, win.start[again], how.length)
     counted = [np.diff(np.concatenate([[0], np.cumsum(x)])[chunk.ptr]) for x in (gone, repeated)]
-    texts, digests, lo = [], [], 0
+    texts, digests, lo, row = [], [], 0, 0
     for _, _, w in chunk.parts:
         m = int(w.ptr[-1])
         body, at = w.joined(~gone[lo : lo + m])
         body, lo = body.tobytes(), lo + m
+        first = row
+        given, of = w.buf.tobytes() if with_text else b"", w.row_bytes.tolist()
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
             piece = body[a:b]
             digests.append(hashlib.sha256(piece).hexdigest())
-            if with_text:
-                texts.append(piece)
+            if with_text:  # a text that loses nothing stays as it is
+                texts.append(piece if counted[0][row] else given[of[row - first] : of[row - first + 1]])
+            row += 1
     doc = pa.array(chunk.doc_of_row)
     out = {"r_words": pa.array(np.diff(chunk.ptr)), "r_removed": pa.array(counted[0]), "r_repeated": pa.array(counted[1]), "r_sha": pa.array(digests, pa.string())}
     if with_text:
@@ -326,7 +329,8 @@ def _result(table: pa.Table, anchor_bits: pa.Table, window_bits: pa.Table, how:
 
 def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, buckets: int | None = None, chunks: int | None = None) -> DataFrame:
     """The columns of docs, then r_words, r_removed, r_repeated (words of windows that occur more than once, the first
-    occurrence included), r_sha (SHA-256 of the kept words joined by a space) and, if asked for, r_text (those words).
+    occurrence included), r_sha (SHA-256 of the kept words joined by a space) and, if asked for, r_text (those words; the text itself where none
+    is removed).
 
     buckets: tasks of the two hash exchanges, the session's shuffle width unless given. chunks: groups of documents,
     twice as many unless given; one should hold a few MB to tens of MB of text.
