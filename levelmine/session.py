@@ -6,6 +6,8 @@ import os
 import re
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -47,3 +49,20 @@ def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+_shipped: set[str] = set()
+
+
+def ship_library(spark: SparkSession) -> None:
+    """Sends this package to the executors, once a session, so that they need no copy of their own."""
+    app = spark.sparkContext.applicationId
+    if app in _shipped:
+        return
+    home = Path(__file__).resolve().parent.parent
+    box = Path(tempfile.mkdtemp()) / "levelmine_library.zip"
+    with zipfile.ZipFile(box, "w", zipfile.ZIP_DEFLATED) as z:
+        for f in [*home.glob("levelmine/**/*.py"), *home.glob("corpus_pipeline.py")]:
+            z.write(f, f.relative_to(home))
+    spark.sparkContext.addPyFile(str(box))
+    _shipped.add(app)
