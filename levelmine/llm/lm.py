@@ -9,7 +9,8 @@ A word scores count(n-gram) / count(its context); where the n-gram is unseen, th
 word its share of all words; an unseen word counts UNSEEN. With leave_out, a document's own occurrences are taken off
 all counts, so that it is scored by the others. Words are as in the text, cut at white space.
 
-N-grams are told apart by 46 bits of hash within a bucket, besides the bucket itself.
+N-grams are told apart by 44 bits of hash within a bucket, besides the bucket itself. Hashes travel as sorted steps,
+byte plane by byte plane under an entropy coder.
 Defined results. Null or wordless text: 0 words, score 0, mean null. Rows that repeat doc_id and text are one document
 of the corpus and are returned as often as given. No rows give no rows.
 """
@@ -29,18 +30,25 @@ from levelmine.llm.repeats import _NULL_ID, _Chunk, _cuts
 from levelmine.session import materialise, shuffle_width
 
 ORDER, ALPHA, UNSEEN = 3, 0.4, 0.5
-_BITS = 46
+_BITS = 44
 _U = np.uint64
 
 
 def _packed(x: np.ndarray, kind: str) -> tuple[bytes, bytes]:
-    """Numbers in few bytes each; those that do not fit stand in a second array."""
+    """Numbers in few bytes each, the planes of their bytes compressed; those that do not fit stand in a second array."""
+    import zstandard
+
     top = np.iinfo(kind).max
-    return np.minimum(x, _U(top)).astype(kind).tobytes(), x[x >= _U(top)].astype("<u8").tobytes()
+    small = np.minimum(x, _U(top)).astype(kind)
+    planes = small.view(np.uint8).reshape(len(small), -1).T
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(planes).tobytes()), x[x >= _U(top)].astype("<u8").tobytes()
 
 
 def _unpacked(small: bytes, large: bytes, kind: str) -> np.ndarray:
-    x = np.frombuffer(small, kind).astype(_U)
+    import zstandard
+
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(small), np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    x = np.ascontiguousarray(planes.T).reshape(-1).view(kind).astype(_U)
     x[x == _U(np.iinfo(kind).max)] = np.frombuffer(large, "<u8")
     return x
 
@@ -58,20 +66,24 @@ class _Grams:
         return _cuts(self.keys >> _U(_BITS))
 
 
-_ASK = "bucket int, chunk int, n int, keys binary, keys_more binary, counts binary, counts_more binary"
-_REPLY = "chunk int, bucket int, n int, counts binary, counts_more binary"
-_ASK_ARROW = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("n", pa.int32()), ("keys", pa.binary()), ("keys_more", pa.binary()), ("counts", pa.binary()), ("counts_more", pa.binary())])
-_REPLY_NAMES = ["chunk", "bucket", "n", "counts", "counts_more"]
+_PART = "array<struct<keys:binary,keys_more:binary,counts:binary,counts_more:binary>>"
+_ASK = f"bucket int, chunk int, n {_PART}"
+_REPLY = "chunk int, bucket int, n array<struct<counts:binary,counts_more:binary>>"
+_ASK_ARROW = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("n", pa.list_(pa.struct([(c, pa.binary()) for c in ("keys", "keys_more", "counts", "counts_more")])))])
+_REPLY_ARROW = pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("n", pa.list_(pa.struct([("counts", pa.binary()), ("counts_more", pa.binary())])))])
+_NONE = {"keys": b"", "keys_more": b"", "counts": b"", "counts_more": b""}
 
 
 def _ask(table: pa.Table, order: int, buckets: int) -> pa.Table:
-    chunk, number, rows = _Chunk(table, None), table["chunk"][0].as_py(), []
+    """One row a bucket; entry n - 1 has the n-grams."""
+    chunk, number, rows = _Chunk(table, None), table["chunk"][0].as_py(), {}
     for n in range(1, order + 1):
         grams = _Grams(chunk, n, buckets)
         for k, a, b in grams.cuts():
             step = np.diff(grams.keys[a:b] & _U((1 << _BITS) - 1), prepend=_U(0))
-            rows.append((k, number, n, *_packed(step, "<u4"), *_packed(grams.count[a:b].astype(_U), "u1")))
-    return pa.table([list(c) for c in zip(*rows, strict=True)] if rows else [[] for _ in _ASK_ARROW], schema=_ASK_ARROW)
+            body = dict(zip(_NONE, (*_packed(step, "<u4"), *_packed(grams.count[a:b].astype(_U), "u1")), strict=True))
+            rows.setdefault(k, [_NONE] * order)[n - 1] = body
+    return pa.table([list(rows), [number] * len(rows), list(rows.values())], schema=_ASK_ARROW)
 
 
 def _totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -79,37 +91,39 @@ def _totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held = [b for b in batches if len(b)]
     if not held:
         return
-    table = pa.Table.from_batches(held)
-    for n in sorted(set(table["n"].to_pylist())):
-        part = table.filter(pa.compute.equal(table["n"], n)).to_pydict()
-        rows = range(len(part["chunk"]))
-        keys = [np.cumsum(_unpacked(part["keys"][i], part["keys_more"][i], "<u4")) | _U(part["bucket"][i]) << _U(_BITS) for i in rows]
+    table = pa.Table.from_batches(held).to_pydict()
+    told = [[{"counts": b"", "counts_more": b""} for _ in row] for row in table["n"]]
+    for n in range(len(table["n"][0])):
+        rows = [i for i, row in enumerate(table["n"]) if row[n]["keys"]]
+        if not rows:
+            continue
+        part = [table["n"][i][n] for i in rows]
+        keys = [np.cumsum(_unpacked(p["keys"], p["keys_more"], "<u4")) | _U(table["bucket"][i]) << _U(_BITS) for i, p in zip(rows, part, strict=True)]
         edge = np.concatenate([[0], np.cumsum([len(k) for k in keys])])
         keys = np.concatenate(keys)
-        count = np.concatenate([_unpacked(part["counts"][i], part["counts_more"][i], "u1") for i in rows]).astype(np.int64)
+        count = np.concatenate([_unpacked(p["counts"], p["counts_more"], "u1") for p in part]).astype(np.int64)
         order = np.argsort(keys)
         keys, count = keys[order], count[order]
         first = np.ones(len(keys), np.bool_)
         first[1:] = keys[1:] != keys[:-1]
         total = np.empty(len(keys), _U)
         total[order] = np.add.reduceat(count, np.flatnonzero(first))[np.cumsum(first) - 1].astype(_U)
-        told = [_packed(total[edge[i] : edge[i + 1]], "u1") for i in rows]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(part["chunk"], pa.int32()), pa.array(part["bucket"], pa.int32()), pa.array([n] * len(rows), pa.int32()), pa.array([t[0] for t in told], pa.binary()), pa.array([t[1] for t in told], pa.binary())], _REPLY_NAMES
-        )
+        for at, i in enumerate(rows):
+            told[i][n] = dict(zip(("counts", "counts_more"), _packed(total[edge[at] : edge[at + 1]], "u1"), strict=True))
+    yield pa.RecordBatch.from_arrays([pa.array(table["chunk"], pa.int32()), pa.array(table["bucket"], pa.int32()), pa.array(told, _REPLY_ARROW.field("n").type)], schema=_REPLY_ARROW)
 
 
 def _counts(chunk: _Chunk, replies: pa.Table, order: int, buckets: int, leave_out: bool) -> list[np.ndarray]:
     """For n = 1..order: each word position's count of the n-gram that starts there (0 where none does)."""
     said = replies.to_pydict()
-    got = {(n, k): (a, b) for n, k, a, b in zip(said["n"], said["bucket"], said["counts"], said["counts_more"], strict=True)}
+    got = dict(zip(said["bucket"], said["n"], strict=True))
     doc = np.repeat(np.arange(len(chunk.ptr) - 1), np.diff(chunk.ptr))
     out = []
     for n in range(1, order + 1):
         grams = _Grams(chunk, n, buckets)
         total = np.zeros(len(grams.keys), np.int64)
         for k, a, b in grams.cuts():
-            total[a:b] = _unpacked(*got[n, k], "u1").astype(np.int64)
+            total[a:b] = _unpacked(got[k][n - 1]["counts"], got[k][n - 1]["counts_more"], "u1").astype(np.int64)
         here = np.zeros(len(chunk.hashes), np.int64)
         here[grams.at] = total[grams.which]
         if leave_out:
