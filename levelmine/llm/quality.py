@@ -76,39 +76,64 @@ class Model:
         return 1 / (1 + np.exp(-(out + self.bias)))
 
 
+def _sample_features(texts: list[str | None], size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct buckets of each text, their shares, and where each text's begin: three flat arrays, freed as a whole."""
+    found, share, edge = [], [], [0]
+    for lo in range(0, len(texts), 200):
+        for _, _, kinds in features(pa.array(texts[lo : lo + 200], pa.large_string())):
+            here, parts = [], []
+            for r in range(len(kinds[0][1]) - 1):
+                bucket, count = np.unique(np.concatenate([b[p[r] : p[r + 1]] for b, p in kinds]), return_counts=True)
+                here.append(bucket.astype(np.int32))
+                parts.append((count / max(1, count.sum())).astype(np.float32))
+                edge.append(edge[-1] + len(bucket))
+            found.append(np.concatenate(here))
+            share.append(np.concatenate(parts))
+    return np.concatenate(found), np.concatenate(share), np.array(edge)
+
+
+def _give_back() -> None:
+    """Returns freed memory of the driver's Python to the system, where the C library can."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
     """Per-document steps over shuffled epochs; bucket vectors step by their own gathered gradients."""
     size = (len(GRAMS) + 1) << BITS
     if not len(texts):
         return Model(np.zeros(size), 0.0)
     rng = np.random.default_rng(seed)
-    docs = []
-    for _, _, kinds in features(pa.array(texts, pa.large_string())):
-        for r in range(len(kinds[0][1]) - 1):
-            bucket, count = np.unique(np.concatenate([b[p[r] : p[r + 1]] for b, p in kinds]), return_counts=True)
-            docs.append((bucket, (count / max(1, count.sum())).astype(np.float32)))
+    found, share, edge = _sample_features(texts, size)
     vectors = rng.normal(0, 0.1, (size, DIM)).astype(np.float32)
     gathered = np.full(size, 1e-8, np.float32)
     top = np.zeros((DIM, 2), np.float32)
     top[:, 0], top[:, 1] = -0.5, 0.5
     top += rng.normal(0, 0.1, top.shape)
     bias = np.log(np.maximum(np.bincount(label, minlength=2), 1) / len(label)).astype(np.float32)
-    epochs = min(60, max(4, -(-steps // len(docs))))
+    n = len(edge) - 1
+    epochs = min(60, max(4, -(-steps // n)))
     for epoch in range(epochs):
         rate = RATE * (1 - epoch / epochs)
-        for k in rng.permutation(len(docs)):
-            bucket, share = docs[k]
+        for k in rng.permutation(n):
+            bucket, part = found[edge[k] : edge[k + 1]], share[edge[k] : edge[k + 1]]
             if not len(bucket):
                 continue
-            mean = share @ vectors[bucket]
+            mean = part @ vectors[bucket]
             logit = mean @ top + bias
             odds = np.exp(logit - logit.max())
             error = odds / odds.sum()
             error[label[k]] -= 1
             back = top @ error
             top -= 0.05 * rate * np.outer(mean, error)
-            gathered[bucket] += share * share * (back @ back) / DIM
-            vectors[bucket] -= (0.2 * rate * share / np.sqrt(gathered[bucket]))[:, None] * back
+            gathered[bucket] += part * part * (back @ back) / DIM
+            vectors[bucket] -= (0.2 * rate * part / np.sqrt(gathered[bucket]))[:, None] * back
     edge = top[:, 1] - top[:, 0]
     return Model((vectors @ edge).astype(np.float64), float(bias[1] - bias[0]))
 
@@ -120,7 +145,10 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> M
     chosen = known.filter(~held_out()).orderBy(order, "doc_id").limit(sample_rows)
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
     got = rows.dropDuplicates(["doc_id"]).select("doc_id", "text", "quality").toArrow().sort_by("doc_id")
-    return train(got["text"].to_pylist(), got["quality"].to_numpy().astype(np.int64))
+    model = train(got["text"].to_pylist(), got["quality"].to_numpy().astype(np.int64))
+    del got
+    _give_back()
+    return model
 
 
 def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
