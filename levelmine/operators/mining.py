@@ -13,6 +13,7 @@ from levelmine.operators.registry import query
 from levelmine.pattern import spectral
 from levelmine.pattern.classify import classify, pattern_counts
 from levelmine.pattern.encode import bits_of, raw_counts
+from levelmine.session import materialise
 from levelmine.sources import ctes
 from levelmine.sources.ctes import sql
 from levelmine.sources.graphs import load, part_copurchase, part_supplier, supplier_coorder, user_coactivity, vector_knn
@@ -132,13 +133,18 @@ def named_motifs(spark, sf_dir):
 @query()
 def engine_agreement(spark, sf_dir):
     """False merges and false splits of each engine against the exact form, over labelled raw forms of four vertices."""
-    from levelmine.measure.stats import partition_agreement
+    from functools import reduce
 
-    raw = raw_counts(loop.embeddings(load(part_copurchase, spark, sf_dir), 4)).select("labels", "bits").limit(3000)
-    found = {e: {(tuple(r["labels"]), r["bits"]): r["code"] for r in classify(raw.orderBy("labels", "bits"), e).collect()} for e in ("exact", "spectral", "verified", "search_tree")}
-    shared = [k for k in found["exact"] if all(k in f for f in found.values())]
-    rows = [(e, *partition_agreement({k: found["exact"][k] for k in shared}, {k: f[k] for k in shared})) for e, f in found.items()]
-    return spark.createDataFrame(rows, "engine string, false_merges int, false_splits int")
+    raw = materialise(raw_counts(loop.embeddings(load(part_copurchase, spark, sf_dir), 4)).select("labels", "bits"), "raw")
+    truth = classify(raw, "exact").withColumnRenamed("code", "truth")
+
+    def wrong(engine):
+        both = classify(raw, engine).join(truth, ["labels", "bits"])
+        merges = both.groupBy("code").agg((F.countDistinct("truth") - 1).alias("n")).agg(F.sum("n").alias("false_merges"))
+        splits = both.groupBy("truth").agg((F.countDistinct("code") - 1).alias("n")).agg(F.sum("n").alias("false_splits"))
+        return merges.join(splits).select(F.lit(engine).alias("engine"), "false_merges", "false_splits")
+
+    return reduce(lambda a, b: a.unionByName(b), map(wrong, ("spectral", "verified", "search_tree")))
 
 
 # motifs
@@ -193,7 +199,7 @@ def match_triangle(spark, sf_dir):
 
 _C3 = "q3 AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst)"
 _C4 = "q4 AS (SELECT a, b, c, w.dst AS d FROM q3 JOIN e w ON w.src = c JOIN e x ON x.src = a AND x.dst = w.dst JOIN e y ON y.src = b AND y.dst = w.dst)"
-_C5 = "q5 AS (SELECT a, b, c, d, w.dst AS f FROM q4 JOIN e w ON w.src = d JOIN e x ON x.src = a AND x.dst = w.dst JOIN e y ON y.src = b AND y.dst = w.dst JOIN e z ON z.src = c AND z.dst = w.dst)"
+_C5 = "q5 AS (SELECT x.a, x.b, x.c, x.d, y.d AS f FROM q4 x JOIN q4 y ON x.a = y.a AND x.b = y.b AND x.c = y.c AND x.d < y.d JOIN e ON src = x.d AND dst = y.d)"
 
 
 @query(sql(SUP, _C3, select="SELECT a || '-' || b || '-' || c AS path FROM q3"))
