@@ -33,8 +33,19 @@ def scratch_root(spark: SparkSession) -> str:
     return f"file://{os.path.join(tempfile.gettempdir(), 'levelmine-scratch')}"
 
 
+_marked: set[str] = set()
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark)}/levelmine/{name}-{uuid.uuid4().hex}"
+    """A new path in this application's scratch folder, which goes when the driver ends."""
+    home = f"{scratch_root(spark)}/levelmine/{spark.sparkContext.applicationId}"
+    if home not in _marked:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(home)
+        system = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        system.mkdirs(path)
+        system.deleteOnExit(path)
+        _marked.add(home)
+    return f"{home}/{name}-{uuid.uuid4().hex}"
 
 
 def drop_path(spark: SparkSession, path: str) -> None:
