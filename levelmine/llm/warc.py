@@ -79,7 +79,7 @@ class WarcWriter(ds.DataSourceWriter):
 
     def write(self, rows: Iterator) -> ds.WriterCommitMessage:
         system, base = _open(self.path)
-        name = f"{base}/part-{uuid.uuid4().hex}.warc.gz"
+        name = f"{base}/_part-{uuid.uuid4().hex}"  # no reader takes it before the commit
         system.create_dir(base, recursive=True)
         some = False
         with system.open_output_stream(name, compression=None) as out:
@@ -92,16 +92,19 @@ class WarcWriter(ds.DataSourceWriter):
         return _Done([name] if some else [])
 
     def commit(self, messages) -> None:
-        """Files of failed or repeated attempts are no part of the archive: they go."""
-        system, base = _open(self.path)
-        system.create_dir(base, recursive=True)
-        good = {f for m in messages if m for f in m.files}
+        """Gives the files of the attempts that count their names; what other attempts have left is never read."""
         from pyarrow import fs
 
+        system, base = _open(self.path)
+        system.create_dir(base, recursive=True)
         if self.overwrite:
             for f in system.get_file_info(fs.FileSelector(base)):
-                if f.is_file and f.path not in good and not any(f.path.endswith(g.rsplit("/", 1)[-1]) for g in good):
+                if f.is_file and f.path.endswith((".warc", ".warc.gz")):
                     system.delete_file(f.path)
+        for m in messages:
+            for f in m.files if m else []:
+                folder, _, file = f.rpartition("/")
+                system.move(f, f"{folder}/{file.removeprefix('_')}.warc.gz")
 
     def abort(self, messages) -> None:
         system, _ = _open(self.path)
