@@ -13,6 +13,7 @@ from levelmine.explore.loop import predicted_rows
 from levelmine.explore.vertex import EFilter, Level
 from levelmine.graph.model import PropertyGraph
 from levelmine.pattern.classify import classify
+from levelmine.plans.planner import plan
 from levelmine.session import materialise
 from levelmine.store.hybrid import Storage
 
@@ -72,9 +73,10 @@ class MiningJob:
     def run(self) -> DataFrame:
         """(pattern, value) of the last round; (n) without a mapper."""
         module = vertex if self.mode == "vertex" else edge
-        level, storage = module.init(self.graph), self.storage or Storage("disk")
+        carry = plan(self.graph, self.k).carry
+        level, storage = module.init(self.graph, carry=carry), self.storage or Storage("disk")
         while level.k < self.k:
-            if self.max_rows is not None and (n := predicted_rows(level, self.efilter)) > self.max_rows:
+            if self.max_rows is not None and level.carried and (n := predicted_rows(level, self.efilter)) > self.max_rows:
                 raise RuntimeError(f"level {level.k + 1} would have {n} rows; max_rows is {self.max_rows}")
             if self.loop == "each" and self.mapper is not None and level.k > 1:
                 level = self._pruned(level)

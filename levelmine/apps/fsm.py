@@ -54,7 +54,7 @@ def fsm(graph: PropertyGraph, n_edges: int, support: int, measure: str = "mni",
             break
         if prune and size < n_edges:
             known, _ = mni.forms(df)
-            forms = known.join(good, "code", "left_semi").select("labels", "bits")
-            df = df.join(forms, ["labels", "bits"], "left_semi")
+            kept = known.join(good, "code", "left_semi").select("labels", "bits", "form")
+            df = mni.formed(df).join(kept, ["labels", "bits", "form"], "left_semi").drop("form")
         level = Level(df, size, level.carried)
     return reduce(DataFrame.unionByName, found)

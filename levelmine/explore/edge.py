@@ -2,7 +2,7 @@
 
 The canonical test is that of vertices on the line graph, which is never built: the edges next to a path are those at
 its endpoints, and a hub's edges are joined by the hub. A level has eids, verts (in order of first appearance), labels,
-bits (of the path's own edges alone), elabels, and ext: edge -> (mask of path positions it touches, ends, label).
+bits (of the path's own edges alone), elabels (bit and label of each edge, by bit), and ext: edge -> (mask of path positions it touches, ends, label).
 """
 
 from __future__ import annotations
@@ -35,7 +35,7 @@ def init(graph: PropertyGraph, carry: bool = True) -> Level:
     """Each edge is an embedding of size 1."""
     lab = graph.vertices.select("id", "label")
     e = graph.edges.join(lab.toDF("src", "ls"), "src").join(lab.toDF("dst", "ld"), "dst")
-    cols = [F.array("eid").alias("eids"), F.array("src", "dst").alias("verts"), F.array("ls", "ld").alias("labels"), F.lit(1).cast("long").alias("bits"), F.array("elabel").alias("elabels")]
+    cols = [F.array("eid").alias("eids"), F.array("src", "dst").alias("verts"), F.array("ls", "ld").alias("labels"), F.lit(1).cast("long").alias("bits"), F.array(F.struct(F.lit(0).alias("b"), F.col("elabel").alias("l"))).alias("elabels")]
     if carry:
         inc = incident(graph)
         e = e.join(inc.toDF("src", "is"), "src").join(inc.toDF("dst", "id_"), "dst")
@@ -68,7 +68,7 @@ def _grown(rows: DataFrame) -> DataFrame:
         F.when(fresh, F.concat("verts", F.array("new"))).otherwise(F.col("verts")).alias("verts"),
         F.when(fresh, F.concat("labels", F.array("lab"))).otherwise(F.col("labels")).alias("labels"),
         F.col("bits").bitwiseOR(bit).alias("bits"),
-        F.concat("elabels", F.array("el")).alias("elabels"),
+        F.array_sort(F.concat("elabels", F.array(F.struct(F.expr("cast(j * (j - 1) / 2 as int) + i").alias("b"), F.col("el").alias("l"))))).alias("elabels"),
         *keep,
     )
 
@@ -80,7 +80,7 @@ def _labelled(graph: PropertyGraph, rows: DataFrame) -> DataFrame:
 
 def expand(graph: PropertyGraph, level: Level, efilter: EFilter = None, last: bool = False, unique: str = "canonical") -> Level:
     """The next level. unique='distinct' grows by every adjacent edge and drops equal edge sets instead of testing."""
-    if unique == "distinct":
+    if unique == "distinct" or not level.carried:
         return _distinct(graph, level, efilter)
     rows = level.df.select("*", F.explode(extensions(level, efilter)).alias("eid", "x"))
     rows = rows.select(*level.df.columns, "eid", F.col("x.s").alias("s"), F.col("x.d").alias("d"), F.col("x.l").alias("el"))

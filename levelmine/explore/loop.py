@@ -33,7 +33,7 @@ def explore(graph: PropertyGraph, k: int, mode: str = "vertex", efilter: EFilter
     """
     how: Plan = plan(graph, k, strategy)
     module = vertex if mode == "vertex" else edge
-    level = module.init(graph, start, carry=how.carry) if mode == "vertex" else module.init(graph)
+    level = module.init(graph, start, carry=how.carry) if mode == "vertex" else module.init(graph, carry=how.carry)
     while True:
         yield level
         if level.k >= k or (until is not None and until(level)):

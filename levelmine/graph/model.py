@@ -53,11 +53,16 @@ class PropertyGraph:
         cut = self.sym.select("u", "v", per.alias("chunk")).groupBy("u", "chunk").agg(F.sort_array(F.collect_list("v")).alias("nbrs"))
         return cut.join(deg, F.col("u") == F.col("id")).select("id", "chunk", "nbrs", "deg")
 
-    def neighbours(self) -> DataFrame:
-        """(id, label, nbrs array<struct<v, l>>): whole lists, for graphs whose degrees fit a row."""
+    @cached_property
+    def _lists(self) -> DataFrame:
         labelled = self.sym.join(self.vertices.select(F.col("id").alias("v"), F.col("label").alias("l")), "v")
         lists = labelled.groupBy("u").agg(F.sort_array(F.collect_list(F.struct("v", "l"))).alias("nbrs"))
-        return lists.join(self.vertices.select(F.col("id").alias("u"), "label"), "u").select(F.col("u").alias("id"), "label", "nbrs")
+        return materialise(lists.join(self.vertices.select(F.col("id").alias("u"), "label"), "u").select(F.col("u").alias("id"), "label", "nbrs"), "neighbours")
+
+    def neighbours(self) -> DataFrame:
+        """(id, label, nbrs array<struct<v, l>>): whole lists, for graphs whose degrees fit a row; written once, as
+        every round of an exploration joins them."""
+        return self._lists
 
     def degrees(self) -> DataFrame:
         return self.sym.groupBy(F.col("u").alias("id")).agg(F.count("*").alias("deg"))

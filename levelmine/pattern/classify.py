@@ -54,14 +54,25 @@ def _ddl(df: DataFrame) -> str:
 
 
 def positions(raw: DataFrame) -> DataFrame:
-    """raw(labels, bits): adds code, place and orbit of each position."""
+    """raw(labels, bits[, elabels]): adds code, place and orbit of each position."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            got = [exact.canonical(tuple(int(x) for x in lab), int(bits)) for lab, bits in zip(b["labels"], b["bits"], strict=True)]
+            edges = b["elabels"] if "elabels" in b else [()] * len(b)
+            got = [exact.canonical(tuple(int(x) for x in lab), int(bits), tuple((int(e["b"]), int(e["l"])) for e in el)) for lab, bits, el in zip(b["labels"], b["bits"], edges, strict=True)]
             b["code"], b["place"], b["orbit"] = [g[0] for g in got], [list(g[1]) for g in got], [list(g[2]) for g in got]
             yield b
 
+    kept = [c for c in raw.columns if c != "elabels"]
+    if "elabels" in raw.columns:  # structs come back as they went only if they are not touched: they are joined by text
+        raw = raw.withColumn("form", F.to_json("elabels"))
+
+        def run_text(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in run(batches):
+                yield b.drop(columns="elabels")
+
+        ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in raw.schema.fields if f.name in kept)
+        return raw.mapInPandas(run_text, f"{ddl}, form string, code string, place array<int>, orbit array<int>")
     return raw.mapInPandas(run, f"{_ddl(raw)}, code string, place array<int>, orbit array<int>")
 
 

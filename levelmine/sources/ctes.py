@@ -69,8 +69,8 @@ m4 AS (SELECT CASE ds WHEN '1122' THEN 'path' WHEN '1113' THEN 'star' WHEN '2222
 """
 SHAPES3 = """
 t3 AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst),
-m3 AS (SELECT 'triangle' AS motif, count(*) AS frequency FROM t3 HAVING count(*) > 0
-       UNION ALL SELECT 'chain', (SELECT count(*) FROM c3) - (SELECT count(*) FROM t3))
+m3 AS (SELECT motif, frequency FROM (SELECT 'triangle' AS motif, count(*) AS frequency FROM t3
+       UNION ALL SELECT 'chain', (SELECT count(*) FROM c3) - (SELECT count(*) FROM t3)) WHERE frequency > 0)
 """
 
 

@@ -15,6 +15,7 @@ from levelmine.explore import vertex
 from levelmine.explore.loop import predicted_rows
 from levelmine.explore.vertex import Level
 from levelmine.graph.model import PropertyGraph
+from levelmine.plans.planner import plan
 from levelmine.session import materialise
 
 #: Bytes of one stored embedding per vertex, for the budget's sake.
@@ -42,9 +43,9 @@ class Storage:
 
 def explore_stored(graph: PropertyGraph, k: int, storage: Storage) -> DataFrame:
     """Level k, its predecessors kept as the storage says; the answer is the same for all kinds."""
-    level = vertex.init(graph)
+    level = vertex.init(graph, carry=plan(graph, k).carry)
     for size in range(2, k + 1):
-        rows = predicted_rows(level)
+        rows = predicted_rows(level) if level.carried else None
         level = vertex.expand(graph, level, last=size == k)
         if size < k:
             level = storage.keep(level, rows)

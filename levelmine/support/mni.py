@@ -14,16 +14,22 @@ from levelmine.pattern.classify import positions
 BROADCAST_FORMS = 100_000
 
 
+def formed(level: DataFrame) -> DataFrame:
+    """The level with form, the text of its edge labels, which together with labels and bits is its raw form."""
+    return level.withColumn("form", F.to_json("elabels"))
+
+
 def forms(level: DataFrame) -> tuple[DataFrame, bool]:
-    """(labels, bits, code, place, orbit) of the level's distinct raw forms; whether they are few enough to broadcast."""
-    raw = level.select("labels", "bits").distinct()
+    """(labels, bits, form, code, place, orbit) of the level's distinct raw forms; whether they are few enough to
+    broadcast."""
+    raw = level.select("labels", "bits", "elabels").distinct()
     few = raw.limit(BROADCAST_FORMS + 1).count() <= BROADCAST_FORMS
     return positions(raw), few
 
 
 def coded(level: DataFrame) -> DataFrame:
     known, few = forms(level)
-    return level.join(F.broadcast(known) if few else known, ["labels", "bits"])
+    return formed(level).join(F.broadcast(known) if few else known, ["labels", "bits", "form"])
 
 
 def images(level: DataFrame) -> DataFrame:
