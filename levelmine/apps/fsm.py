@@ -14,12 +14,12 @@ from levelmine.session import materialise
 from levelmine.support import mni
 
 
-def _supports(level: DataFrame, support: int, measure: str, exact: bool) -> DataFrame:
+def _supports(level: DataFrame, known: mni.Forms, support: int, measure: str, exact: bool) -> DataFrame:
     if measure == "count":
-        return mni.count(level).withColumn("capped", F.lit(False))
+        return mni.count(level, known).withColumn("capped", F.lit(False))
     if measure != "mni":
         raise ValueError("measures: mni, count")
-    return mni.exact(level).withColumn("capped", F.lit(False)) if exact else mni.capped(level, support)
+    return mni.exact(level, known).withColumn("capped", F.lit(False)) if exact else mni.capped(level, support, known)
 
 
 def _reaches(support: int, strict: bool):
@@ -29,8 +29,9 @@ def _reaches(support: int, strict: bool):
 def frequent_edges(graph: PropertyGraph, support: int, strict: bool = False) -> PropertyGraph:
     """The graph without the edges of infrequent one-edge patterns."""
     level = edge.init(graph, carry=False).df
-    good = mni.exact(level).filter(_reaches(support, strict)).select("code")
-    kept = mni.coded(level).join(F.broadcast(good), "code", "left_semi").select(F.col("eids")[0].alias("eid"))
+    known = mni.forms(level)
+    good = mni.exact(level, known).filter(_reaches(support, strict)).select("code")
+    kept = known.joined(level).join(good, "code", "left_semi").select(F.col("eids")[0].alias("eid"))
     return PropertyGraph(graph.vertices, materialise(graph.edges.join(kept, "eid", "left_semi").select("eid", "src", "dst", "elabel"), "frequent"))
 
 
@@ -47,14 +48,14 @@ def fsm(graph: PropertyGraph, n_edges: int, support: int, measure: str = "mni",
         if size > 1:
             level = edge.expand(graph, level, last=size == n_edges)
         df = materialise(level.df, f"fsm{size}")
-        coded = mni.coded(df.drop("ext")).groupBy("code").agg(F.count("*").alias("embeddings"))
-        good = materialise(_supports(df, support, measure, exact).filter(_reaches(support, strict)).join(coded, "code"), f"frequent{size}")
+        known = mni.forms(df)
+        good = _supports(df, known, support, measure, exact).filter(_reaches(support, strict)).join(known.counts(), "code")
+        good = materialise(good, f"frequent{size}")
         found.append(good.select(F.col("code").alias("pattern"), F.lit(size).alias("n_edges"), F.col("mni").cast("long").alias("mni"), "embeddings", "capped"))
-        if good.isEmpty():
+        if size == n_edges or good.isEmpty():
             break
-        if prune and size < n_edges:
-            known, _ = mni.forms(df)
-            kept = known.join(good, "code", "left_semi").select("labels", "bits", "form")
-            df = mni.formed(df).join(kept, ["labels", "bits", "form"], "left_semi").drop("form")
+        if prune:
+            kept = known.rows.join(good, "code", "left_semi").select("labels", "bits", "form")
+            df = mni.formed(df).join(F.broadcast(kept) if known.few else kept, ["labels", "bits", "form"], "left_semi").drop("form")
         level = Level(df, size, level.carried)
     return reduce(DataFrame.unionByName, found)

@@ -3,51 +3,61 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelmine.pattern.classify import positions
+from levelmine.session import materialise
 
 #: Raw forms are broadcast while at most so many; beyond, they are joined by a shuffle.
 BROADCAST_FORMS = 100_000
 
 
+@dataclass
+class Forms:
+    """A level's distinct raw forms: (labels, bits, form, n, code, place, orbit), n embeddings each, written once."""
+
+    rows: DataFrame
+    few: bool
+
+    def joined(self, level: DataFrame) -> DataFrame:
+        return formed(level).join(F.broadcast(self.rows) if self.few else self.rows, ["labels", "bits", "form"])
+
+    def counts(self) -> DataFrame:
+        """(code, embeddings)."""
+        return self.rows.groupBy("code").agg(F.sum("n").cast("long").alias("embeddings"))
+
+
 def formed(level: DataFrame) -> DataFrame:
     """The level with form, the text of its edge labels, which together with labels and bits is its raw form."""
     return level.withColumn("form", F.to_json("elabels"))
 
 
-def forms(level: DataFrame) -> tuple[DataFrame, bool]:
-    """(labels, bits, form, code, place, orbit) of the level's distinct raw forms; whether they are few enough to
-    broadcast."""
-    raw = level.select("labels", "bits", "elabels").distinct()
-    few = raw.limit(BROADCAST_FORMS + 1).count() <= BROADCAST_FORMS
-    return positions(raw), few
-
-
-def coded(level: DataFrame) -> DataFrame:
-    known, few = forms(level)
-    return formed(level).join(F.broadcast(known) if few else known, ["labels", "bits", "form"])
+def forms(level: DataFrame) -> Forms:
+    raw = level.groupBy("labels", "bits", "elabels").agg(F.count("*").alias("n"))
+    rows = materialise(positions(raw), "forms")
+    return Forms(rows, rows.limit(BROADCAST_FORMS + 1).count() <= BROADCAST_FORMS)
 
 
-def images(level: DataFrame) -> DataFrame:
+def images(level: DataFrame, known: Forms | None = None) -> DataFrame:
     """(code, orbit, vertex): a row for each position of each embedding. Positions of one orbit share their images."""
     pair = F.explode(F.arrays_zip(F.col("orbit"), F.col("verts").alias("vertex"))).alias("p")
-    return coded(level).select("code", pair).select("code", F.col("p.orbit").alias("orbit"), F.col("p.vertex").alias("vertex"))
+    return (known or forms(level)).joined(level).select("code", pair).select("code", F.col("p.orbit").alias("orbit"), F.col("p.vertex").alias("vertex"))
 
 
 def _least(counts: DataFrame) -> DataFrame:
     return counts.groupBy("code").agg(F.min("n").alias("mni"))
 
 
-def exact(level: DataFrame) -> DataFrame:
+def exact(level: DataFrame, known: Forms | None = None) -> DataFrame:
     """(code, mni): distinct first, then counted, so that no set is ever held in one row."""
-    return _least(images(level).distinct().groupBy("code", "orbit").agg(F.count("*").alias("n")))
+    return _least(images(level, known).distinct().groupBy("code", "orbit").agg(F.count("*").alias("n")))
 
 
-def capped(level: DataFrame, threshold: int) -> DataFrame:
+def capped(level: DataFrame, threshold: int, known: Forms | None = None) -> DataFrame:
     """(code, mni, capped): counting stops at the threshold. A task passes on at most `threshold` vertices of each
     (pattern, orbit): if one reaches that number the answer is known, else its share is whole."""
 
@@ -63,7 +73,7 @@ def capped(level: DataFrame, threshold: int) -> DataFrame:
                 keep.append(fresh)
             yield b[pd.Series(keep, index=b.index, dtype=bool)]
 
-    few = images(level).mapInPandas(some, "code string, orbit int, vertex long").distinct()
+    few = images(level, known).mapInPandas(some, "code string, orbit int, vertex long").distinct()
     counts = few.groupBy("code", "orbit").agg(F.least(F.count("*"), F.lit(threshold)).alias("n"))
     return _least(counts).withColumn("capped", F.col("mni") >= threshold)
 
@@ -73,6 +83,6 @@ def approximate(level: DataFrame, rsd: float = 0.05) -> DataFrame:
     return _least(images(level).groupBy("code", "orbit").agg(F.approx_count_distinct("vertex", rsd).alias("n")))
 
 
-def count(level: DataFrame) -> DataFrame:
+def count(level: DataFrame, known: Forms | None = None) -> DataFrame:
     """(code, mni): the number of embeddings, which is not anti-monotone; for contrast."""
-    return coded(level).groupBy("code").agg(F.count("*").alias("mni"))
+    return (known or forms(level)).counts().withColumnRenamed("embeddings", "mni")
