@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from levelmine.llm.bpe import CACHED_WORDS, default_path, tokenizer
+from levelmine.llm.bpe import default_path, tokenizer
 from levelmine.llm.kernel import mix
 from levelmine.llm.warc import _open
 from levelmine.session import materialise, scratch_path, shuffle_width
@@ -31,6 +31,8 @@ SEQUENCE = 256
 PER_SHARD = 16_384
 BLOCK = 512
 KEY = 0x5EED
+#: Words kept with their ids, in each Python worker.
+WORDS = 400_000
 END_TOKEN = "<|endoftext|>"
 _NULL_ID = -(1 << 63)
 _U = np.uint64
@@ -67,7 +69,7 @@ class _Ids(dict):
         self.words, self.model = tokenizer(path), Tokenizer.from_file(path).model
 
     def __missing__(self, word: str) -> bytes:
-        if len(self) >= CACHED_WORDS // 2:
+        if len(self) >= WORDS:
             self.clear()
         whole = word
         if not (word.isascii() and word.isprintable()):
@@ -95,7 +97,7 @@ def _blocks(path: str, sequence: int):
         from pyspark import TaskContext
 
         pid, made = TaskContext.get().partitionId(), 0
-        pack, ids = zstandard.ZstdCompressor(level=3), _Ids(path)
+        pack, ids = zstandard.ZstdCompressor(level=1), _Ids(path)
         end = np.array([ids.words.special[END_TOKEN]], "<u2").tobytes()
         held, docs, starts, size = [], [], [], 0  # the stream's bytes, its documents, where they start in it (in tokens)
 
@@ -148,7 +150,7 @@ def _dealt(base: np.ndarray, pids: np.ndarray, total: int, key: int, sequence: i
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        pack, unpack = zstandard.ZstdCompressor(level=3), zstandard.ZstdDecompressor()
+        pack, unpack = zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
         held: list[tuple[np.ndarray, np.ndarray]] = []
 
         def dealt() -> Iterator[pa.RecordBatch]:
