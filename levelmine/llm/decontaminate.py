@@ -43,7 +43,7 @@ def _by_rarest(grams: DataFrame, docs: DataFrame, small: bool) -> DataFrame:
     hint = F.broadcast if small else lambda x: x
     vocabulary = grams.select(F.explode("gram").alias("word")).distinct()
     seen = docs.select(F.explode("w").alias("word")).join(hint(vocabulary), "word", "left_semi").groupBy("word").agg(F.count("*").alias("n"))
-    placed = grams.select("gram", F.posexplode("gram").alias("place", "word")).join(seen, "word", "left")
+    placed = grams.select("gram", F.posexplode("gram").alias("place", "word")).join(hint(seen), "word", "left")
     rank = F.struct(F.coalesce("n", F.lit(0)).alias("n"), "word", "place")
     prefix = placed.groupBy("gram").agg(F.min(rank).alias("r")).filter("r.n > 0")  # a word that no document has: no match
     return prefix.join(grams, "gram").select("gram", "item_ids", F.col("r.word").alias("prefix"), F.col("r.place").alias("place"))
