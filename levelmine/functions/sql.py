@@ -1,4 +1,4 @@
-"""Functions for SQL: canonical_ok, pattern_code, pattern_name, and the table function mine_motifs."""
+"""Functions for SQL: canonical_ok, pattern_code, pattern_name, and the table functions mine_motifs and decode_level."""
 
 from __future__ import annotations
 
@@ -72,7 +72,19 @@ class MineMotifs:
             yield name_of(code) or code, n
 
 
+class DecodeLevel:
+    """TABLE(path) -> (place, vert): the vertices of each embedding one by one."""
+
+    @staticmethod
+    def analyze(level: AnalyzeArgument) -> AnalyzeResult:
+        return AnalyzeResult(T.StructType([T.StructField("place", T.IntegerType()), T.StructField("vert", T.LongType())]))
+
+    def eval(self, row):
+        yield from enumerate(row["path"])
+
+
 def register(spark: SparkSession) -> None:
     for name, f in (("canonical_ok", canonical_ok), ("pattern_code", pattern_code), ("pattern_name", pattern_name)):
         spark.udf.register(name, f)
     spark.udtf.register("mine_motifs", F.udtf(MineMotifs))
+    spark.udtf.register("decode_level", F.udtf(DecodeLevel))

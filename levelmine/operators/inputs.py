@@ -37,14 +37,17 @@ def edges_adjacency_lines(spark, sf_dir):
     return _round_trip(spark, sf_dir, lambda df, p: line(df).write.text(p), lambda p: edge_source.read_adjacency_lines(spark, p))
 
 
-@query(sql(COP, select=_EDGES))
-def edge_source_roundtrip(spark, sf_dir):
+def _by_source(spark, sf_dir):
     """The edge-list data source, each file in three byte ranges."""
     edge_source.register(spark)
     write = lambda df, p: df.select(F.concat_ws(" ", df.src.cast("string"), df.dst.cast("string")).alias("value")).write.text(p)
     return _round_trip(spark, sf_dir, write, lambda p: spark.read.format("edgelist").option("splits", "3").load(p).select("src", "dst"))
 
 
+_by_source.__name__ = "edge_source"
+query(sql(COP, select=_EDGES))(_by_source)
+
+
 @query(_SETS3)
 def embeddings_json_roundtrip(spark, sf_dir):
     path = scratch_path(spark, "embeddings")

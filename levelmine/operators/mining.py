@@ -310,6 +310,25 @@ def fsm_edges_3(spark, sf_dir):
     return _fsm(spark, sf_dir, 3)
 
 
+@query()
+def fsm_edges_4(spark, sf_dir):
+    return _fsm(spark, sf_dir, 4)
+
+
+BRAND = COP.replace("p_type", "p_brand")
+
+
+@query(sql(BRAND, ctes.SYM, _E1, _E2, select="SELECT CAST(1 AS INTEGER) AS n_edges, mni FROM s1 WHERE mni >= 3 UNION ALL SELECT 2, mni FROM s2 WHERE mni >= 3"))
+def fsm_many_labels(spark, sf_dir):
+    """The same graph with more labels: more patterns, each with less support."""
+    return fsm.fsm(load(part_copurchase, spark, sf_dir, label="p_brand"), 2, 3).select("n_edges", "mni")
+
+
+@query(sql(KNN, ctes.SYM, _E1, _E2, select="SELECT CAST(1 AS INTEGER) AS n_edges, mni FROM s1 WHERE mni >= 10 UNION ALL SELECT 2, mni FROM s2 WHERE mni >= 10"))
+def fsm_knn(spark, sf_dir):
+    return fsm.fsm(load(vector_knn, spark, sf_dir), 2, 10).select("n_edges", "mni")
+
+
 @query(sql(COP, ctes.SYM, _E1, _E2, select=f"SELECT n_edges, count(*) AS patterns FROM (SELECT CAST(1 AS INTEGER) AS n_edges, mni FROM s1 UNION ALL SELECT 2, mni FROM s2) WHERE mni >= {_S} GROUP BY 1"))
 def fsm_capped(spark, sf_dir):
     """Counting stops at the support; the set of patterns is that of the exact counts."""

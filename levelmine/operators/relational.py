@@ -339,6 +339,11 @@ def fn_string(spark, sf_dir):
     return read_table(spark, sf_dir, "part").select(c("p_partkey").alias("id"), F.upper("p_brand").alias("u"), F.lower(F.trim("p_type")).alias("l"), F.lpad(c("p_size").cast("string"), 4, "0").alias("padded"), F.substring("p_name", 1, 5).alias("head"), F.regexp_extract("p_brand", "([0-9]+)", 1).alias("digits"))
 
 
+@query("SELECT page_id, regexp_extract(url, '^https?://([^/?#]+)', 1) AS host, nullif(regexp_extract(url, '[?&]page=([^&#]*)', 1), '') AS page FROM pages")
+def fn_url(spark, sf_dir):
+    return read_table(spark, sf_dir, "pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.parse_url("url", F.lit("QUERY"), F.lit("page")).alias("page"))
+
+
 @query("SELECT event_id, CAST(date_trunc('hour', ts) AS VARCHAR) AS hour, epoch_us(ts) AS us, CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INTEGER) AS days FROM events")
 def fn_date(spark, sf_dir):
     ts = F.col("ts").cast("timestamp")
@@ -356,6 +361,16 @@ def fn_cond(spark, sf_dir):
     return read_table(spark, sf_dir, "events").select("event_id", F.when(v > 10, "high").when(v > 5, "middle").otherwise("low").alias("level"), F.coalesce(F.nullif(F.col("event_type"), F.lit("view")), F.lit("none")).alias("kind"))
 
 
+@query(sql(COP, select="SELECT CAST(src AS BIGINT) AS vert, CAST(0 AS INTEGER) AS place, count(*) AS n FROM e GROUP BY 1 UNION ALL SELECT CAST(dst AS BIGINT), 1, count(*) FROM e GROUP BY 1"))
+def table_functions(spark, sf_dir):
+    """A level read through a table function: the vertices at each place."""
+    from levelmine.functions.sql import register
+
+    register(spark)
+    _views(spark, sf_dir)
+    return spark.sql("SELECT vert, place, count(*) AS n FROM decode_level(TABLE(SELECT array(src, dst) AS path FROM edges)) GROUP BY vert, place")
+
+
 @query(sql(COP, select="SELECT src || '-' || dst AS path FROM e"))
 def sql_functions(spark, sf_dir):
     """The functions registered for SQL: a level as a table function, a pattern's code and name."""
