@@ -97,7 +97,7 @@ def _blocks(path: str, sequence: int):
         from pyspark import TaskContext
 
         pid, made = TaskContext.get().partitionId(), 0
-        pack, ids = zstandard.ZstdCompressor(level=1), _Ids(path)
+        pack, ids = zstandard.ZstdCompressor(level=3), _Ids(path)
         end = np.array([ids.words.special[END_TOKEN]], "<u2").tobytes()
         held, docs, starts, size = [], [], [], 0  # the stream's bytes, its documents, where they start in it (in tokens)
 
@@ -150,7 +150,7 @@ def _dealt(base: np.ndarray, pids: np.ndarray, total: int, key: int, sequence: i
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        pack, unpack = zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
+        pack, unpack = zstandard.ZstdCompressor(level=2), zstandard.ZstdDecompressor()
         held: list[tuple[np.ndarray, np.ndarray]] = []
 
         def dealt() -> Iterator[pa.RecordBatch]:
