@@ -1,4 +1,5 @@
-"""Quality classifier: hashed word and character n-gram vectors, averaged per document, under a softmax.
+"""Quality classifier: hashed word and character n-gram vectors, averaged per document, under a softmax. Words that
+return at once or after a few words add a token for that, as a vector of each repeated word alone would not generalise.
 
 Training runs in numpy on the driver on a sample of labelled documents whose size is bounded by SAMPLE_ROWS; everything
 else reads all rows. As the layers are linear, a trained model folds into one number per hash bucket, so scoring looks
@@ -21,10 +22,13 @@ from levelmine.llm.kernel import NON_SPACE, word_blocks
 
 #: Documents of the training sample at most; the sample is those with the least hash of their id.
 SAMPLE_ROWS = 4000
-BITS, DIM, RATE, SEED = 18, 8, 0.5, 11
+BITS, DIM, RATE, SEED = 18, 8, 8.0, 11
 #: Steps of training in all; the number of epochs follows from it.
 STEPS = 24_000
 GRAMS = (3, 5)
+#: Words that return within so many words have a token of their own.
+RETURN_MOST = 4
+_TABLE = (len(GRAMS) + 1 << BITS) + RETURN_MOST + 1
 HELD_OUT_FOLDS = 5
 THRESHOLD = 0.3
 _U = np.uint64
@@ -34,10 +38,21 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % HELD_OUT_FOLDS == 0, F.lit(False))
 
 
+def _returns(hashes: np.ndarray, ptr: np.ndarray) -> np.ndarray:
+    """A token for each word: how many words ago it was said before, up to RETURN_MOST; none."""
+    place = np.arange(len(hashes)) - np.repeat(ptr[:-1], np.diff(ptr))
+    ago = np.zeros(len(hashes), np.int64)
+    for d in range(RETURN_MOST, 0, -1):
+        same = np.flatnonzero((hashes[d:] == hashes[:-d]) & (place[d:] >= d)) + d
+        ago[same] = d
+    return ago + (len(GRAMS) + 1 << BITS)
+
+
 def features(column: pa.Array) -> Iterator[tuple[int, int, list[tuple[np.ndarray, np.ndarray]]]]:
-    """For each block of rows: from, to, and (buckets, row offsets) of words and of each n-gram length."""
+    """For each block of rows: from, to, and (buckets, row offsets) of words, of their returns and of each n-gram length."""
     for lo, hi, words in word_blocks(column, NON_SPACE):
-        out = [((words.hashes() >> _U(64 - BITS)).astype(np.int64), words.ptr)]
+        hashes = words.hashes()
+        out = [((hashes >> _U(64 - BITS)).astype(np.int64), words.ptr), (_returns(hashes, words.ptr), words.ptr)]
         n = len(words.buf)
         pad = np.concatenate([words.buf, np.zeros(8, np.uint8)])
         wide = np.ndarray(n, "<u8", pad, strides=(1,)) if n else np.zeros(0, _U)
@@ -106,7 +121,7 @@ def _give_back() -> None:
 
 def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
     """Per-document steps over shuffled epochs; bucket vectors step by their own gathered gradients."""
-    size = (len(GRAMS) + 1) << BITS
+    size = _TABLE
     if not len(texts):
         return Model(np.zeros(size), 0.0)
     rng = np.random.default_rng(seed)

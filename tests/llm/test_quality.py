@@ -59,7 +59,7 @@ def test_features_count_words_and_grams_of_each_row():
     for _, _, kinds in quality.features(pa.array(texts)):
         sizes = [np.diff(p).tolist() for _, p in kinds]
     bytes_ = [len((t or "").encode()) for t in texts]
-    assert sizes == [[2, 0, 1, 1, 0, 1], [max(0, n - 2) for n in bytes_], [max(0, n - 4) for n in bytes_]]
+    assert sizes == [[2, 0, 1, 1, 0, 1]] * 2 + [[max(0, n - 2) for n in bytes_], [max(0, n - 4) for n in bytes_]]
 
 
 def test_score_is_the_mean_of_its_features():
@@ -69,3 +69,10 @@ def test_score_is_the_mean_of_its_features():
         used = np.concatenate([b for b, _ in kinds])
     want = 1 / (1 + np.exp(-(model.weight[used].mean() + model.bias)))
     assert np.isclose(model.scores(pa.array([text]))[0], want)
+
+
+def test_returning_words_have_tokens():
+    for _, _, kinds in quality.features(pa.array(["a a b a", "a", "b c d e b"])):
+        bucket, ptr = kinds[1]
+    base = quality._TABLE - quality.RETURN_MOST - 1
+    assert (bucket - base).tolist() == [0, 1, 0, 2, 0, 0, 0, 0, 0, 4] and ptr.tolist() == [0, 4, 5, 10]
