@@ -11,7 +11,7 @@ from levelmine.explore import edge, loop
 from levelmine.operators.exploration import COP, _text, _WEDGES
 from levelmine.operators.registry import query
 from levelmine.pattern import spectral
-from levelmine.pattern.classify import classify, pattern_counts
+from levelmine.pattern.classify import classify, counts_by_embedding, pattern_counts
 from levelmine.pattern.encode import bits_of, raw_counts
 from levelmine.session import materialise
 from levelmine.sources import ctes
@@ -413,6 +413,21 @@ def baseline_search_tree_4(spark, sf_dir):
     return _classes(spark, sf_dir, 4, "search_tree")
 
 
+_EACH = sql(COP, ctes.SYM, ctes.SETS3, ctes.SETS4, ctes.SHAPES4, select=_F4)
+
+
+@query(_EACH)
+def baseline_search_tree_each(spark, sf_dir):
+    """Every embedding labelled by the search tree."""
+    return counts_by_embedding(loop.embeddings(load(part_copurchase, spark, sf_dir), 4), False, "search_tree").select("frequency")
+
+
+@query(_EACH)
+def spectral_each(spark, sf_dir):
+    """Every embedding keyed by its spectrum."""
+    return counts_by_embedding(loop.embeddings(load(part_copurchase, spark, sf_dir), 4), False, "spectral").select("frequency")
+
+
 @query(sql(KNN, ctes.SYM, ctes.SETS3, select="SELECT array_to_string(w, '-') AS verts FROM c3"))
 def brute_3(spark, sf_dir):
     return brute.subsets(load(vector_knn, spark, sf_dir), 3).select(_text("verts"))

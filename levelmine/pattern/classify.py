@@ -79,3 +79,11 @@ def positions(raw: DataFrame) -> DataFrame:
 def pattern_counts(level: DataFrame, labelled: bool = True, engine: str = "verified") -> DataFrame:
     """(code, frequency): raw forms are counted first, the distinct ones classified, and their counts added up."""
     return classify(raw_counts(level, labelled), engine).groupBy("code").agg(F.sum("n").cast("long").alias("frequency"))
+
+
+def counts_by_embedding(level: DataFrame, labelled: bool = True, engine: str = "spectral") -> DataFrame:
+    """(code, frequency) with every single embedding classified: what the two-level counting saves, for comparison."""
+    rows = level.select("labels", "bits")
+    if not labelled:
+        rows = rows.withColumn("labels", F.array_repeat(F.lit(1), F.size("labels")))
+    return classify(rows, engine).groupBy("code").agg(F.count("*").alias("frequency"))
