@@ -36,6 +36,7 @@ WORDS = 400_000
 END_TOKEN = "<|endoftext|>"
 _NULL_ID = -(1 << 63)
 _U = np.uint64
+_TWO_BYTES = [i.to_bytes(2, "little") for i in range(1 << 16)]
 
 
 def record_type(sequence: int = SEQUENCE) -> np.dtype:
@@ -74,7 +75,7 @@ class _Ids(dict):
         whole = word
         if not (word.isascii() and word.isprintable()):
             whole = word.encode("utf-8", "replace").decode("latin-1").translate(self.words.symbols)
-        out = self[word] = np.array([t.id for t in self.model.tokenize(whole)], "<u2").tobytes()
+        out = self[word] = b"".join([_TWO_BYTES[t.id] for t in self.model.tokenize(whole)])
         return out
 
     def of(self, text: str | None) -> bytes:
