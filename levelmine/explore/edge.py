@@ -44,8 +44,9 @@ def init(graph: PropertyGraph, carry: bool = True) -> Level:
     return Level(e.select(*cols), 1, carry)
 
 
-def extensions(level: Level, efilter: EFilter = None) -> Column:
-    path, above = F.col("eids"), suffix_max(F.col("eids"), level.k)
+def extensions(level: Level, efilter: EFilter = None, above: Column | None = None) -> Column:
+    path = F.col("eids")
+    above = suffix_max(path, level.k) if above is None else above
     return F.map_filter("ext", lambda v, x: may_follow(path, above, v, x["m"].cast("long")) & _allowed(efilter, path, v))
 
 
@@ -82,7 +83,8 @@ def expand(graph: PropertyGraph, level: Level, efilter: EFilter = None, last: bo
     """The next level. unique='distinct' grows by every adjacent edge and drops equal edge sets instead of testing."""
     if unique == "distinct" or not level.carried:
         return _distinct(graph, level, efilter)
-    rows = level.df.select("*", F.explode(extensions(level, efilter)).alias("eid", "x"))
+    rows = level.df.withColumn("above", suffix_max(F.col("eids"), level.k))
+    rows = rows.select(*level.df.columns, F.explode(extensions(level, efilter, F.col("above"))).alias("eid", "x"))
     rows = rows.select(*level.df.columns, "eid", F.col("x.s").alias("s"), F.col("x.d").alias("d"), F.col("x.l").alias("el"))
     rows = _labelled(graph, rows.drop("ext") if last else rows)
     if last:

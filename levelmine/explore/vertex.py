@@ -74,9 +74,10 @@ def _allowed(efilter: EFilter, path: Column, v: Column) -> Column:
     return efilter(path, v) if callable(efilter) and not isinstance(efilter, Column) else efilter
 
 
-def extensions(level: Level, efilter: EFilter = None) -> Column:
-    """The entries of ext that grow a canonical child."""
-    path, above = F.col("path"), suffix_max(F.col("path"), level.k)
+def extensions(level: Level, efilter: EFilter = None, above: Column | None = None) -> Column:
+    """The entries of ext that grow a canonical child. above: a column with the suffix maxima, else worked out in place."""
+    path = F.col("path")
+    above = suffix_max(path, level.k) if above is None else above
     return F.map_filter("ext", lambda v, x: may_follow(path, above, v, x.bitwiseAND(_MASK)) & _allowed(efilter, path, v))
 
 
@@ -95,7 +96,9 @@ def expand(graph: PropertyGraph, level: Level, efilter: EFilter = None, last: bo
         raise ValueError(f"embeddings have at most {K_MAX} vertices")
     if strategy == "rejoin" or not level.carried:
         return _rejoined(graph, level, efilter)
-    rows = level.df.select("path", "labels", "bits", "ext", F.explode(extensions(level, efilter)).alias("v", "x"))
+    # a column of its own, so that it is worked out once a row and not once a candidate
+    rows = level.df.withColumn("above", suffix_max(F.col("path"), level.k))
+    rows = rows.select("path", "labels", "bits", "ext", F.explode(extensions(level, efilter, F.col("above"))).alias("v", "x"))
     grown = _grown(level, F.col("v"), F.col("x"))
     if last:
         return Level(rows.select(*grown), level.k + 1)
