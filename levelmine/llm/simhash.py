@@ -15,6 +15,7 @@ returned, but names a component only if no other id does. Repeated rows are retu
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -129,10 +130,22 @@ def _linked(radius: int):
     return run
 
 
-def links(distinct: DataFrame, radius: int = 2, shard: int = SHARD) -> DataFrame:
-    """fp (distinct longs) -> (a, b): edges that span every component of fingerprints within radius bits."""
-    cuts = [64 * i // (radius + 1) for i in range(radius + 2)]
-    values = [F.shiftrightunsigned("fp", lo).bitwiseAND((1 << (hi - lo)) - 1) for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)]
+def links(distinct: DataFrame, radius: int = 2, shard: int = SHARD, blocks: int | None = None) -> DataFrame:
+    """fp (distinct longs) -> (a, b): edges that span every component of fingerprints within radius bits.
+
+    blocks: into so many the bits are cut, radius + 1 unless given. Fingerprints within the radius agree in all but
+    `radius` of them, so every choice of the others is a key. More blocks mean longer keys and smaller shards, but more
+    keys: for radius 2, three blocks give 3 keys of 21 bits, four give 6 of 32 bits, for more than some 10**8 fingerprints.
+    """
+    blocks = blocks or radius + 1
+    cuts = [64 * i // blocks for i in range(blocks + 1)]
+    values = []
+    for chosen in combinations(range(blocks), blocks - radius):
+        key = F.lit(0).cast("long")
+        for i in chosen:
+            width = cuts[i + 1] - cuts[i]
+            key = F.shiftleft(key, width).bitwiseOR(F.shiftrightunsigned("fp", cuts[i]).bitwiseAND((1 << width) - 1))
+        values.append(key)
     keyed = distinct.select("fp", F.posexplode(F.array(*values)).alias("block", "value"))
     many = keyed.groupBy("block", "value").agg(F.count("*").alias("n")).filter("n > 1").select("block", "value", F.ceil(F.col("n") / shard).cast("int").alias("pieces"))
     own = F.pmod(F.xxhash64("fp"), F.col("pieces")).cast("int")

@@ -3,6 +3,7 @@ from __future__ import annotations
 import random
 
 import numpy as np
+import pytest
 import xxhash
 
 from levelmine.llm.components import components
@@ -69,7 +70,8 @@ def test_tree_search_finds_all_and_only_links():
         assert set(zip(q.tolist(), n.tolist(), strict=True)) == want
 
 
-def test_hot_shards_are_cut_without_losing_links(spark):
+@pytest.mark.parametrize("blocks", [None, 4, 5])
+def test_hot_shards_are_cut_without_losing_links(spark, blocks):
     rng = random.Random(5)
     base = rng.getrandbits(64)
     fps = {base}
@@ -80,7 +82,7 @@ def test_hot_shards_are_cut_without_losing_links(spark):
     signed = lambda x: x - (x >> 63 << 64)
     df = spark.createDataFrame([(signed(x),) for x in fps], "fp long")
     union = Union()
-    for a, b in links(df, 2, shard=16).collect():
+    for a, b in links(df, 2, shard=16, blocks=blocks).collect():
         assert (a ^ b) != 0
         union.join(a, b)
     want = Union()
