@@ -30,9 +30,8 @@ SHARD = 1024
 _U = np.uint64
 
 
-def fingerprints(column: pa.Array, shingle: int = 3) -> np.ndarray:
-    """The 64-bit fingerprint of each text."""
-    out = np.zeros(len(column), _U)
+def shingles(column: pa.Array, shingle: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first row, edges, hashes) of blocks of texts: row i's shingles are hashes[edges[i] : edges[i + 1]]."""
     for lo, hi, words in word_blocks(column, lower=True):
         body, at = words.joined()
         words = Words(body, at, NON_SPACE)
@@ -42,9 +41,15 @@ def fingerprints(column: pa.Array, shingle: int = 3) -> np.ndarray:
         row = np.repeat(np.arange(hi - lo), grams)
         first = np.arange(edge[-1]) - edge[row] + words.ptr[row]
         last = np.minimum(first + shingle, words.ptr[row + 1]) - 1
-        hashes = xxh64(body, words.start[first], words.end[last]) if len(first) else np.zeros(0, _U)
+        yield lo, edge, xxh64(body, words.start[first], words.end[last]) if len(first) else np.zeros(0, _U)
+
+
+def fingerprints(column: pa.Array, shingle: int = 3) -> np.ndarray:
+    """The 64-bit fingerprint of each text."""
+    out = np.zeros(len(column), _U)
+    for lo, edge, hashes in shingles(column, shingle):
         octets = hashes.view(np.uint8).reshape(-1, 8)
-        for i in np.flatnonzero(grams).tolist():
+        for i in np.flatnonzero(np.diff(edge)).tolist():
             a, b = edge[i], edge[i + 1]
             ones = np.unpackbits(octets[a:b], axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
             out[lo + i] = np.packbits(ones * 2 > b - a, bitorder="little").view(_U)[0]
