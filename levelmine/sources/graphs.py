@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from levelmine.graph.model import PropertyGraph
-from levelmine.session import read_table
+from levelmine.session import materialise, read_table
 
 SHIFT = 1 << 40
 
@@ -149,14 +149,22 @@ def page_links(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph.from_pairs(pairs, labels)
 
 
-def document_overlap(spark: SparkSession, sf_dir: str, shared: int = 3, most: int = 50) -> PropertyGraph:
-    """Documents that share so many 8-word shingles; shingles of more than `most` documents link nobody."""
+def document_overlap(spark: SparkSession, sf_dir: str, shared: int = 3, most: int | None = None) -> PropertyGraph:
+    """Documents that share so many 8-word shingles. With `most`, shingles of more documents than that link nobody.
+
+    Documents of equal shingle sets are joined as one and take their copies' edges afterwards."""
     docs = read_table(spark, sf_dir, "documents")
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
     grams = docs.select("doc_id", words.alias("w")).filter(F.size("w") >= 8).select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 8), " ")))).alias("g")).distinct()
-    few = grams.groupBy("g").agg(F.count("*").alias("n")).filter(F.col("n").between(2, most)).select("g")
-    labels = coded(docs, "doc_id", "lang")
-    return PropertyGraph.from_pairs(paired(grams.join(few, "g"), "g", "doc_id", shared), labels, isolated=True)
+    held = grams.groupBy("g").agg(F.count("*").alias("n")).filter(F.col("n") >= 2 if most is None else F.col("n").between(2, most)).select("g")
+    grams = materialise(grams.join(held, "g"), "shingles")
+    sets = grams.groupBy("doc_id").agg(F.count("*").alias("n"), F.xxhash64(F.sort_array(F.collect_list("g"))).alias("h"))
+    sets = materialise(sets.withColumn("first", F.min("doc_id").over(Window.partitionBy("h", "n"))).select("doc_id", "first", "n"), "copies")
+    links = paired(grams.join(sets.filter("doc_id = first").select("doc_id"), "doc_id"), "g", "doc_id", shared).select("src", "dst")
+    a, b = sets.select(F.col("doc_id").alias("x"), F.col("first").alias("src")), sets.select(F.col("doc_id").alias("y"), F.col("first").alias("dst"))
+    within = a.join(sets.filter(F.col("n") >= shared).select(F.col("doc_id").alias("y"), F.col("first").alias("src")), "src").filter("x < y")
+    pairs = links.join(a, "src").join(b, "dst").select("x", "y").unionByName(within.select("x", "y")).toDF("src", "dst")
+    return PropertyGraph.from_pairs(pairs, coded(docs, "doc_id", "lang"), isolated=True)
 
 
 def turn_chain(spark: SparkSession, sf_dir: str) -> PropertyGraph:
