@@ -1,16 +1,21 @@
-"""BPE encoding and decoding by a deterministic automaton over tokens.
-
-Compilation. A state is the token read last. Each merge (x, y) of rank r is a gadget put on top of the automaton of the
-merges before it: after a token that still ends in x when the merge's turn comes, an arc that still begins with y is
-taken away, for the two would have been joined. What a token ends in at rank r is read off its right spine, what it
-begins with off its left spine: a part is there until the merge that swallows it. Of two joins of one rank the left one
-comes first, so on the right side a part still counts at the very rank that swallows it. Arcs are entered in the
-transition table when a state first meets a token. Of all ways to cut a word into tokens, the automaton accepts one.
-
-Encoding follows the table, longest arc first, and turns back where no arc fits. Decoding emits the arcs' labels.
+"""BPE encoding and decoding by a deterministic automaton over tokens, compiled from the merges.
+
+Compilation. A state is the token read last; at first every state has an arc for every token. Each merge (x, y) of rank r
+adds a gadget: it takes the arcs that begin with y from the states that end in x, for the two would have been joined. What
+a token ends in at rank r is read off its right spine, what it begins with off its left spine: a part is there until the
+merge that swallows it. Of two joins of one rank the left one comes first, so on the right side a part still counts at
+the very rank that swallows it. If tokens are numbered so that a part comes right after the tokens it ends up in, in the
+order of the merges that swallow it, the states of a gadget are one run of numbers, and so are its arcs. A state's row of
+the transition table is therefore a short list of runs of arcs that are gone, and many states share a row. The automaton
+accepts exactly one way to cut a word into tokens, and the same holds for each beginning of a word.
+
+Encoding. Reading a word symbol by symbol, each place is reached by exactly one arc from one earlier place: that of the
+longest token that ends there and that the table lets follow. So the states are entered from left to right without search,
+and the word's tokens are read off backwards from its end. Decoding emits the arcs' labels.
 The text is pre-split as the tokenizer's file says; its special tokens are taken from the raw text first.
 
-Defined results: null and empty texts have no tokens. Long texts are encoded whole.
+The table is compiled once, by the driver, and broadcast: its size is that of the vocabulary, whatever the input.
+Defined results: null and empty texts have no tokens. Long texts are encoded whole, in one task.
 """
 
 from __future__ import annotations
@@ -19,15 +24,19 @@ import functools
 import hashlib
 import json
 import re
+from array import array
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import Broadcast
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 END = "</w>"
 #: Words kept with their tokens, in each Python worker.
-CACHED_WORDS = 500_000
+CACHED_WORDS = 200_000
 
 
 def byte_symbols() -> list[str]:
@@ -42,35 +51,20 @@ def byte_symbols() -> list[str]:
     return out
 
 
-class MergeAutomaton:
+class _Spines:
+    """Each token's halves, the rank of its merge, and what the halves' merges do to what stands side by side."""
+
     def __init__(self, vocabulary: dict[str, int], merges: list[tuple[str, str]]):
-        self.ids, self.labels = vocabulary, {i: t for t, i in vocabulary.items()}
-        size = max(self.labels) + 1
-        self.left, self.right, self.rank, self.join = [-1] * size, [-1] * size, [-1] * size, {}
+        size = max(vocabulary.values()) + 1
+        self.left, self.right, self.rank = [-1] * size, [-1] * size, [-1] * size
+        self.join: dict[tuple[int, int], int] = {}
         for r, (x, y) in enumerate(merges):
             a, b, c = vocabulary[x], vocabulary[y], vocabulary[x + y]
             self.join.setdefault((a, b), r)
             if self.rank[c] < 0:
                 self.left[c], self.right[c], self.rank[c] = a, b, r
-        self.table: dict[int, bool] = {}
-        self.width = size
-        inner: dict[str, int] = {}
-        final: dict[str, int] = {}
-        self.longest: dict[str, int] = {}
-        for t, i in sorted(vocabulary.items(), key=lambda x: self.rank[x[1]]):
-            if self.rank[i] >= 0 and not self._reachable(i):
-                continue
-            whole = t.removesuffix(END) if t.endswith(END) and t != END else t
-            (final if whole is not t else inner)[whole] = i
-            for n in (1, 2, 3):  # the longest token that begins with these symbols
-                self.longest[whole[:n]] = max(self.longest.get(whole[:n], 0), len(whole))
-        self.inner, self.final = inner, final
-
-    def _reachable(self, token: int) -> bool:
-        """Whether the merges make this token of its own text: its halves may stand side by side till its turn."""
-        return not self._joined_before(self.left[token], self.right[token], self.rank[token])
 
-    def _joined_before(self, u: int, v: int, most: int) -> bool:
+    def joined_before(self, u: int, v: int, most: int) -> bool:
         """Whether a merge of rank below `most` joins some end of u with some beginning of v."""
         left, right, rank, join = self.left, self.right, self.rank, self.join
         x, until_x = u, most
@@ -84,47 +78,142 @@ class MergeAutomaton:
             x, until_x = right[x], rank[x]
         return False
 
+    def made(self, token: int) -> bool:
+        """Whether the merges make this token of its own text: its halves may stand side by side till its turn."""
+        return self.rank[token] < 0 or not self.joined_before(self.left[token], self.right[token], self.rank[token])
+
+
+class _Arcs:
+    """Numbers of the arcs: a part stands right after the tokens that begin with it, those swallowed last nearest to it."""
+
+    def __init__(self, spines: _Spines):
+        size = len(spines.rank)
+        wholes: list[list[int]] = [[] for _ in range(size)]
+        roots = []
+        for t in sorted(range(size), key=spines.rank.__getitem__):
+            (wholes[spines.left[t]] if spines.left[t] >= 0 else roots).append(t)
+        self.place, self.begin, n = [0] * size, [0] * size, 0
+        todo = [(t, True) for t in reversed(roots)]
+        while todo:
+            t, opening = todo.pop()
+            if opening:
+                self.begin[t] = n
+                todo.append((t, False))
+                todo += [(w, True) for w in reversed(wholes[t])]
+            else:
+                self.place[t], n = n, n + 1
+        self.wholes = wholes
+        self.turns = [[spines.rank[w] for w in ws] for ws in wholes]
+
+    def run(self, part: int, rank: int) -> tuple[int, int]:
+        """The arcs that still begin with the part when the merge of this rank has its turn."""
+        i = bisect_left(self.turns[part], rank)
+        return (self.begin[self.wholes[part][i]] if i < len(self.wholes[part]) else self.place[part]), self.place[part] + 1
+
+
+def _union(runs: list[tuple[int, int]]) -> list[int]:
+    """Sorted bounds of the union."""
+    out: list[int] = []
+    for a, b in sorted(runs):
+        if out and a <= out[-1]:
+            out[-1] = max(out[-1], b)
+        else:
+            out += [a, b]
+    return out
+
+
+@dataclass
+class Transitions:
+    """place: number of each token as an arc. row: of each token as a state. bounds[start[row]:start[row + 1]]: bounds of
+    the runs of arcs that the state has lost. made: tokens that the merges can make."""
+
+    place: array
+    row: array
+    start: array
+    bounds: array
+    made: bytearray
+
     def follows(self, u: int, v: int) -> bool:
-        """The transition table: whether state u has an arc v."""
-        key = u * self.width + v
-        known = self.table.get(key)
-        if known is None:
-            if len(self.table) > 2_000_000:
-                self.table.clear()
-            known = self.table[key] = not self._joined_before(u, v, 1 << 62)
-        return known
+        """Whether state u has arc v."""
+        row = self.row[u]
+        a = self.start[row]
+        return not (bisect_right(self.bounds, self.place[v], a, self.start[row + 1]) - a) & 1
+
+
+def transitions(vocabulary: dict[str, int], merges: list[tuple[str, str]]) -> Transitions:
+    """The table after the gadgets of all merges, one after the other."""
+    spines = _Spines(vocabulary, merges)
+    arcs, size = _Arcs(spines), len(spines.rank)
+    ranks: list[list[int]] = [[] for _ in range(size)]
+    gone: list[list[tuple[int, int]]] = [[] for _ in range(size)]
+    for (x, y), r in spines.join.items():  # in the order of the merges
+        ranks[x].append(r)
+        gone[x].append(arcs.run(y, r))
+    rows: dict[tuple, int] = {}
+    row, start, bounds = array("i"), array("i", [0]), array("i")
+    for u in range(size):
+        x, until, key = u, 1 << 62, []
+        while x >= 0:  # all gadgets whose states include u: of each end, those before it is swallowed
+            if n := bisect_left(ranks[x], until):
+                key.append((x, n))
+            x, until = spines.right[x], spines.rank[x]
+        if (known := rows.get(tuple(key))) is None:
+            known = rows[tuple(key)] = len(rows)
+            bounds.extend(_union([run for x, n in key for run in gone[x][:n]]))
+            start.append(len(bounds))
+        row.append(known)
+    return Transitions(array("i", arcs.place), row, start, bounds, bytearray(spines.made(t) for t in range(size)))
+
+
+class MergeAutomaton:
+    """The compiled table with the vocabulary: encodes words of byte symbols."""
+
+    def __init__(self, vocabulary: dict[str, int], table: Transitions):
+        self.table, self.labels = table, {i: t for t, i in vocabulary.items()}
+        self.inner: dict[str, int] = {}
+        self.final: dict[str, int] = {}
+        self.longest: dict[str, int] = {}
+        for t, i in vocabulary.items():
+            if not table.made[i]:
+                continue
+            ends = t.endswith(END) and t != END
+            body = t.removesuffix(END) if ends else t
+            (self.final if ends else self.inner)[body] = i
+            if not ends and len(body) > 2:  # the longest inner token that ends with these symbols
+                self.longest[body[-3:]] = max(self.longest.get(body[-3:], 0), len(body))
+        self.longest_final = max(map(len, self.final), default=0)
 
     def encode(self, word: str) -> list[int]:
         """Token ids of one pre-split word in byte symbols."""
         whole = self.final.get(word)
-        if whole is not None:
+        if whole is not None:  # the start state's arc to the end: the only path there is
             return [whole]
-        n, inner, final, longest, follows = len(word), self.inner, self.final, self.longest, self.follows
-        path: list[int] = []  # tokens
-        ends: list[int] = [0]
-        dead: set[tuple[int, int]] = set()
-        at, limit = 0, n
-        while True:
-            last = path[-1] if path else -1
-            most = longest.get(word[at : at + 3]) or (2 if word[at : at + 2] in longest else 1)
-            stop = min(limit, at + most)
-            while stop > at:
-                token = final.get(word[at:]) if stop == n else inner.get(word[at:stop])
-                if token is not None and (last < 0 or follows(last, token)) and (stop, token) not in dead:
-                    break
-                stop -= 1
+        n, inner, longest, table = len(word), self.inner, self.longest.get, self.table
+        place, row, start, bounds = table.place, table.row, table.start, table.bounds
+        state, came = [-1] * (n + 1), [0] * (n + 1)
+        for end in range(1, n + 1):
+            if end < n:
+                tokens, most = inner, longest(word[max(end - 3, 0) : end], 2)
             else:
-                if not path:
-                    raise ValueError(f"no tokens for {word!r}")
-                dead.add((at, path.pop()))
-                limit = ends.pop() - 1
-                at = ends[-1]
-                continue
-            path.append(token)
-            if stop == n:
-                return path
-            ends.append(stop)
-            at, limit = stop, n
+                tokens, most = self.final, self.longest_final
+            for at in range(end - most if end > most else 0, end):
+                token = tokens.get(word[at:end])
+                if token is None:
+                    continue
+                if at:
+                    r = row[state[at]]
+                    a = start[r]
+                    if bisect_right(bounds, place[token], a, start[r + 1]) - a & 1:
+                        continue
+                state[end], came[end] = token, at
+                break
+            else:
+                raise ValueError(f"no tokens for {word!r}")
+        out, end = [], n
+        while end:
+            out.append(state[end])
+            end = came[end]
+        return out[::-1]
 
 
 #: Texts of these characters need no table look-up to be normalised; their letters, digits and white space.
@@ -146,19 +235,30 @@ class _Cache(dict):
         return out
 
 
+def _file(path: str) -> dict:
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    model = spec["model"]
+    if model["type"] != "BPE" or model["end_of_word_suffix"] != END or spec["decoder"]:
+        raise ValueError("a BPE model with word ends and no decoder is asked for")
+    return spec
+
+
+@functools.cache
+def compiled(path: str) -> Transitions:
+    model = _file(path)["model"]
+    return transitions(model["vocab"], [tuple(m if isinstance(m, list) else m.split(" ")) for m in model["merges"]])
+
+
 class WordTokenizer:
     """A tokenizer file with word-final symbols: normalise, pre-split, run the automaton."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, table: Transitions):
         import regex
         from tokenizers import Tokenizer
 
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
-        model = spec["model"]
-        if model["type"] != "BPE" or model["end_of_word_suffix"] != END or spec["decoder"]:
-            raise ValueError("a BPE model with word ends and no decoder is asked for")
-        self.automaton = MergeAutomaton(model["vocab"], [tuple(m if isinstance(m, list) else m.split(" ")) for m in model["merges"]])
+        spec = _file(path)
+        self.automaton = MergeAutomaton(spec["model"]["vocab"], table)
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.specials = re.compile("|".join(map(re.escape, self.special))) if self.special else None
         self.normalise = Tokenizer.from_file(path).normalizer.normalize_str
@@ -197,10 +297,19 @@ class WordTokenizer:
         return self.decode(map(int, ids.split(" "))) if ids else ""
 
 
-@functools.cache
-def tokenizer(path: str) -> WordTokenizer:
-    """One per Python worker and file."""
-    return WordTokenizer(path)
+_made: dict[str, WordTokenizer] = {}
+
+
+def tokenizer(path: str, table: Broadcast | None = None) -> WordTokenizer:
+    """One per Python process and file; with the table that the driver has compiled, if it is given."""
+    if path not in _made:
+        _made[path] = WordTokenizer(path, compiled(path) if table is None else table.value)
+    return _made[path]
+
+
+def shared_table(spark: SparkSession, path: str) -> Broadcast:
+    """The compiled table for all tasks of this session."""
+    return spark.sparkContext.broadcast(compiled(path))
 
 
 def default_path() -> str:
@@ -209,9 +318,9 @@ def default_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-def _digests(path: str):
+def _digests(path: str, table: Broadcast):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = tokenizer(path)
+        tok = tokenizer(path, table)
         sha = hashlib.sha256
         labels = tok.labels
         by_text = _Cache(lambda i: labels[int(i)])
@@ -231,20 +340,21 @@ def _digests(path: str):
 def encode_digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of every document."""
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text"))
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    return rows.mapInArrow(_digests(path or default_path()), f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    kind, path = docs.schema["doc_id"].dataType.simpleString(), path or default_path()
+    return rows.mapInArrow(_digests(path, shared_table(docs.sparkSession, path)), f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def encode_ids(docs: DataFrame, path: str | None = None) -> DataFrame:
     """doc_id, ids: the token ids themselves."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = tokenizer(where)
+        tok = tokenizer(where, table)
         for batch in batches:
             ids = [[int(i) for i in tok.encode(cell.as_py()).split()] for cell in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "ids"])
 
     where = path or default_path()
+    table = shared_table(docs.sparkSession, where)
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, ids array<int>")
 
@@ -253,11 +363,12 @@ def decode_ids(rows: DataFrame, path: str | None = None) -> DataFrame:
     """doc_id, ids -> doc_id, text by the arcs' labels."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = tokenizer(where)
+        tok = tokenizer(where, table)
         for batch in batches:
             texts = [tok.decode(cell.as_py() or []) for cell in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
 
     where = path or default_path()
+    table = shared_table(rows.sparkSession, where)
     kind = rows.schema["doc_id"].dataType.simpleString()
     return rows.select("doc_id", "ids").mapInArrow(run, f"doc_id {kind}, text string")

@@ -35,21 +35,29 @@ def _inverse(odd: int) -> int:
     return pow(odd, -1, 1 << 64)
 
 
+#: So many powers are kept, a little more than a block has bytes.
+_POWERS_KEPT = (1 << 19) + (1 << 12)
+
+
 class _Powers:
-    """Powers of an odd number and of its inverse modulo 2**64, grown on demand."""
+    """Powers of an odd number and of its inverse modulo 2**64. Those for blocks are kept; a longer text's are not."""
 
     def __init__(self, base: int):
-        self.base, self.up, self.down = base, np.ones(1, _U), np.ones(1, _U)
+        self.base, self.kept = base, None
+
+    def _made(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        steps = np.full(n, self.base, _U)
+        steps[0] = 1
+        up = np.multiply.accumulate(steps)
+        steps[1:] = _inverse(self.base)
+        return up, np.multiply.accumulate(steps)
 
     def of(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.up) < n:
-            size = max(n, 1 << 19)
-            steps = np.full(size, self.base, _U)
-            steps[0] = 1
-            self.up = np.multiply.accumulate(steps)
-            steps[1:] = _inverse(self.base)
-            self.down = np.multiply.accumulate(steps)
-        return self.up[:n], self.down[:n]
+        if n > _POWERS_KEPT:
+            return self._made(n)
+        if self.kept is None:
+            self.kept = self._made(_POWERS_KEPT)
+        return self.kept[0][:n], self.kept[1][:n]
 
 
 _BYTE_POWERS = _Powers(0x9E3779B97F4A7C15)
@@ -148,13 +156,19 @@ def within_rows(ptr: np.ndarray, n: int) -> np.ndarray:
 
 def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and row offsets of a string column; null counts as empty."""
+    return cell_bytes(column, pa.large_string(), "")
+
+
+def cell_bytes(column: pa.Array | pa.ChunkedArray, kind: pa.DataType | None = None, null: str | bytes = b"") -> tuple[np.ndarray, np.ndarray]:
+    """Bytes of all cells of a binary column, one after the other, and where each begins; null counts as empty."""
+    kind = kind or pa.large_binary()
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
         if isinstance(column, pa.ChunkedArray):
-            column = pa.concat_arrays(column.chunks) if column.num_chunks else pa.array([], pa.large_string())
+            column = pa.concat_arrays(column.chunks) if column.num_chunks else pa.array([], kind)
     if column.null_count:
-        column = pc.fill_null(column, "")
-    column = column.cast(pa.large_string())
+        column = pc.fill_null(column, null)
+    column = column.cast(kind)
     if not len(column):
         return np.zeros(0, np.uint8), np.zeros(1, np.int64)
     _, offsets, data = column.buffers()
@@ -163,6 +177,19 @@ def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarr
     return buf, at - at[0]
 
 
+def cells(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """A binary column whose cell i is the bytes ends[i]..ends[i + 1] of data."""
+    body = np.ascontiguousarray(data).view(np.uint8)
+    return pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(body)])
+
+
+def run_edges(x: np.ndarray) -> np.ndarray:
+    """Where the runs of a sorted array begin, and its end."""
+    if not len(x):
+        return np.zeros(1, np.int64)
+    return np.concatenate([[0], np.flatnonzero(x[1:] != x[:-1]) + 1, [len(x)]])
+
+
 def blocks(offsets: np.ndarray, size: int = BLOCK_BYTES) -> Iterator[tuple[int, int]]:
     """Ranges of rows of about size bytes."""
     n, lo = len(offsets) - 1, 0

@@ -1,33 +1,36 @@
 """Stupid-backoff language-model scores.
 
-The counts of all 1- to `order`-grams of the corpus are tables partitioned by hash. Documents are dealt to chunks by key;
-a chunk's n-grams, one of each with its number, go to the tables' partitions (buckets), which add up the numbers of all
-chunks and answer with the totals; the chunk joins them to its exploded n-grams and sums the logarithms per document.
-So a frequent n-gram is one entry a chunk, never a row per occurrence. Two passes use one exchange of the texts.
+The counts of all 1- to `order`-grams of the corpus are tables partitioned by hash, joined to the documents' exploded
+n-grams; the logarithms are summed per document. Two layouts give the same scores:
+
+* `backoff_by_rows`: DataFrame functions only. A row for each n-gram of each table, a row for each word's n-grams, two
+  equi-joins. N-grams are compared as text.
+* `stupid_backoff`: the same tables with rows packed. Documents are dealt to chunks by key; a chunk's n-grams, one of each
+  with its number, go to the tables' partitions (buckets), which add up the numbers of all chunks and answer with the
+  totals; the chunk joins them to its exploded n-grams and sums per document. A frequent n-gram is one entry a chunk,
+  never a row per occurrence. Two passes use one exchange of the texts. N-grams are told apart by 44 bits of hash within
+  a bucket, besides the bucket itself. Hashes travel as sorted steps, byte plane by byte plane under an entropy coder.
 
 A word scores count(n-gram) / count(its context); where the n-gram is unseen, the next shorter one times ALPHA; a single
 word its share of all words; an unseen word counts UNSEEN. With leave_out, a document's own occurrences are taken off
 all counts, so that it is scored by the others. Words are as in the text, cut at white space.
 
-N-grams are told apart by 44 bits of hash within a bucket, besides the bucket itself. Hashes travel as sorted steps,
-byte plane by byte plane under an entropy coder.
-Defined results. Null or wordless text: 0 words, score 0, mean null. Rows that repeat doc_id and text are one document
-of the corpus and are returned as often as given. No rows give no rows.
+Defined results. Null or wordless text: 0 words, score 0, mean null. Every row is a document of its own, also one that
+repeats. No rows give no rows. A long text is cut into words whole, in one task.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelmine.llm.kernel import gram_hashes, within_rows
-from levelmine.llm.repeats import _NULL_ID, _Chunk, _cuts
-from levelmine.session import materialise, shuffle_width
+from levelmine.llm.kernel import gram_hashes, within_rows, word_blocks
+from levelmine.llm.repeats import _cuts
+from levelmine.llm.sizes import group_count
+from levelmine.session import materialise
 
 ORDER, ALPHA, UNSEEN = 3, 0.4, 0.5
 _BITS = 44
@@ -53,10 +56,22 @@ def _unpacked(small: bytes, large: bytes, kind: str) -> np.ndarray:
     return x
 
 
+class _Texts:
+    """The words of a chunk's documents: their hashes, and where each document's begin."""
+
+    def __init__(self, table: pa.Table):
+        hashes, sizes = [np.zeros(0, _U)], [np.zeros(0, np.int64)]
+        for _, _, words in word_blocks(table["text"].cast(pa.large_string())):
+            hashes.append(words.hashes())
+            sizes.append(words.counts())
+        self.hashes = np.concatenate(hashes)
+        self.ptr = np.concatenate([[0], np.cumsum(np.concatenate(sizes))]).astype(np.int64)
+
+
 class _Grams:
     """The n-grams of a chunk: positions that have one, distinct keys (bucket, then hash), each position's key, numbers."""
 
-    def __init__(self, chunk: _Chunk, n: int, buckets: int):
+    def __init__(self, chunk: _Texts, n: int, buckets: int):
         self.at = np.flatnonzero(within_rows(chunk.ptr, n))
         grams = gram_hashes(chunk.hashes, n)[self.at] if len(self.at) else np.zeros(0, _U)
         keys = (grams % _U(buckets)) << _U(_BITS) | grams >> _U(64 - _BITS)
@@ -76,7 +91,7 @@ _NONE = {"keys": b"", "keys_more": b"", "counts": b"", "counts_more": b""}
 
 def _ask(table: pa.Table, order: int, buckets: int) -> pa.Table:
     """One row a bucket; entry n - 1 has the n-grams."""
-    chunk, number, rows = _Chunk(table, None), table["chunk"][0].as_py(), {}
+    chunk, number, rows = _Texts(table), table["chunk"][0].as_py(), {}
     for n in range(1, order + 1):
         grams = _Grams(chunk, n, buckets)
         for k, a, b in grams.cuts():
@@ -86,12 +101,9 @@ def _ask(table: pa.Table, order: int, buckets: int) -> pa.Table:
     return pa.table([list(rows), [number] * len(rows), list(rows.values())], schema=_ASK_ARROW)
 
 
-def _totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _totals(table: pa.Table) -> pa.Table:
     """A partition of the count tables: adds up, and answers each chunk in its own order."""
-    held = [b for b in batches if len(b)]
-    if not held:
-        return
-    table = pa.Table.from_batches(held).to_pydict()
+    table = table.to_pydict()
     told = [[{"counts": b"", "counts_more": b""} for _ in row] for row in table["n"]]
     for n in range(len(table["n"][0])):
         rows = [i for i, row in enumerate(table["n"]) if row[n]["keys"]]
@@ -110,10 +122,10 @@ def _totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total[order] = np.add.reduceat(count, np.flatnonzero(first))[np.cumsum(first) - 1].astype(_U)
         for at, i in enumerate(rows):
             told[i][n] = dict(zip(("counts", "counts_more"), _packed(total[edge[at] : edge[at + 1]], "u1"), strict=True))
-    yield pa.RecordBatch.from_arrays([pa.array(table["chunk"], pa.int32()), pa.array(table["bucket"], pa.int32()), pa.array(told, _REPLY_ARROW.field("n").type)], schema=_REPLY_ARROW)
+    return pa.table([pa.array(table["chunk"], pa.int32()), pa.array(table["bucket"], pa.int32()), pa.array(told, _REPLY_ARROW.field("n").type)], schema=_REPLY_ARROW)
 
 
-def _counts(chunk: _Chunk, replies: pa.Table, order: int, buckets: int, leave_out: bool) -> list[np.ndarray]:
+def _counts(chunk: _Texts, replies: pa.Table, order: int, buckets: int, leave_out: bool) -> list[np.ndarray]:
     """For n = 1..order: each word position's count of the n-gram that starts there (0 where none does)."""
     said = replies.to_pydict()
     got = dict(zip(said["bucket"], said["n"], strict=True))
@@ -135,7 +147,7 @@ def _counts(chunk: _Chunk, replies: pa.Table, order: int, buckets: int, leave_ou
 
 def _summed(table: pa.Table, replies: pa.Table, order: int, buckets: int, alpha: float, leave_out: bool) -> pa.Table:
     """Per row: words, the score without the number of all words, and how often that number divides."""
-    chunk = _Chunk(table, None)
+    chunk = _Texts(table)
     m, ptr = len(chunk.hashes), chunk.ptr
     counts = _counts(chunk, replies, order, buckets, leave_out)
     place = np.arange(m) - np.repeat(ptr[:-1], np.diff(ptr))
@@ -150,40 +162,65 @@ def _summed(table: pa.Table, replies: pa.Table, order: int, buckets: int, alpha:
         penalty[can[~hit]] += math.log(alpha)
     rest = np.flatnonzero(open_)
     value[rest] = np.log(np.maximum(counts[0][rest], UNSEEN)) + penalty[rest]
-    total = np.concatenate([[0.0], np.cumsum(value)])
     single = np.concatenate([[0], np.cumsum(open_)])
-    doc = chunk.doc_of_row
     # sums by document, not differences of one long running sum, so that a document's score is its own alone
     per_doc = np.zeros(len(ptr) - 1)
     full = np.flatnonzero(np.diff(ptr))
-    per_doc[full] = np.add.reduceat(value, ptr[:-1][full]) if len(full) else total[:0]
-    ids = table["doc_id"].take(pa.array(chunk.order)).cast(pa.int64())
-    fresh = np.ones(len(doc), np.bool_)
-    fresh[1:] = doc[1:] != doc[:-1]
-    return pa.table({"doc_id": ids, "n_words": np.diff(ptr)[doc], "part": per_doc[doc], "singles": np.diff(single[ptr])[doc], "fresh": fresh.astype(np.int32)})
+    if len(full):
+        per_doc[full] = np.add.reduceat(value, ptr[:-1][full])
+    return pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "n_words": np.diff(ptr), "part": per_doc, "singles": np.diff(single[ptr])})
 
 
-def stupid_backoff(docs: DataFrame, order: int = ORDER, alpha: float = ALPHA, leave_out: bool = True, buckets: int | None = None, chunks: int | None = None) -> DataFrame:
+def _scored(parts: DataFrame, leave_out: bool) -> DataFrame:
+    """parts: the sums without the number of all words, and how often that number divides."""
+    words = parts.agg(F.sum("n_words")).first()[0] or 0
+    others = F.greatest(F.lit(words) - (F.col("n_words") if leave_out else F.lit(0)), F.lit(1))
+    score = F.col("part") - F.col("singles") * F.log(others.cast("double"))
+    return parts.select("doc_id", "n_words", score.alias("log_score"), F.when(F.col("n_words") > 0, score / F.col("n_words")).alias("log_score_per_word"))
+
+
+def stupid_backoff(docs: DataFrame, order: int = ORDER, alpha: float = ALPHA, leave_out: bool = False, buckets: int | None = None, chunks: int | None = None) -> DataFrame:
     """doc_id, n_words, log_score (natural logarithm, summed over words), log_score_per_word."""
-    width = shuffle_width(docs.sparkSession)
-    buckets, chunks = buckets or width, chunks or 2 * width
-    keyed = docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"),
-        F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"),
-        F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL_ID)).alias("kd"),
-    ).withColumn("kh", F.xxhash64("text"))
-    keyed = keyed.withColumn("chunk", F.pmod(F.xxhash64("kd", "kh"), F.lit(chunks)).cast("int"))
+    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 2)
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    keyed = keyed.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text", F.spark_partition_id()), F.lit(chunks)).cast("int"))
     by_chunk = keyed.groupBy("chunk")
     asked = by_chunk.applyInArrow(lambda t: _ask(t, order, buckets), _ASK)
-    told = asked.repartitionById(buckets, F.col("bucket")).mapInArrow(_totals, _REPLY)
-    out = "doc_id long, n_words long, part double, singles long, fresh int"
-    empty = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("part", pa.float64()), ("singles", pa.int64()), ("fresh", pa.int32())])
+    told = asked.groupBy("bucket").applyInArrow(_totals, _REPLY)
+    out = "doc_id long, n_words long, part double, singles long"
+    empty = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("part", pa.float64()), ("singles", pa.int64())])
 
     def last(t: pa.Table, r: pa.Table) -> pa.Table:
         return _summed(t, r, order, buckets, alpha, leave_out).cast(empty) if len(t) else empty.empty_table()
 
-    parts = materialise(by_chunk.cogroup(told.groupBy("chunk")).applyInArrow(last, out), "scores")
-    words = parts.agg(F.sum(F.col("n_words") * F.col("fresh"))).first()[0] or 0
-    others = F.greatest(F.lit(words) - (F.col("n_words") if leave_out else F.lit(0)), F.lit(1))
-    score = F.col("part") - F.col("singles") * F.log(others.cast("double"))
-    return parts.select("doc_id", "n_words", score.alias("log_score"), F.when(F.col("n_words") > 0, score / F.col("n_words")).alias("log_score_per_word"))
+    return _scored(materialise(by_chunk.cogroup(told.groupBy("chunk")).applyInArrow(last, out), "scores"), leave_out)
+
+
+def ngram_counts(grams: DataFrame) -> DataFrame:
+    """grams(gram, ...), a row for each occurrence -> (gram, c)."""
+    return grams.groupBy("gram").agg(F.count("*").alias("c"))
+
+
+def backoff_by_rows(docs: DataFrame, order: int = ORDER, alpha: float = ALPHA, leave_out: bool = False) -> DataFrame:
+    """The columns of stupid_backoff by DataFrame functions: count tables joined to exploded n-grams."""
+    words = F.array_remove(F.split(F.coalesce(F.col("text").cast("string"), F.lit("")), "[\\x20\\x09-\\x0D]+"), "")
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), words.alias("w"))
+    rows = materialise(rows, "words")
+    at = rows.filter(F.size("w") > 0).select("row", "w", F.explode(F.sequence(F.lit(1), F.size("w"))).alias("i"))
+    at = at.select("row", "w", "i", F.explode(F.sequence(F.lit(1), F.least("i", F.lit(order)))).alias("n"))
+    gram = F.array_join(F.slice("w", F.col("i") - F.col("n") + 1, F.col("n")), " ")
+    said = at.select("row", "i", "n", gram.alias("gram"))
+    counts, tables = said.join(ngram_counts(said), "gram"), ["row", "i", "n"]
+    if leave_out:
+        own = said.groupBy("row", "gram").agg(F.count("*").alias("own"))
+        counts = counts.join(own, ["row", "gram"]).withColumn("c", F.col("c") - F.col("own"))
+    counts = counts.select(*tables, "c")
+    context = counts.select("row", (F.col("i") + 1).alias("i"), (F.col("n") + 1).alias("n"), F.col("c").alias("d"))
+    both = counts.join(context, tables, "left").filter("c > 0 or n = 1")
+    best = both.groupBy("row", "i").agg(F.max(F.struct("n", "c", "d")).alias("s")).select("row", "i", "s.n", "s.c", "s.d")
+    steps = F.least("i", F.lit(order)) - F.col("n")
+    value = F.when(F.col("n") > 1, F.log(F.col("c") / F.col("d"))).otherwise(F.log(F.greatest(F.col("c").cast("double"), F.lit(UNSEEN))))
+    parts = best.groupBy("row").agg(F.sum(value + steps * math.log(alpha)).alias("part"), F.sum((F.col("n") == 1).cast("long")).alias("singles"))
+    kept = rows.select("row", "doc_id", F.size("w").cast("long").alias("n_words")).join(parts, "row", "left")
+    zero = [F.coalesce("part", F.lit(0.0)).alias("part"), F.coalesce("singles", F.lit(0).cast("long")).alias("singles")]
+    return _scored(materialise(kept.select("doc_id", "n_words", *zero), "scores"), leave_out)

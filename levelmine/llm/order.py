@@ -19,10 +19,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from levelmine.llm.bpe import default_path, tokenizer
+from levelmine.llm.bpe import default_path, shared_table, tokenizer
 from levelmine.llm.kernel import mix
 from levelmine.llm.warc import _open
 from levelmine.session import materialise, scratch_path, shuffle_width
@@ -32,7 +33,7 @@ PER_SHARD = 16_384
 BLOCK = 512
 KEY = 0x5EED
 #: Words kept with their ids, in each Python worker.
-WORDS = 400_000
+WORDS = 200_000
 END_TOKEN = "<|endoftext|>"
 _NULL_ID = -(1 << 63)
 _U = np.uint64
@@ -63,11 +64,11 @@ def permuted(index: np.ndarray, n: int, key: int = KEY, rounds: int = 6) -> np.n
 class _Ids(dict):
     """word -> its token ids as uint16 bytes, by the tokenizer's own model; word splitting is the automaton's."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, table: Broadcast):
         from tokenizers import Tokenizer
 
         super().__init__()
-        self.words, self.model = tokenizer(path), Tokenizer.from_file(path).model
+        self.words, self.model = tokenizer(path, table), Tokenizer.from_file(path).model
 
     def __missing__(self, word: str) -> bytes:
         if len(self) >= WORDS:
@@ -90,7 +91,7 @@ _BLOCK_DDL = "pid int, i long, count int, docs binary, offsets binary, body bina
 _BLOCK_NAMES = ["pid", "i", "count", "docs", "offsets", "body"]
 
 
-def _blocks(path: str, sequence: int):
+def _blocks(path: str, table: Broadcast, sequence: int):
     """A task's stream as blocks of sequences; i is the index in the task of a block's first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -98,7 +99,7 @@ def _blocks(path: str, sequence: int):
         from pyspark import TaskContext
 
         pid, made = TaskContext.get().partitionId(), 0
-        pack, ids = zstandard.ZstdCompressor(level=3), _Ids(path)
+        pack, ids = zstandard.ZstdCompressor(level=3), _Ids(path, table)
         end = np.array([ids.words.special[END_TOKEN]], "<u2").tobytes()
         held, docs, starts, size = [], [], [], 0  # the stream's bytes, its documents, where they start in it (in tokens)
 
@@ -142,7 +143,8 @@ def _blocks(path: str, sequence: int):
 def sequences(docs: DataFrame, path: str | None = None, sequence: int = SEQUENCE) -> DataFrame:
     """The sequences of all documents in blocks, written once; (pid, i) orders them from then on."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return materialise(rows.mapInArrow(_blocks(path or default_path(), sequence), _BLOCK_DDL), "sequences")
+    path = path or default_path()
+    return materialise(rows.mapInArrow(_blocks(path, shared_table(docs.sparkSession, path), sequence), _BLOCK_DDL), "sequences")
 
 
 def _dealt(base: np.ndarray, pids: np.ndarray, total: int, key: int, sequence: int, per_shard: int):

@@ -38,7 +38,8 @@ def op5_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return stupid_backoff(read_table(spark, sf_dir, "documents"))
+    """Each document is scored by the others: its own counts would make every n-gram of it a seen one."""
+    return stupid_backoff(read_table(spark, sf_dir, "documents"), leave_out=True)
 
 
 def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,30 +3,38 @@
 Two ways to find the places worth comparing share the rest of the work:
 
 * `difference_cover(20)`: anchors are hashed only where the word's position modulo a period lies in a difference
-  cover; two equal passages always share an aligned anchor.
+  cover; two equal passages always share an aligned anchor. An anchor's key is the hash of its words.
 * `sparse_suffixes(50)`: suffixes are retained only at minimiser positions, chosen by content; equal passages retain
-  the same suffixes. Retained suffixes are sorted by their first words and compared with their neighbours.
+  the same suffixes. A suffix's key is its first words in order, a few bits of each, so that keys sort as suffixes do
+  and neighbours that agree in all these words are a match.
 
-Both extend to the left and right from an anchor that occurs again: all windows that hold it are compared.
+A match is extended to the left and right by windows: all windows that hold its place are compared by their contents,
+which finds every extent of `length` words exactly, however many others share the place. Where windows overlap, their
+words are one passage. (Sorting whole suffixes by place would gather all copies of a frequent passage in one task, with
+as many contexts; windows of equal content are one entry a chunk.)
 
 Plan. Documents are dealt to chunks by key; one exchange of the texts serves three passes (Spark reuses it).
   1. chunk -> anchors, one of each per chunk -> buckets by hash; a bucket sorts them, compares neighbours and answers
      with a bit for each anchor that some other chunk has too.
   2. chunk + bits -> windows around repeated anchors, the earliest of each per chunk -> buckets by hash; a bucket sorts
-     and answers with two bits: an earlier one exists elsewhere; another one exists elsewhere.
+     and answers with two bits: it starts in an earlier document; it is in another document.
   3. chunk + bits -> covered words -> result.
-A passage that a third of all documents share is one entry per chunk, so no bucket holds a row per occurrence.
+A message is a chunk's entries for one bucket, packed; tasks read and write all messages of a group as flat arrays. The
+numbers of chunks and buckets follow the input's bytes, so that each group is of bounded size at any shuffle width.
+A passage that a third of all documents share is one entry per chunk, so no bucket holds a row per occurrence. Rows that
+repeat doc_id and text are dealt to chunks by their partition too, so many of them do not meet in one.
 
 Defined results. A null text has no words. A null doc_id counts as smaller than all others. Rows that repeat both
 doc_id and text are judged once and returned as often as given; rows that repeat a doc_id with other texts are ordered
-by a hash of the text. An empty table gives an empty result. Columns of any name pass through.
-Windows count as equal if 96 bits of hash are equal.
+by a hash of the text. An empty table gives an empty result. Columns of any name pass through. A long text is cut into
+words whole; a task's memory is a small multiple of its chunk or of the longest text. Windows count as equal if 96 bits
+of hash are equal.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -35,8 +43,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from levelmine.llm.kernel import gram_hashes, mix, within_rows, word_blocks
-from levelmine.session import shuffle_width
+from levelmine.llm.kernel import cell_bytes, cells, gram_hashes, mix, run_edges, within_rows, word_blocks
+from levelmine.llm.sizes import group_count
 
 _U = np.uint64
 _NULL_ID = -(1 << 63)
@@ -49,6 +57,21 @@ class Anchors:
     length: int
     width: int
     pick: Callable[[np.ndarray, np.ndarray], np.ndarray]  # (hashes of width words, row ranges) -> mask
+    ordered: bool = False  # keys are the words in order, else one hash of them
+
+    @property
+    def key_bytes(self) -> int:
+        return 8 if self.ordered else 5
+
+    def keys(self, words: np.ndarray, at: np.ndarray, grams: np.ndarray) -> np.ndarray:
+        """The sort keys of the anchors at these positions, in the low 8 * key_bytes bits."""
+        if not self.ordered:
+            return grams >> _U(24)
+        said, bits = min(self.width, 20), 60 // min(self.width, 20)
+        out = np.zeros(len(at), _U)
+        for j in range(said):
+            out = out << _U(bits) | words[at + j] >> _U(64 - bits)
+        return out
 
 
 #: Perfect difference covers (period: positions); fixed values.
@@ -96,13 +119,13 @@ def sparse_suffixes(length: int, width: int = 20) -> Anchors:
         edge = np.zeros(span - 1, _U)
         return _slide(np.concatenate([edge, least, edge]), span, np.maximum) == value
 
-    return Anchors(length, width, pick)
+    return Anchors(length, width, pick, ordered=True)
 
 
 class _Chunk:
     """The distinct documents of one chunk in the order of their keys, and the hashes of their words."""
 
-    def __init__(self, table: pa.Table, how: Anchors):
+    def __init__(self, table: pa.Table, how: Anchors | None, with_words: bool = False):
         self.how = how
         keys = [table[c].to_numpy() for c in ("kd", "kh")]
         order = np.lexsort((keys[1], keys[0]))
@@ -112,21 +135,29 @@ class _Chunk:
         self.order, self.doc_of_row = order, np.cumsum(fresh) - 1
         self.kd, self.kh = kd[fresh], kh[fresh]
         text = table["text"].cast(pa.large_string()).take(pa.array(order[fresh]))
-        self.parts = list(word_blocks(text))
-        self.hashes = np.concatenate([w.hashes() for _, _, w in self.parts]) if self.parts else np.zeros(0, _U)
-        sizes = np.concatenate([w.counts() for _, _, w in self.parts]) if self.parts else np.zeros(0, np.int64)
-        self.ptr = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64)
-
-    def anchors(self) -> tuple[np.ndarray, np.ndarray]:
+        hashes, sizes, self.parts = [np.zeros(0, _U)], [np.zeros(0, np.int64)], []
+        for block in word_blocks(text):
+            hashes.append(block[2].hashes())
+            sizes.append(block[2].counts())
+            if with_words:
+                self.parts.append(block[2])
+        self.hashes = np.concatenate(hashes)
+        self.ptr = np.concatenate([[0], np.cumsum(np.concatenate(sizes))]).astype(np.int64)
+
+    def anchor_keys(self, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Positions; bucket and key of each distinct anchor, sorted; each position's anchor; each anchor's number."""
         grams = gram_hashes(self.hashes, self.how.width)
         at = np.flatnonzero(within_rows(self.ptr, self.how.width) & self.how.pick(grams, self.ptr)) if len(grams) else np.zeros(0, np.int64)
-        return at, grams[at]
-
-    def anchor_keys(self, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Positions, distinct keys (bucket, then 40 bits), each position's key, each key's number."""
-        at, grams = self.anchors()
-        keys, which, count = np.unique((grams % _U(buckets)) << _U(40) | grams >> _U(24), return_inverse=True, return_counts=True)
-        return at, keys, which, count
+        grams = grams[at]
+        bucket, key = grams % _U(buckets), self.how.keys(self.hashes, at, grams)
+        order = np.argsort(bucket << _U(40) | key) if not self.how.ordered and buckets < 1 << 24 else np.lexsort((key, bucket))
+        bucket, key = bucket[order], key[order]
+        fresh = np.ones(len(order), np.bool_)
+        fresh[1:] = (bucket[1:] != bucket[:-1]) | (key[1:] != key[:-1])
+        group = np.cumsum(fresh) - 1
+        which = np.empty(len(order), np.int64)
+        which[order] = group
+        return at, bucket[fresh].astype(np.int64), key[fresh], which, np.bincount(group) if len(group) else np.zeros(0, np.int64)
 
     def windows(self, repeated: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Starts of the windows that hold one of the given anchors, and 64 and 32 bits of hash of each."""
@@ -142,86 +173,77 @@ class _Chunk:
         return start, grams, (other >> _U(32)).astype(np.uint32)
 
 
-def _blob(x: np.ndarray) -> bytes:
-    return np.ascontiguousarray(x).tobytes()
-
-
-def _five_bytes(keys: np.ndarray) -> bytes:
-    return _blob(np.ascontiguousarray(keys).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5])
+def _low_bytes(keys: np.ndarray, n: int) -> np.ndarray:
+    return np.ascontiguousarray(keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :n])
 
 
-def _from_five(blob: bytes) -> np.ndarray:
-    out = np.zeros((len(blob) // 5, 8), np.uint8)
-    out[:, :5] = np.frombuffer(blob, np.uint8).reshape(-1, 5)
+def _from_bytes(data: np.ndarray, n: int) -> np.ndarray:
+    out = np.zeros((len(data) // n, 8), np.uint8)
+    out[:, :n] = data[: len(out) * n].reshape(-1, n)
     return out.reshape(-1).view("<u8")
 
 
 def _cuts(bucket: np.ndarray) -> list[tuple[int, int, int]]:
     """(bucket, from, to) of each run of a sorted array."""
-    if not len(bucket):
-        return []
-    edge = np.concatenate([[0], np.flatnonzero(bucket[1:] != bucket[:-1]) + 1, [len(bucket)]])
+    edge = run_edges(bucket)
     return [(int(bucket[a]), int(a), int(b)) for a, b in zip(edge[:-1], edge[1:], strict=True)]
 
 
-_ASK = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("chunk", T.IntegerType()), T.StructField("body", T.BinaryType()), T.StructField("docs", T.BinaryType())])
-_REPLY = T.StructType([T.StructField("chunk", T.IntegerType()), T.StructField("bucket", T.IntegerType()), T.StructField("bits", T.BinaryType())])
 _ASK_ARROW = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("body", pa.binary()), ("docs", pa.binary())])
 _REPLY_ARROW = pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("bits", pa.binary())])
+_ASK, _REPLY = "bucket int, chunk int, body binary, docs binary", "chunk int, bucket int, bits binary"
+_WINDOW = np.dtype([("high", "<u8"), ("low", "<u4")])
+_DOC = np.dtype([("kd", "<i8"), ("kh", "<i8"), ("n", "<u4")])
 
 
-def _gathered(batches: Iterator[pa.RecordBatch]) -> dict[str, list]:
-    table = pa.Table.from_batches(list(batches), _ASK_ARROW)
-    return {c: table[c].to_pylist() for c in table.column_names}
+def _places(edge: np.ndarray, start: np.ndarray, per: int) -> np.ndarray:
+    """Where the bits of all entries are, if those of message i (entries edge[i]..edge[i + 1]) begin at bit start[i]."""
+    return np.repeat(start - edge[:-1] * per, np.diff(edge) * per) + np.arange(int(edge[-1]) * per)
 
 
-def _answer(rows: dict[str, list], size: list[int], bits: np.ndarray, per: int) -> pa.RecordBatch:
-    edge = np.concatenate([[0], np.cumsum(size)]) * per
-    out = [np.packbits(bits[edge[i] : edge[i + 1]]).tobytes() for i in range(len(size))]
-    return pa.RecordBatch.from_arrays([pa.array(rows["chunk"], pa.int32()), pa.array(rows["bucket"], pa.int32()), pa.array(out, pa.binary())], schema=_REPLY_ARROW)
+def _reply(table: pa.Table, size: np.ndarray, bits: np.ndarray, per: int) -> pa.Table:
+    """One message back for each message of the bucket: its entries' bits in its own order."""
+    edge = np.concatenate([[0], np.cumsum(size)])
+    at = np.concatenate([[0], np.cumsum((size * per + 7) // 8)])
+    full = np.zeros(int(at[-1]) * 8, np.bool_)
+    full[_places(edge, at[:-1] * 8, per)] = bits.reshape(-1)
+    return pa.table([table["chunk"].combine_chunks(), table["bucket"].combine_chunks(), cells(np.packbits(full), at)], schema=_REPLY_ARROW)
 
 
-def _shared_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _shared_anchors(table: pa.Table, key_bytes: int) -> pa.Table:
     """A bucket's anchors sorted; a bit for each whose neighbour, from another chunk, is equal."""
-    rows = _gathered(batches)
-    if not rows["chunk"]:
-        return
-    parts = [_from_five(b) | _U(k) << _U(40) for k, b in zip(rows["bucket"], rows["body"], strict=True)]
-    keys = np.concatenate(parts)
-    order = np.argsort(keys, kind="stable")
-    same = keys[order][1:] == keys[order][:-1]
+    data, at = cell_bytes(table["body"])
+    keys = _from_bytes(data, key_bytes)
+    order = np.argsort(keys)
+    same = np.flatnonzero(keys[order[1:]] == keys[order[:-1]])
     bits = np.zeros(len(keys), np.bool_)
-    bits[order[1:][same]] = True
-    bits[order[:-1][same]] = True
-    yield _answer(rows, [len(p) for p in parts], bits, 1)
-
-
-def _first_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A bucket's windows sorted by hash, then document; two bits for each: an earlier one exists, another one exists."""
-    rows = _gathered(batches)
-    if not rows["chunk"]:
-        return
-    kd, kh, high, low, size = [], [], [], [], []
-    for body, docs in zip(rows["body"], rows["docs"], strict=True):
-        n = len(body) // 12
-        runs = np.frombuffer(docs, np.int64).reshape(3, -1)
-        kd.append(np.repeat(runs[0], runs[2]))
-        kh.append(np.repeat(runs[1], runs[2]))
-        high.append(np.frombuffer(body, "<u8", n))
-        low.append(np.frombuffer(body, "<u4", n, 8 * n))
-        size.append(n)
-    kd, kh, high, low = map(np.concatenate, (kd, kh, high, low))
-    order = np.lexsort((kh, kd, low, high))
-    high, low = high[order], low[order]
-    same = (high[1:] == high[:-1]) & (low[1:] == low[:-1])
+    bits[order[same]] = True
+    bits[order[same + 1]] = True
+    return _reply(table, np.diff(at) // key_bytes, bits, 1)
+
+
+def _first_windows(table: pa.Table) -> pa.Table:
+    """A bucket's windows sorted by hash, then document; two bits for each: an earlier document has it; another one has it."""
+    data, at = cell_bytes(table["body"])
+    said, docs = data.view(_WINDOW), cell_bytes(table["docs"])[0].view(_DOC)
+    kd, kh = (np.repeat(docs[c], docs["n"]) for c in ("kd", "kh"))
+    order = np.lexsort((kh, kd, said["low"], said["high"]))
+    high, low, kd, kh = said["high"][order], said["low"][order], kd[order], kh[order]
+    fresh = np.ones(len(order), np.bool_)
+    fresh[1:] = (high[1:] != high[:-1]) | (low[1:] != low[:-1])
+    first = np.flatnonzero(fresh)
+    last, group = np.concatenate([first[1:], [len(order)]]) - 1, np.cumsum(fresh) - 1
     bits = np.zeros((len(order), 2), np.bool_)
-    bits[order[1:][same]] = True
-    bits[order[:-1][same], 1] = True
-    yield _answer(rows, size, bits.reshape(-1), 2)
+    if len(order):
+        bits[order, 0] = (kd != kd[first][group]) | (kh != kh[first][group])
+        bits[order, 1] = ((kd[first] != kd[last]) | (kh[first] != kh[last]))[group]
+    return _reply(table, np.diff(at) // _WINDOW.itemsize, bits, 2)
 
 
-def _asks(chunk: int, rows: list[tuple[int, bytes, bytes]]) -> pa.Table:
-    return pa.table([[r[0] for r in rows], [chunk] * len(rows), [r[1] for r in rows], [r[2] for r in rows]], schema=_ASK_ARROW)
+def _asks(chunk: int, bucket: np.ndarray, body: pa.Array, docs: pa.Array | None) -> pa.Table:
+    n = len(bucket)
+    none = cells(np.zeros(0, np.uint8), np.zeros(n + 1, np.int64))
+    return pa.table([pa.array(bucket, pa.int32()), pa.array(np.full(n, chunk), pa.int32()), body, none if docs is None else docs], schema=_ASK_ARROW)
 
 
 def _number(table: pa.Table) -> int:
@@ -229,22 +251,23 @@ def _number(table: pa.Table) -> int:
 
 
 def _ask_anchors(table: pa.Table, how: Anchors, buckets: int) -> pa.Table:
-    _, keys, _, _ = _Chunk(table, how).anchor_keys(buckets)
-    return _asks(_number(table), [(k, _five_bytes(keys[a:b]), b"") for k, a, b in _cuts(keys >> _U(40))])
+    _, bucket, keys, _, _ = _Chunk(table, how).anchor_keys(buckets)
+    edge = run_edges(bucket)
+    return _asks(_number(table), bucket[edge[:-1]], cells(_low_bytes(keys, how.key_bytes), edge * how.key_bytes), None)
 
 
-def _bits(replies: pa.Table, cuts: list[tuple[int, int, int]], n: int, per: int) -> np.ndarray:
-    """The buckets' bits in the order in which this chunk asked."""
-    got = dict(zip(replies["bucket"].to_pylist(), replies["bits"].to_pylist(), strict=True))
-    out = np.zeros((n, per), np.bool_)
-    for k, a, b in cuts:
-        out[a:b] = np.unpackbits(np.frombuffer(got[k], np.uint8), count=(b - a) * per).reshape(-1, per)
-    return out
+def _bits(replies: pa.Table, edge: np.ndarray, per: int) -> np.ndarray:
+    """The buckets' bits in the order in which this chunk asked: by bucket, as its runs of entries have it."""
+    if not len(replies):
+        return np.zeros((0, per), np.bool_)
+    order = np.argsort(replies["bucket"].to_numpy())
+    data, at = cell_bytes(replies["bits"])
+    return np.unpackbits(data)[_places(edge, at[:-1][order] * 8, per)].reshape(-1, per).astype(np.bool_)
 
 
 def _repeated(chunk: _Chunk, replies: pa.Table, buckets: int) -> np.ndarray:
-    at, keys, which, count = chunk.anchor_keys(buckets)
-    shared = _bits(replies, _cuts(keys >> _U(40)), len(keys), 1)[:, 0]
+    at, bucket, _, which, count = chunk.anchor_keys(buckets)
+    shared = _bits(replies, run_edges(bucket), 1)[:, 0]
     return at[((count > 1) | shared)[which]]
 
 
@@ -266,7 +289,8 @@ class _Windows:
         first = np.flatnonzero(self.is_first)
         bucket = (self.high[first] % _U(buckets)).astype(np.int64)
         by = np.argsort(bucket, kind="stable")
-        self.first, self.cuts = first[by], _cuts(bucket[by])
+        self.first, self.bucket = first[by], bucket[by]
+        self.edge = run_edges(self.bucket)
 
 
 def _ask_windows(table: pa.Table, replies: pa.Table, how: Anchors, buckets: int) -> pa.Table:
@@ -274,15 +298,14 @@ def _ask_windows(table: pa.Table, replies: pa.Table, how: Anchors, buckets: int)
         return _ASK_ARROW.empty_table()
     chunk = _Chunk(table, how)
     win = _Windows(chunk, _repeated(chunk, replies, buckets), buckets)
+    said = np.empty(len(win.first), _WINDOW)
+    said["high"], said["low"] = win.high[win.first], win.low[win.first]
     doc = np.searchsorted(chunk.ptr, win.start[win.first], "right") - 1
-    rows = []
-    for k, a, b in win.cuts:
-        runs = _cuts(doc[a:b])
-        ids = np.array([r[0] for r in runs])
-        docs = np.stack([chunk.kd[ids], chunk.kh[ids], np.array([r[2] - r[1] for r in runs])]).astype(np.int64)
-        at = win.first[a:b]
-        rows.append((k, _blob(win.high[at].astype("<u8")) + _blob(win.low[at].astype("<u4")), _blob(docs)))
-    return _asks(_number(table), rows)
+    runs = run_edges(win.bucket * (len(chunk.kd) + 1) + doc)
+    docs = np.empty(len(runs) - 1, _DOC)
+    docs["kd"], docs["kh"], docs["n"] = chunk.kd[doc[runs[:-1]]], chunk.kh[doc[runs[:-1]]], np.diff(runs)
+    ends = np.searchsorted(runs, win.edge)
+    return _asks(_number(table), win.bucket[win.edge[:-1]], cells(said, win.edge * _WINDOW.itemsize), cells(docs, ends * _DOC.itemsize))
 
 
 def _cover(n: int, start: np.ndarray, length: int) -> np.ndarray:
@@ -295,10 +318,10 @@ def _cover(n: int, start: np.ndarray, length: int) -> np.ndarray:
 def _result(table: pa.Table, anchor_bits: pa.Table, window_bits: pa.Table, how: Anchors, buckets: int, with_text: bool, schema: pa.Schema) -> pa.Table:
     if not len(table):
         return schema.empty_table()
-    chunk = _Chunk(table, how)
+    chunk = _Chunk(table, how, with_words=True)
     win = _Windows(chunk, _repeated(chunk, anchor_bits, buckets), buckets)
     bits = np.zeros((len(win.start), 2), np.bool_)
-    bits[win.first] = _bits(window_bits, win.cuts, len(win.first), 2)
+    bits[win.first] = _bits(window_bits, win.edge, 2)
     elsewhere = np.zeros(len(win.size), np.bool_)
     elsewhere[win.group[win.first]] = bits[win.first, 1]
     later = ~win.is_first | bits[:, 0]
@@ -307,7 +330,7 @@ def _result(table: pa.Table, anchor_bits: pa.Table, window_bits: pa.Table, how:
     gone, repeated = _cover(n, win.start[later], how.length), _cover(n, win.start[again], how.length)
     counted = [np.diff(np.concatenate([[0], np.cumsum(x)])[chunk.ptr]) for x in (gone, repeated)]
     texts, digests, lo, row = [], [], 0, 0
-    for _, _, w in chunk.parts:
+    for w in chunk.parts:
         m = int(w.ptr[-1])
         body, at = w.joined(~gone[lo : lo + m])
         body, lo = body.tobytes(), lo + m
@@ -332,11 +355,10 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
     occurrence included), r_sha (SHA-256 of the kept words joined by a space) and, if asked for, r_text (those words; the text itself where none
     is removed).
 
-    buckets: tasks of the two hash exchanges, the session's shuffle width unless given. chunks: groups of documents,
-    twice as many unless given; one should hold a few MB to tens of MB of text.
+    buckets, chunks: groups that the two hash exchanges and the documents are cut into; by the input's bytes and the
+    session's shuffle width unless given.
     """
-    width = shuffle_width(docs.sparkSession)
-    buckets, chunks = buckets or width, chunks or 2 * width
+    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 2)
     names = [f"c{i}" for i in range(len(docs.columns))]
     doc_id, text = docs.columns.index("doc_id"), docs.columns.index("text")
     kinds = [f.dataType for f in docs.schema.fields]
@@ -346,7 +368,7 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
         F.coalesce(F.col(f"c{doc_id}").cast("long"), F.lit(_NULL_ID)).alias("kd"),
         F.xxhash64(F.coalesce(F.col(f"c{text}").cast("string"), F.lit(""))).alias("kh"),
     )
-    keyed = keyed.withColumn("chunk", F.pmod(F.xxhash64("kd", "kh"), F.lit(chunks)).cast("int"))
+    keyed = keyed.withColumn("chunk", F.pmod(F.xxhash64("kd", "kh", F.spark_partition_id()), F.lit(chunks)).cast("int"))
     text_name = f"c{text}"
 
     def renamed(t: pa.Table) -> pa.Table:
@@ -354,9 +376,9 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
 
     by_chunk = keyed.groupBy("chunk")
     asked = by_chunk.applyInArrow(lambda t: _ask_anchors(renamed(t), how, buckets), _ASK)
-    anchor_bits = asked.repartitionById(buckets, F.col("bucket")).mapInArrow(_shared_anchors, _REPLY)
+    anchor_bits = asked.groupBy("bucket").applyInArrow(lambda t: _shared_anchors(t, how.key_bytes), _REPLY)
     asked = by_chunk.cogroup(anchor_bits.groupBy("chunk")).applyInArrow(lambda t, r: _ask_windows(renamed(t), r, how, buckets), _ASK)
-    window_bits = asked.repartitionById(buckets, F.col("bucket")).mapInArrow(_first_windows, _REPLY)
+    window_bits = asked.groupBy("bucket").applyInArrow(_first_windows, _REPLY)
     tagged = anchor_bits.withColumn("kind", F.lit(0)).unionByName(window_bits.withColumn("kind", F.lit(1)))
     kept = [i for i in range(len(names)) if with_text or i != text]
     fields = [T.StructField(names[i], kinds[i]) for i in kept]

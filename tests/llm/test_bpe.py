@@ -32,6 +32,23 @@ def test_encodes_and_decodes_as_the_library(library):
         assert tok.decode_text(tok.encode(text)) == library.decode(ids, skip_special_tokens=False), text
 
 
+def test_table_is_what_the_spines_say():
+    """The compiled rows against walking both tokens' spines, pair by pair."""
+    model = bpe._file(bpe.default_path())["model"]
+    table = bpe.compiled(bpe.default_path())
+    spines = bpe._Spines(model["vocab"], [tuple(m if isinstance(m, list) else m.split(" ")) for m in model["merges"]])
+    rng, size = random.Random(9), len(spines.rank)
+    pairs = [(rng.randrange(size), rng.randrange(size)) for _ in range(20_000)]
+    pairs += [(rng.choice([a, c]), rng.choice([b, d])) for (a, b), (c, d) in zip(rng.sample(list(spines.join), 5000), rng.sample(list(spines.join), 5000), strict=True)]
+    pairs += rng.sample(list(spines.join), 5000)
+    lost = 0
+    for u, v in pairs:
+        gone = spines.joined_before(u, v, 1 << 62)
+        lost += gone
+        assert table.follows(u, v) is not gone
+    assert 5000 <= lost < len(pairs)
+
+
 def test_digests_of_documents(spark, library):
     rows = corpus() + [(3000 + i, t) for i, t in enumerate(odd_texts()[::40])]
     want = []
@@ -60,7 +77,7 @@ def test_automaton_on_a_small_vocabulary():
     symbols = ["a", "b", "c"] + [x + bpe.END for x in "abc"]
     merges += [("b", "a" + bpe.END), ("ab", "c" + bpe.END)]
     vocabulary = {t: i for i, t in enumerate(symbols + [x + y for x, y in merges])}
-    auto = bpe.MergeAutomaton(vocabulary, merges)
+    auto = bpe.MergeAutomaton(vocabulary, bpe.transitions(vocabulary, merges))
     rank = {m: i for i, m in reversed(list(enumerate(merges)))}
 
     def merged(word):

@@ -5,16 +5,16 @@ from collections import Counter
 
 import pytest
 
-from levelmine.llm.lm import stupid_backoff
+from levelmine.llm.lm import backoff_by_rows, stupid_backoff
 from tests.llm.support import corpus, frame, space_words
 
 
 def brute(rows, order, leave_out):
-    docs = {(d, t or "") for d, t in rows}
+    docs = rows
     grams = lambda w: Counter(tuple(w[i : i + n]) for n in range(1, order + 1) for i in range(len(w) - n + 1))
     count, total = Counter(), 0
     for _, t in docs:
-        count += grams(space_words(t))
+        count.update(grams(space_words(t)))
         total += len(space_words(t))
     out = []
     for d, t in rows:
@@ -37,10 +37,11 @@ def brute(rows, order, leave_out):
 
 
 @pytest.mark.parametrize("leave_out", [True, False])
+@pytest.mark.parametrize("layout", [stupid_backoff, backoff_by_rows])
 @pytest.mark.parametrize("order", [1, 2, 3])
-def test_same_as_brute_force(spark, order, leave_out):
+def test_same_as_brute_force(spark, order, layout, leave_out):
     rows = corpus(n=30)
-    got = sorted(map(tuple, stupid_backoff(frame(spark, rows), order, leave_out=leave_out).collect()), key=lambda r: (str(r[0]), r[1], r[2]))
+    got = sorted(map(tuple, layout(frame(spark, rows), order, leave_out=leave_out).collect()), key=lambda r: (str(r[0]), r[1], r[2]))
     want = sorted(brute(rows, order, leave_out), key=lambda r: (str(r[0]), r[1], r[2]))
     assert len(got) == len(want)
     for g, w in zip(got, want, strict=True):

@@ -84,4 +84,43 @@ def test_turns_keep_lengths_and_angles():
     x = rng.normal(size=(50, 16))
     assert np.allclose(hadamard(x) @ hadamard(x).T, x @ x.T)
     turns = Turns(16, 1.0, False, tables=4)
-    assert turns.buckets(x).max() < 32
+    assert turns.cells(x).max() < 32
+    both = Turns(16, 1.0, False, tables=4, turns=2)
+    cells, probes = both.cells(x), both.probes(x, 3)
+    assert cells.max() < 32 * 32 and probes.shape == (50, 4, 3)
+    assert (probes == cells[:, :, None]).any(axis=2).all()  # a vector's own cell is the nearest
+
+
+def test_ids_that_repeat_crowd_nobody_out(spark):
+    rng = np.random.default_rng(3)
+    base = rng.normal(size=16)
+    rows = [(0, base.tolist())] + [(7, (base * (1 + i / 1000)).tolist()) for i in range(60)] + [(i, (base + 0.3 * rng.normal(size=16)).tolist()) for i in range(100, 140)]
+    got = nearest(frame(spark, rows), F.col("vec_id") % 20 == 0, block=16).filter("query_id = 0").orderBy("rank").collect()
+    assert [(r["vec_id"], round(r["score"], 5)) for r in got] == [(i, round(s, 5)) for i, s in brute(rows, 20)[0]]
+
+
+def test_longer_keys(spark, rows):
+    """Two turns a cell: fewer candidates, scores as exact."""
+    want, hit = brute(rows, 20), 0
+    got = nearest(frame(spark, rows), F.col("vec_id") % 20 == 0, turns=2, probes=24, tables=8).collect()
+    for r in got:
+        truth = dict(want[r["query_id"]])
+        hit += r["vec_id"] in truth
+        assert r["score"] == pytest.approx(truth.get(r["vec_id"], r["score"]), abs=1e-9)
+    assert len({(r["query_id"], r["vec_id"]) for r in got}) == len(got) and hit / len(got) > 0.7
+
+
+def test_recall_on_the_given_table(spark):
+    """The query's parameters on the given vectors, which are nearly without structure."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    kept = docs.toPandas()
+    x = np.stack(kept["embedding"].to_numpy()).astype(float)
+    ids = kept["vec_id"].to_numpy()
+    asked = np.flatnonzero(ids % 20 == 0)
+    near = x[asked] @ x.T
+    near[np.arange(len(asked)), asked] = -np.inf
+    truth = {int(ids[q]): set(ids[np.lexsort((ids, -near[i]))[:20]].tolist()) for i, q in enumerate(asked)}
+    got = nearest(docs, F.col("vec_id") % 20 == 0).toPandas()
+    assert len(got) == 20 * len(asked)
+    hit = sum(v in truth[q] for q, v in zip(got["query_id"], got["vec_id"], strict=True))
+    assert hit / len(got) >= 0.9
