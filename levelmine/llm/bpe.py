@@ -34,6 +34,8 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelmine.llm.kernel import give_back
+
 END = "</w>"
 #: Words kept with their tokens, in each Python worker.
 CACHED_WORDS = 200_000
@@ -333,6 +335,7 @@ def _digests(path: str, table: Broadcast):
                 ids_sha.append(sha(ids.encode()).hexdigest())
                 text_sha.append(sha(" ".join(map(by_text.__getitem__, each)).encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(count, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        give_back()
 
     return run
 

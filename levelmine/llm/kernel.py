@@ -76,6 +76,19 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
     return x
 
 
+def give_back() -> None:
+    """Returns freed memory of this process to the system, where the C library can; workers outlive their tasks."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 class Words:
     """The words of a block: bytes, byte range of each word, and for each row the range of its words."""
 

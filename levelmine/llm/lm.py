@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelmine.llm.kernel import gram_hashes, within_rows, word_blocks
-from levelmine.llm.repeats import _cuts
+from levelmine.llm.repeats import _cuts, _tidy
 from levelmine.llm.sizes import group_count
 from levelmine.session import materialise
 
@@ -181,17 +181,20 @@ def _scored(parts: DataFrame, leave_out: bool) -> DataFrame:
 
 def stupid_backoff(docs: DataFrame, order: int = ORDER, alpha: float = ALPHA, leave_out: bool = False, buckets: int | None = None, chunks: int | None = None) -> DataFrame:
     """doc_id, n_words, log_score (natural logarithm, summed over words), log_score_per_word."""
-    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 2)
+    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 4)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     keyed = keyed.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text", F.spark_partition_id()), F.lit(chunks)).cast("int"))
     by_chunk = keyed.groupBy("chunk")
-    asked = by_chunk.applyInArrow(lambda t: _ask(t, order, buckets), _ASK)
-    told = asked.groupBy("bucket").applyInArrow(_totals, _REPLY)
+    ask, total = _tidy(lambda t: _ask(t, order, buckets)), _tidy(_totals)
+    asked = by_chunk.applyInArrow(lambda t: ask(t), _ASK)
+    told = asked.groupBy("bucket").applyInArrow(lambda t: total(t), _REPLY)
     out = "doc_id long, n_words long, part double, singles long"
     empty = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("part", pa.float64()), ("singles", pa.int64())])
 
+    score = _tidy(lambda t, r: _summed(t, r, order, buckets, alpha, leave_out).cast(empty) if len(t) else empty.empty_table())
+
     def last(t: pa.Table, r: pa.Table) -> pa.Table:
-        return _summed(t, r, order, buckets, alpha, leave_out).cast(empty) if len(t) else empty.empty_table()
+        return score(t, r)
 
     return _scored(materialise(by_chunk.cogroup(told.groupBy("chunk")).applyInArrow(last, out), "scores"), leave_out)
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelmine.llm.kernel import NON_SPACE, word_blocks
+from levelmine.llm.kernel import NON_SPACE, give_back, word_blocks
 
 #: Documents of the training sample at most; the sample is those with the least hash of their id.
 SAMPLE_ROWS = 4000
@@ -107,18 +107,6 @@ def _sample_features(texts: list[str | None], size: int) -> tuple[np.ndarray, np
     return np.concatenate(found), np.concatenate(share), np.array(edge)
 
 
-def _give_back() -> None:
-    """Returns freed memory of the driver's Python to the system, where the C library can."""
-    import ctypes
-    import gc
-
-    gc.collect()
-    try:
-        ctypes.CDLL("libc.so.6").malloc_trim(0)
-    except (OSError, AttributeError):
-        pass
-
-
 def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
     """Per-document steps over shuffled epochs; bucket vectors step by their own gathered gradients."""
     size = _TABLE
@@ -162,7 +150,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> M
     got = rows.dropDuplicates(["doc_id"]).select("doc_id", "text", "quality").toArrow().sort_by("doc_id")
     model = train(got["text"].to_pylist(), got["quality"].to_numpy().astype(np.int64))
     del got
-    _give_back()
+    give_back()
     return model
 
 
@@ -176,6 +164,7 @@ def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFr
         for batch in batches:
             value = model.scores(batch.column(text))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(value), pa.array((value >= threshold).astype(np.int32))], [*names, "r_score", "r_predicted"])
+        give_back()
 
     out = docs.toDF(*names).withColumn(names[text], F.col(names[text]).cast("string")).mapInArrow(run, f"{kinds}, r_score double, r_predicted int")
     return out.toDF(*docs.columns, "r_score", "r_predicted")

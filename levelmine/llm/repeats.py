@@ -43,7 +43,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from levelmine.llm.kernel import cell_bytes, cells, gram_hashes, mix, run_edges, within_rows, word_blocks
+from levelmine.llm.kernel import cell_bytes, cells, give_back, gram_hashes, mix, run_edges, within_rows, word_blocks
 from levelmine.llm.sizes import group_count
 
 _U = np.uint64
@@ -350,6 +350,17 @@ def _result(table: pa.Table, anchor_bits: pa.Table, window_bits: pa.Table, how:
     return pa.table([rows[f.name].cast(f.type) if f.name[0] == "c" else out[f.name].take(doc).cast(f.type) for f in schema], schema=schema)
 
 
+def _tidy(fn: Callable[..., pa.Table]) -> Callable[..., pa.Table]:
+    """fn, and what it has freed goes back to the system: the next groups may be other operators'."""
+
+    def run(*tables: pa.Table) -> pa.Table:
+        out = fn(*tables)
+        give_back()
+        return out
+
+    return run
+
+
 def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, buckets: int | None = None, chunks: int | None = None) -> DataFrame:
     """The columns of docs, then r_words, r_removed, r_repeated (words of windows that occur more than once, the first
     occurrence included), r_sha (SHA-256 of the kept words joined by a space) and, if asked for, r_text (those words; the text itself where none
@@ -358,7 +369,7 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
     buckets, chunks: groups that the two hash exchanges and the documents are cut into; by the input's bytes and the
     session's shuffle width unless given.
     """
-    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 2)
+    buckets, chunks = buckets or group_count(docs), chunks or group_count(docs, 4)
     names = [f"c{i}" for i in range(len(docs.columns))]
     doc_id, text = docs.columns.index("doc_id"), docs.columns.index("text")
     kinds = [f.dataType for f in docs.schema.fields]
@@ -375,10 +386,11 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
         return t.append_column("text", t[text_name].cast(pa.large_string()))
 
     by_chunk = keyed.groupBy("chunk")
-    asked = by_chunk.applyInArrow(lambda t: _ask_anchors(renamed(t), how, buckets), _ASK)
-    anchor_bits = asked.groupBy("bucket").applyInArrow(lambda t: _shared_anchors(t, how.key_bytes), _REPLY)
-    asked = by_chunk.cogroup(anchor_bits.groupBy("chunk")).applyInArrow(lambda t, r: _ask_windows(renamed(t), r, how, buckets), _ASK)
-    window_bits = asked.groupBy("bucket").applyInArrow(_first_windows, _REPLY)
+    one, two = (lambda f: lambda t: f(t)), (lambda f: lambda t, r: f(t, r))  # Spark asks how many arguments there are
+    asked = by_chunk.applyInArrow(one(_tidy(lambda t: _ask_anchors(renamed(t), how, buckets))), _ASK)
+    anchor_bits = asked.groupBy("bucket").applyInArrow(one(_tidy(lambda t: _shared_anchors(t, how.key_bytes))), _REPLY)
+    asked = by_chunk.cogroup(anchor_bits.groupBy("chunk")).applyInArrow(two(_tidy(lambda t, r: _ask_windows(renamed(t), r, how, buckets))), _ASK)
+    window_bits = asked.groupBy("bucket").applyInArrow(one(_tidy(_first_windows)), _REPLY)
     tagged = anchor_bits.withColumn("kind", F.lit(0)).unionByName(window_bits.withColumn("kind", F.lit(1)))
     kept = [i for i in range(len(names)) if with_text or i != text]
     fields = [T.StructField(names[i], kinds[i]) for i in kept]
@@ -390,8 +402,8 @@ def remove_repeats(docs: DataFrame, how: Anchors, with_text: bool = False, bucke
 
     def last(t: pa.Table, r: pa.Table) -> pa.Table:
         kind = r["kind"]
-        one, two = (r.filter(pa.compute.equal(kind, k)) for k in (0, 1))
-        return _result(renamed(t), one, two, how, buckets, with_text, schema)
+        anchors, windows = (r.filter(pa.compute.equal(kind, k)) for k in (0, 1))
+        return _result(renamed(t), anchors, windows, how, buckets, with_text, schema)
 
-    out = by_chunk.cogroup(tagged.groupBy("chunk")).applyInArrow(last, T.StructType(fields))
+    out = by_chunk.cogroup(tagged.groupBy("chunk")).applyInArrow(two(_tidy(last)), T.StructType(fields))
     return out.toDF(*[docs.columns[i] for i in kept], *[f.name for f in fields[len(kept) :]])
