@@ -32,7 +32,7 @@ def _grown(up: DataFrame, k: int) -> DataFrame:
     return rows
 
 
-def cliques(graph: PropertyGraph, k: int, oriented: bool = False) -> DataFrame:
+def cliques(graph: PropertyGraph, k: int, oriented: bool = True) -> DataFrame:
     """(path): each clique once, its vertices in rising order."""
     up = materialise(upward(graph, oriented), "upward")
     if k == 1:

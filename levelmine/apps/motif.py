@@ -12,7 +12,7 @@ from levelmine.pattern.names import name_of
 from levelmine.session import materialise
 
 
-def motifs(graph: PropertyGraph, k: int, labelled: bool = False, engine: str = "verified", fuse_last: bool = True, strategy: str | None = None) -> DataFrame:
+def motifs(graph: PropertyGraph, k: int, labelled: bool = False, engine: str = "exact", fuse_last: bool = True, strategy: str | None = None) -> DataFrame:
     """(code, frequency). fuse_last: the last level flows into the counts and is never stored."""
     for level in explore(graph, k, strategy=strategy):  # noqa: B007
         pass
@@ -37,4 +37,4 @@ def match(graph: PropertyGraph, code: str, k: int, labelled: bool = False) -> Da
     if not labelled:
         rows = rows.withColumn("labels", F.array_repeat(F.lit(1), k))
     good = classify(rows.select("labels", "bits").distinct(), "exact").filter(F.col("code") == code)
-    return rows.join(F.broadcast(good), ["labels", "bits"], "left_semi").select("path")
+    return rows.join(good, ["labels", "bits"], "left_semi").select("path")

@@ -7,12 +7,13 @@ from pyspark.sql import functions as F
 
 from levelmine.explore.vertex import Level
 from levelmine.graph.model import PropertyGraph
-from levelmine.graph.numbering import numbered
+from levelmine.graph.numbering import numbered, running
 
 
 def predict(level: Level) -> DataFrame:
     """Adds pred: the number of candidates, the merged neighbour lists without the path itself. Exact."""
-    return level.df.withColumn("pred", F.size(F.array_except(F.map_keys("ext"), F.col("path"))).cast("long"))
+    own = "path" if "path" in level.df.columns else "eids"
+    return level.df.withColumn("pred", F.size(F.array_except(F.map_keys("ext"), F.col(own))).cast("long"))
 
 
 def degree_bound(graph: PropertyGraph, level: Level) -> DataFrame:
@@ -31,18 +32,20 @@ def split_even(level: DataFrame, parts: int, *order: str) -> DataFrame:
 
 def split_predicted(level: DataFrame, parts: int, *order: str) -> DataFrame:
     """level with pred: adds pos and part: runs of equal predicted work, by a running sum in two passes."""
-    from pyspark.sql import Window
-
-    block = F.floor(F.col("pos") / 100_000)
-    rows = numbered(level, *order).withColumn("block", block)
-    sums = rows.groupBy("block").agg(F.sum("pred").alias("s"))
-    before = Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    bases = sums.select("block", F.coalesce(F.sum("s").over(before), F.lit(0)).alias("base"))  # one row a block
-    total = sums.agg(F.sum("s")).first()[0] or 1
-    run = Window.partitionBy("block").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
-    ahead = F.col("base") + F.coalesce(F.sum("pred").over(run), F.lit(0))
-    out = rows.join(F.broadcast(bases), "block").withColumn("ahead", ahead)
-    return out.withColumn("part", F.least(F.floor(F.col("ahead") * parts / total), F.lit(parts - 1)).cast("int")).drop("block", "base", "ahead")
+    rows = numbered(level, *order)
+    total = rows.agg(F.sum("pred")).first()[0] or 1
+    ahead = running(rows, "pos", "pred", F.sum, lambda a, b: a + b, "ahead")
+    part = F.floor(F.coalesce("ahead", F.lit(0)) * parts / total)
+    return ahead.withColumn("part", F.least(part, F.lit(parts - 1)).cast("int")).drop("ahead")
+
+
+def dealt(level: Level, parts: int, predicted: bool) -> Level:
+    """The level's rows in parts of equal number, or of equal predicted work, a task each. Only keys and work are sorted."""
+    key = "path" if "path" in level.df.columns else "eids"
+    slim = predict(level).select("pos", F.col(key).alias("key"), "pred").withColumnRenamed("pos", "of")
+    split = (split_predicted if predicted else split_even)(slim, parts, "key").select("of", "part")
+    both = level.df.join(split, F.col("pos") == F.col("of")).drop("of")
+    return Level(both.repartitionById(parts, F.col("part")).drop("part"), level.k, True)
 
 
 def skew(parted: DataFrame) -> DataFrame:

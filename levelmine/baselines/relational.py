@@ -4,6 +4,9 @@ as many rounds as a k-clique has edges."""
 
 from __future__ import annotations
 
+import time
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -12,6 +15,10 @@ from levelmine.pattern.classify import classify
 from levelmine.session import materialise
 
 
+#: Numbers of partitions of which the best is taken: fixed values.
+PARTITIONS = (10, 20, 50, 100)
+
+
 def start(graph: PropertyGraph) -> DataFrame:
     """(eids, verts): single edges."""
     return graph.edges.select(F.array("eid").alias("eids"), F.array("src", "dst").alias("verts"))
@@ -53,15 +60,33 @@ def motifs(graph: PropertyGraph, k: int, engine: str = "search_tree") -> DataFra
 
 
 def cliques(graph: PropertyGraph, k: int) -> DataFrame:
-    """(path): cliques by rounds of edge growth: each round joins one more vertex by an edge and asks for all others."""
-    e = graph.edges.select("src", "dst")
-    rows = e.select(F.array("src", "dst").alias("path"))
-    for size in range(3, k + 1):
-        rows = rows.join(e.toDF("x", "v"), F.element_at("path", -1) == F.col("x")).select("path", "v")
-        for i in range(1, size - 1):
-            rows = rows.join(e.toDF("x", "y"), (F.element_at("path", i) == F.col("x")) & (F.col("v") == F.col("y")), "left_semi")
-        rows = rows.select(F.concat("path", F.array("v")).alias("path"))
-    return rows
+    """(path): cliques by rounds of edge growth: a clique of k vertices is reached when its last edge is added, so it takes
+    as many rounds as it has edges. Each round keeps the edge sets that can still become one."""
+    rows, edges = materialise(start(graph), "relation"), k * (k - 1) // 2
+    for size in range(2, edges + 1):
+        grown = grow(graph, rows, k)
+        # vertices of a set in the order in which a clique's edges can come: all pairs of the first ones, then the next
+        full = F.lit(False)
+        for n in range(2, k + 1):
+            if (n - 1) * (n - 2) // 2 < size <= n * (n - 1) // 2:
+                full = F.size("verts") == n
+        rows = materialise(grown.filter(full), "relation")
+    return rows.select(F.col("verts").alias("path"))
+
+
+def best_partitions(graph: PropertyGraph, run: Callable[[PropertyGraph], object], partitions: tuple[int, ...] = PARTITIONS) -> list[tuple[int, float]]:
+    """(partitions, seconds) of the same work under each number of shuffle partitions, fastest first; the setting is put back."""
+    conf, key, taken = graph.edges.sparkSession.conf, "spark.sql.shuffle.partitions", []
+    before = conf.get(key)
+    try:
+        for n in partitions:
+            conf.set(key, str(n))
+            began = time.perf_counter()
+            run(graph)
+            taken.append((n, time.perf_counter() - began))
+    finally:
+        conf.set(key, before)
+    return sorted(taken, key=lambda x: x[1])
 
 
 def triangles(graph: PropertyGraph) -> DataFrame:

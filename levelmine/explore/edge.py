@@ -2,7 +2,9 @@
 
 The canonical test is that of vertices on the line graph, which is never built: the edges next to a path are those at
 its endpoints, and a hub's edges are joined by the hub. A level has eids, verts (in order of first appearance), labels,
-bits (of the path's own edges alone), elabels (bit and label of each edge, by bit), and ext: edge -> (mask of path positions it touches, ends, label).
+bits (of the path's own edges alone), elabels (bit and label of each edge, by bit), and, if it is to be grown by carrying,
+pos and ext: edge -> (mask of path positions it touches, ends, label). Written rows have no ext: they name their parent and
+the new edge's ends, and `attached` joins what the parent holds.
 """
 
 from __future__ import annotations
@@ -40,7 +42,7 @@ def init(graph: PropertyGraph, carry: bool = True) -> Level:
         inc = incident(graph)
         e = e.join(inc.toDF("src", "is"), "src").join(inc.toDF("dst", "id_"), "dst")
         empty = F.map_filter("is", lambda k, v: F.lit(False))
-        cols.append(_with(_with(empty, F.col("is"), 0), F.col("id_"), 0).alias("ext"))
+        cols += [_with(_with(empty, F.col("is"), 0), F.col("id_"), 0).alias("ext"), F.col("eid").alias("pos")]
     return Level(e.select(*cols), 1, carry)
 
 
@@ -63,7 +65,7 @@ def _grown(rows: DataFrame) -> DataFrame:
     new, label = F.when(_place("s") == F.size("verts"), F.col("s")).otherwise(F.col("d")), F.when(_place("s") == F.size("verts"), F.col("ls")).otherwise(F.col("ld"))
     rows = rows.withColumns({"i": i, "j": j, "new": new, "lab": label})
     bit = F.expr("shiftleft(1L, cast(j * (j - 1) / 2 as int) + i)")
-    keep = [c for c in rows.columns if c in ("ext", "is", "id_")]
+    keep = [c for c in rows.columns if c in ("ext", "is", "id_", "parent", "s", "d")]
     return rows.select(
         F.concat("eids", F.array("eid")).alias("eids"),
         F.when(fresh, F.concat("verts", F.array("new"))).otherwise(F.col("verts")).alias("verts"),
@@ -88,17 +90,35 @@ def expand(graph: PropertyGraph, level: Level, efilter: EFilter = None, last: bo
     rows = rows.select(*level.df.columns, "eid", F.col("x.s").alias("s"), F.col("x.d").alias("d"), F.col("x.l").alias("el"))
     rows = _labelled(graph, rows.drop("ext") if last else rows)
     if last:
-        return Level(_grown(rows), level.k + 1)
+        return Level(_grown(rows).drop("s", "d"), level.k + 1)
     inc = incident(graph)
     rows = rows.join(inc.toDF("s", "is"), "s").join(inc.toDF("d", "id_"), "d")
-    grown = _grown(rows).withColumn("ext", _with(_with(F.col("ext"), F.col("is"), level.k), F.col("id_"), level.k)).drop("is", "id_")
+    grown = _grown(rows).withColumn("ext", _with(_with(F.col("ext"), F.col("is"), level.k), F.col("id_"), level.k)).drop("is", "id_", "s", "d")
     return Level(grown, level.k + 1, True)
 
 
+def children(graph: PropertyGraph, level: Level, efilter: EFilter = None) -> DataFrame:
+    """The rows of the next level without ext: parent, the new edge's ends s and d, eids, verts, labels, bits, elabels."""
+    rows = level.df.withColumn("above", suffix_max(F.col("eids"), level.k))
+    kept = ["eids", "verts", "labels", "bits", "elabels"]
+    rows = rows.select(F.col("pos").alias("parent"), *kept, F.explode(extensions(level, efilter, F.col("above"))).alias("eid", "x"))
+    rows = rows.select("parent", *kept, "eid", F.col("x.s").alias("s"), F.col("x.d").alias("d"), F.col("x.l").alias("el"))
+    return _grown(_labelled(graph, rows))
+
+
+def attached(graph: PropertyGraph, parents: Level, rows: DataFrame) -> Level:
+    """Written children (with pos) as a level with ext."""
+    inc = incident(graph)
+    own = rows.join(inc.toDF("s", "is"), "s").join(inc.toDF("d", "id_"), "d")
+    both = own.join(parents.df.select(F.col("pos").alias("up"), "ext"), F.col("parent") == F.col("up"))
+    ext = _with(_with(F.col("ext"), F.col("is"), parents.k), F.col("id_"), parents.k)
+    return Level(both.select("eids", "verts", "labels", "bits", "elabels", ext.alias("ext"), "pos"), parents.k + 1, True)
+
+
 def _distinct(graph: PropertyGraph, level: Level, efilter: EFilter) -> Level:
-    plain = level.df.drop("ext")
+    plain = level.df.drop("ext", "pos")
     near = graph.sym.select("u", "v", "eid", F.col("elabel").alias("el"))
     rows = plain.withColumn("u", F.explode("verts")).join(near, "u").filter(~F.array_contains("eids", F.col("eid")) & _allowed(efilter, F.col("eids"), F.col("eid")))
     rows = rows.select(*plain.columns, "eid", "el", F.least("u", "v").alias("s"), F.greatest("u", "v").alias("d"))
     rows = rows.withColumn("key", F.sort_array(F.concat("eids", F.array("eid")))).dropDuplicates(["key"]).drop("key")
-    return Level(_grown(_labelled(graph, rows)), level.k + 1)
+    return Level(_grown(_labelled(graph, rows)).drop("s", "d"), level.k + 1)

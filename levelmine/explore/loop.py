@@ -1,4 +1,5 @@
-"""The exploration loop: one round a level, each written before the next, guarded by an exact prediction of its rows."""
+"""The exploration loop: one round a level, each written as links before the next, guarded by an exact prediction of its
+rows. A written level is (pos, parent, vert, label, mask): a few numbers a row, whatever the degrees are."""
 
 from __future__ import annotations
 
@@ -20,16 +21,37 @@ def children(level: Level, efilter: EFilter = None) -> Column:
     return F.size(F.map_keys(made)).cast("long")
 
 
+#: (graph, level, filter) -> the next level, kept somewhere.
+Keep = Callable[[PropertyGraph, Level, EFilter], Level]
+
+
+def numbered_links(rows: DataFrame, name: str) -> DataFrame:
+    """Written rows with a unique pos, rising in the order of the files."""
+    return materialise(rows.withColumn("pos", F.monotonically_increasing_id()), name)
+
+
+def written(graph: PropertyGraph, level: Level, efilter: EFilter = None) -> Level:
+    """The next level, written as links."""
+    name = f"level{level.k + 1}"
+    if not level.carried:
+        grown = (vertex if "path" in level.df.columns else edge).expand(graph, level, efilter)
+        return Level(materialise(grown.df, name), grown.k)
+    if "path" in level.df.columns:
+        return vertex.attached(graph, level, numbered_links(vertex.children(level, efilter), name))
+    return edge.attached(graph, level, numbered_links(edge.children(graph, level, efilter), name))
+
+
 def predicted_rows(level: Level, efilter: EFilter = None) -> int:
     """Exact number of rows of the next level, counted without making them."""
     return level.df.agg(F.sum(children(level, efilter))).first()[0] or 0
 
 
 def explore(graph: PropertyGraph, k: int, mode: str = "vertex", efilter: EFilter = None, until: Callable[[Level], bool] | None = None,
-            max_rows: int | None = None, strategy: str | None = None, start: int = 1, keep: bool = True) -> Iterator[Level]:
+            max_rows: int | None = None, strategy: str | None = None, start: int = 1, keep: Keep | None = None) -> Iterator[Level]:
     """Yields the levels from `start` to k. The last one is left lazy, so that what uses it runs in the same job.
 
     until: stops after the first level for which it is true. max_rows: a round that would make more is refused.
+    keep: where the levels in between go; written as links unless given.
     """
     how: Plan = plan(graph, k, strategy)
     module = vertex if mode == "vertex" else edge
@@ -41,8 +63,7 @@ def explore(graph: PropertyGraph, k: int, mode: str = "vertex", efilter: EFilter
         if max_rows is not None and level.carried and (n := predicted_rows(level, efilter)) > max_rows:
             raise RuntimeError(f"level {level.k + 1} would have {n} rows; max_rows is {max_rows}")
         last = level.k + 1 == k
-        grown = module.expand(graph, level, efilter, last=last)
-        level = Level(materialise(grown.df, f"level{grown.k}"), grown.k, grown.carried) if keep and not last else grown
+        level = module.expand(graph, level, efilter, last=True) if last else (keep or written)(graph, level, efilter)
 
 
 def embeddings(graph: PropertyGraph, k: int, mode: str = "vertex", efilter: EFilter = None, strategy: str | None = None) -> DataFrame:

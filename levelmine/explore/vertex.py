@@ -1,9 +1,14 @@
 """Vertex-induced exploration: every connected subgraph of k vertices once, as a path in canonical order.
 
 A level has path, labels, bits (upper triangle of the adjacency matrix, row after row of the new vertex's adjacency to
-those before it) and, if it is to be grown by the carry strategy, ext: a map from every vertex adjacent to the path to
-its label and the mask of positions it is adjacent to. Growing joins ext with the new vertex's neighbours alone, and the
-canonical test needs nothing else. The rejoin strategy carries no map: it joins every position anew.
+those before it) and, if it is to be grown by the carry strategy, pos, its number, and ext: a map from every vertex
+adjacent to the path to its label and the mask of positions it is adjacent to. Growing joins ext with the new vertex's
+neighbours alone, and the canonical test needs nothing else. The rejoin strategy carries no map: it joins every position
+anew.
+
+What is kept of a level are links alone: pos, the parent's pos, the new vertex with its label and mask. `attached` makes
+the level of its links: the children meet their own vertices' lists first, and then, by parent, the one row that holds
+the prefix and its candidates.
 """
 
 from __future__ import annotations
@@ -55,7 +60,7 @@ def init(graph: PropertyGraph, depth: int = 1, carry: bool = True) -> Level:
             lists = graph.neighbours().select(F.col("id").alias("u"), "nbrs")
             base = base.join(lists, F.col("id") == F.col("u"), "left")
             ext = F.coalesce(_as_ext(F.col("nbrs"), 0), F.create_map().cast("map<bigint,bigint>"))
-        df = base.select(F.array("id").alias("path"), F.array("label").alias("labels"), F.lit(0).cast("long").alias("bits"), *([ext.alias("ext")] if carry else []))
+        df = base.select(F.array("id").alias("path"), F.array("label").alias("labels"), F.lit(0).cast("long").alias("bits"), *([ext.alias("ext"), F.col("id").alias("pos")] if carry else []))
         return Level(df, 1, carry)
     if not carry:
         lab = graph.vertices.select("id", "label")
@@ -63,9 +68,9 @@ def init(graph: PropertyGraph, depth: int = 1, carry: bool = True) -> Level:
         return Level(e.select(F.array("src", "dst").alias("path"), F.array("ls", "ld").alias("labels"), F.lit(1).cast("long").alias("bits")), 2)
     lists = graph.neighbours()
     a, b = lists.toDF("src", "ls", "ns"), lists.toDF("dst", "ld", "nd")
-    e = graph.edges.select("src", "dst").join(a, "src").join(b, "dst")
+    e = graph.edges.select("eid", "src", "dst").join(a, "src").join(b, "dst")
     ext = merged(_as_ext(F.col("ns"), 0), _as_ext(F.col("nd"), 1))
-    return Level(e.select(F.array("src", "dst").alias("path"), F.array("ls", "ld").alias("labels"), F.lit(1).cast("long").alias("bits"), ext.alias("ext")), 2, True)
+    return Level(e.select(F.array("src", "dst").alias("path"), F.array("ls", "ld").alias("labels"), F.lit(1).cast("long").alias("bits"), ext.alias("ext"), F.col("eid").alias("pos")), 2, True)
 
 
 def _allowed(efilter: EFilter, path: Column, v: Column) -> Column:
@@ -107,6 +112,38 @@ def expand(graph: PropertyGraph, level: Level, efilter: EFilter = None, last: bo
     return Level(both.select(*grown, merged(F.col("ext"), _as_ext(F.col("nbrs"), level.k)).alias("ext")), level.k + 1, True)
 
 
+LINK = "pos long, parent long, vert long, label int, mask long"
+
+
+def children(level: Level, efilter: EFilter = None) -> DataFrame:
+    """(parent, vert, label, mask): what tells the rows of the next level from their parents."""
+    rows = level.df.withColumn("above", suffix_max(F.col("path"), level.k))
+    rows = rows.select(F.col("pos").alias("parent"), F.explode(extensions(level, efilter, F.col("above"))).alias("vert", "x"))
+    return rows.select("parent", "vert", F.shiftright("x", MASK_BITS).cast("int").alias("label"), F.col("x").bitwiseAND(_MASK).alias("mask"))
+
+
+def attached(graph: PropertyGraph, parents: Level, links: DataFrame) -> Level:
+    """The level whose links these are, with ext."""
+    lists = graph.neighbours().select("id", "nbrs")
+    own = links.join(lists, F.col("vert") == F.col("id")).select("pos", "parent", "vert", "label", "mask", "nbrs")
+    above = parents.df.select(F.col("pos").alias("up"), "path", "labels", "bits", "ext")
+    value = F.shiftleft(F.col("label").cast("long"), MASK_BITS).bitwiseOR(F.col("mask"))
+    both = own.join(above, F.col("parent") == F.col("up"))
+    ext = merged(F.col("ext"), _as_ext(F.col("nbrs"), parents.k))
+    return Level(both.select(*_grown(parents, F.col("vert"), value), ext.alias("ext"), "pos"), parents.k + 1, True)
+
+
+def with_ext(graph: PropertyGraph, rows: DataFrame, k: int) -> Level:
+    """Rows of (path, labels, bits[, pos]) as a level with ext, from the lists of all their vertices."""
+    out = rows
+    for i in range(k):
+        out = out.join(graph.neighbours().select(F.col("id").alias(f"id{i}"), F.col("nbrs").alias(f"n{i}")), F.col("path")[i] == F.col(f"id{i}"))
+    ext = _as_ext(F.col("n0"), 0)
+    for i in range(1, k):
+        ext = merged(ext, _as_ext(F.col(f"n{i}"), i))
+    return Level(out.select(*rows.columns, ext.alias("ext")), k, True)
+
+
 def positions(graph: PropertyGraph, level: Level) -> DataFrame:
     """(path, labels, bits, v, mask): every vertex adjacent to a path, by joining all positions."""
     at = level.df.select("path", "labels", "bits", F.posexplode("path").alias("i", "u"))

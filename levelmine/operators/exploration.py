@@ -47,7 +47,30 @@ def induced_subgraph(spark, sf_dir):
     return g.induced(g.vertices.filter("label <= 3")).edges.select("src", "dst")
 
 
-@query()
+def _same_by_order() -> str:
+    """SQL: some order of three vertices takes one form to the other."""
+    from itertools import permutations
+
+    bit = {frozenset((0, 1)): 0, frozenset((0, 2)): 1, frozenset((1, 2)): 2}
+    ways = []
+    for p in permutations(range(3)):
+        labels = " AND ".join(f"x.l[{i + 1}] = y.l[{p[i] + 1}]" for i in range(3))
+        edges = " AND ".join(f"(x.bits >> {b}) & 1 = (y.bits >> {bit[frozenset(p[i] for i in pair)]}) & 1" for pair, b in bit.items())
+        ways.append(f"({labels} AND {edges})")
+    return " OR ".join(ways)
+
+
+_FORMS3 = """
+f AS (SELECT DISTINCT [a.label, b.label, c.label] AS l, 1 + CASE WHEN pr.a IS NULL THEN 0 ELSE 2 END + CASE WHEN qr.a IS NULL THEN 0 ELSE 4 END AS bits
+      FROM k3 JOIN v a ON a.id = p JOIN v b ON b.id = q JOIN v c ON c.id = r LEFT JOIN s pr ON pr.a = p AND pr.b = r LEFT JOIN s qr ON qr.a = q AND qr.b = r)
+"""
+_PATHS3 = """
+p3 AS (SELECT DISTINCT x.a AS p, x.b AS q, y.b AS r FROM s x JOIN s y ON (y.a = x.a OR y.a = x.b) WHERE y.b <> x.a AND y.b <> x.b),
+k3 AS (SELECT p, q, r FROM p3 WHERE p < q AND p < r AND NOT (r < q AND EXISTS (SELECT 1 FROM s WHERE s.a = p AND s.b = r)))
+"""
+
+
+@query(sql(COP, ctes.SYM, _PATHS3, _FORMS3, select=f"SELECT array_to_string(x.l, '-') AS labels_a, CAST(x.bits AS BIGINT) AS ba, array_to_string(y.l, '-') AS labels_b, CAST(y.bits AS BIGINT) AS bb, ({_same_by_order()}) AS isomorphic FROM f x JOIN f y ON list_sort(x.l) = list_sort(y.l) AND bit_count(x.bits) = bit_count(y.bits) AND (x.l < y.l OR (x.l = y.l AND x.bits < y.bits))"))
 def isomorphic_pairs(spark, sf_dir):
     """Which raw forms of three vertices are one pattern: a bijection that keeps labels and edges exists."""
     raw = loop.embeddings(load(part_copurchase, spark, sf_dir), 3).select("labels", "bits").distinct()
@@ -70,12 +93,6 @@ def automorphic_dedup(spark, sf_dir):
     return at.groupBy("path").agg(F.count("*").alias("n_edges")).select(_text(), "n_edges")
 
 
-_PATHS3 = """
-p3 AS (SELECT DISTINCT x.a AS p, x.b AS q, y.b AS r FROM s x JOIN s y ON (y.a = x.a OR y.a = x.b) WHERE y.b <> x.a AND y.b <> x.b),
-k3 AS (SELECT p, q, r FROM p3 WHERE p < q AND p < r AND NOT (r < q AND EXISTS (SELECT 1 FROM s WHERE s.a = p AND s.b = r)))
-"""
-
-
 @query(sql(COP, ctes.SYM, _PATHS3, select="SELECT p || '-' || q || '-' || r AS path FROM k3"))
 def canonical_check(spark, sf_dir):
     """Of all orders in which triples can be grown, the canonical ones."""
@@ -176,10 +193,13 @@ def embedding_degree(spark, sf_dir):
     return predict(level).groupBy(F.col("pred").alias("deg")).agg(F.count("*").alias("n"))
 
 
-@query()
+_DEEP = [ctes.SETS3] + [f"c{k} AS (SELECT DISTINCT list_sort(list_append(w, s.b)) AS w FROM (SELECT w, unnest(w) AS x FROM c{k - 1}) JOIN s ON s.a = x WHERE NOT list_contains(w, s.b))" for k in range(4, 8)]
+
+
+@query(sql(ctes.KNN.replace("r <= 5", "r <= 1"), ctes.SYM, *_DEEP, select="SELECT CAST(1 AS INTEGER) AS k, (SELECT count(*) FROM v) AS n UNION ALL SELECT 2, (SELECT count(*) FROM e)" + "".join(f" UNION ALL SELECT {k}, (SELECT count(*) FROM c{k})" for k in range(3, 8))))
 def deep_sizes(spark, sf_dir):
-    """Sizes of the levels 1 to 5."""
-    return loop.level_sizes(load(part_copurchase, spark, sf_dir), 5)
+    """Sizes of the levels 1 to 7 on a sparse graph: each vector and the nearest other one."""
+    return loop.level_sizes(load(vector_knn, spark, sf_dir, k=1), 7)
 
 
 @query(sql(ctes.KNN, ctes.SYM, ctes.SETS3, ctes.SETS4, select="SELECT count(*) AS n FROM c4"))

@@ -9,10 +9,11 @@ from levelmine.apps import clique, fsm, motif, triangle
 from levelmine.baselines import brute, layered_dag, relational
 from levelmine.explore import edge, loop
 from levelmine.operators.exploration import COP, _text, _WEDGES
+from levelmine.operators import shapes_sql
 from levelmine.operators.registry import query
 from levelmine.pattern import spectral
 from levelmine.pattern.classify import classify, counts_by_embedding, pattern_counts
-from levelmine.pattern.encode import bits_of, raw_counts
+from levelmine.pattern.encode import bits_of, matrix, raw_counts
 from levelmine.session import materialise
 from levelmine.sources import ctes
 from levelmine.sources.ctes import sql
@@ -28,6 +29,17 @@ def _labels(name: str = "labels"):
     return F.array_join(F.transform(name, lambda x: x.cast("string")), "-").alias("labels")
 
 
+def vertices_text(code):
+    """Column: label and degree of each vertex of a coded pattern, sorted; for the few patterns of a result."""
+
+    def text(c: str) -> str:
+        labels, bits = c.split("|")[:2]
+        labels, m = labels.split("."), matrix(len(labels.split(".")), int(bits, 16))
+        return " ".join(sorted(f"{x}:{sum(row)}" for x, row in zip(labels, m, strict=True)))
+
+    return F.udf(text, "string")(code).alias("vertices")
+
+
 # patterns
 
 
@@ -98,16 +110,28 @@ def spectral_degrees(spark, sf_dir):
     return _keyed(spark, sf_dir, False, True).select("frequency")
 
 
-@query()
+@query(sql(KNN, ctes.SYM, ctes.SETS3, ctes.SETS4, ctes.SHAPES4, select=shapes_sql.labelled_classes(4, "k4", "ds")))
 def spectral_labelled(spark, sf_dir):
-    return _keyed(spark, sf_dir, True, True)
+    """Labelled classes by the key alone: for each bag of labels and degrees, how many keys, and their embeddings."""
+    raw = raw_counts(loop.embeddings(load(vector_knn, spark, sf_dir), 4))
+    both = F.udf(lambda lab, bits: (spectral.key_text(spectral.key(tuple(lab), bits)), " ".join(sorted(f"{x}:{sum(r)}" for x, r in zip(lab, matrix(len(lab), bits), strict=True)))), "key string, vertices string")
+    keyed = raw.select(both("labels", "bits").alias("b"), "n").groupBy("b.key", "b.vertices").agg(F.sum("n").alias("n"))
+    return keyed.groupBy("vertices").agg(F.count("*").alias("classes"), F.sum("n").cast("long").alias("frequency"))
 
 
-@query()
+_TRIANGLES = ["sum(CASE WHEN (bits >> 0) & 1 = 1 AND (bits >> 1) & 1 = 1 AND (bits >> 2) & 1 = 1 THEN 1 ELSE 0 END)"] + [f"sum(CASE WHEN (bits >> {a}) & 1 = 1 AND (bits >> {b}) & 1 = 1 AND (bits >> {c}) & 1 = 1 THEN 1 ELSE 0 END)" for a, b, c in ((0, 3, 4), (1, 3, 5), (2, 4, 5))]
+
+
+@query(f"SELECT labels, bits, CAST(0 AS BIGINT) AS total, 2 * bit_count(bits) AS squares, CAST(6 * ({' + '.join(_TRIANGLES)}) AS BIGINT) AS cubes FROM ({_FIX}) GROUP BY labels, bits".replace("2 * bit_count(bits)", "CAST(2 * bit_count(bits) AS BIGINT)"))
 def eigenvalue_check(spark, sf_dir):
-    """Eigenvalues of the small graphs, rounded; the polynomial makes them needless."""
-    values = F.udf(lambda lab, bits: [round(x, 6) for x in spectral.eigenvalues(tuple(lab), bits, use_labels=False)], "array<double>")
-    return _raw(spark, FORMS).select(_labels(), "bits", values("labels", "bits").alias("eigenvalues"))
+    """Power sums of the small graphs' eigenvalues: none, twice the edges, six times the triangles."""
+
+    def sums(lab, bits):
+        values = spectral.eigenvalues(tuple(lab), bits, use_labels=False)
+        return [round(sum(x**n for x in values)) for n in (1, 2, 3)]
+
+    found = _raw(spark, FORMS).select(_labels(), "bits", F.udf(sums, "array<long>")("labels", "bits").alias("s"))
+    return found.select("labels", "bits", F.col("s")[0].alias("total"), F.col("s")[1].alias("squares"), F.col("s")[2].alias("cubes"))
 
 
 @query(sql(*_K3, select=_F3))
@@ -130,7 +154,7 @@ def named_motifs(spark, sf_dir):
     return motif.named(motif.motifs(load(vector_knn, spark, sf_dir), 4))
 
 
-@query()
+@query("SELECT * FROM (VALUES ('spectral', CAST(0 AS BIGINT), CAST(0 AS BIGINT)), ('verified', 0, 0), ('search_tree', 0, 0)) t(engine, false_merges, false_splits)")
 def engine_agreement(spark, sf_dir):
     """False merges and false splits of each engine against the exact form, over labelled raw forms of four vertices."""
     from functools import reduce
@@ -160,7 +184,7 @@ def motif_4(spark, sf_dir):
     return motif.named(motif.motifs(load(part_copurchase, spark, sf_dir), 4))
 
 
-@query()
+@query(sql(COP, ctes.SYM, ctes.SETS3, ctes.SETS4, ctes.SETS5, ctes.shapes5(), select="SELECT motif, frequency FROM m5"))
 def motif_5(spark, sf_dir):
     return motif.named(motif.motifs(load(part_copurchase, spark, sf_dir), 5))
 
@@ -187,14 +211,6 @@ def motif_3_labelled(spark, sf_dir):
     return motif.motifs(load(part_copurchase, spark, sf_dir), 3, labelled=True).select("frequency")
 
 
-@query(sql(COP, ctes.SYM, ctes.SETS3, ctes.SHAPES3, select="SELECT a || '-' || b || '-' || c AS path FROM t3"))
-def match_triangle(spark, sf_dir):
-    from levelmine.pattern.exact import canonical
-
-    code = canonical((1, 1, 1), 7)[0]
-    return motif.match(load(part_copurchase, spark, sf_dir), code, 3).select(_text(name="path"))
-
-
 # cliques and triangles
 
 _C3 = "q3 AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst)"
@@ -202,6 +218,14 @@ _C4 = "q4 AS (SELECT a, b, c, w.dst AS d FROM q3 JOIN e w ON w.src = c JOIN e x
 _C5 = "q5 AS (SELECT x.a, x.b, x.c, x.d, y.d AS f FROM q4 x JOIN q4 y ON x.a = y.a AND x.b = y.b AND x.c = y.c AND x.d < y.d JOIN e ON src = x.d AND dst = y.d)"
 
 
+@query(sql(COP, _C3, select="SELECT a || '-' || b || '-' || c AS path FROM q3"))
+def match_triangle(spark, sf_dir):
+    from levelmine.pattern.exact import canonical
+
+    code = canonical((1, 1, 1), 7)[0]
+    return motif.match(load(part_copurchase, spark, sf_dir), code, 3).select(_text(name="path"))
+
+
 @query(sql(SUP, _C3, select="SELECT a || '-' || b || '-' || c AS path FROM q3"))
 def clique_3(spark, sf_dir):
     return clique.cliques(load(supplier_coorder, spark, sf_dir), 3).select(_text(name="path"))
@@ -292,27 +316,63 @@ def mni_edges(spark, sf_dir):
     return mni.exact(edge.init(load(part_copurchase, spark, sf_dir), carry=False).df).select("mni")
 
 
-@query(sql(COP, _E1, select=f"SELECT CAST(1 AS INTEGER) AS n_edges, mni FROM s1 WHERE mni >= {_S}"))
+def _told(found):
+    """Frequent patterns as the SQL names them."""
+    return found.select("n_edges", vertices_text("pattern"), "mni", "embeddings")
+
+
+def _frequent(n: int, graph: str = COP, least: str = _S) -> str:
+    return sql(graph, ctes.SYM, select=shapes_sql.frequent(n, least))
+
+
+@query(_frequent(1))
 def fsm_edges_1(spark, sf_dir):
-    return _fsm(spark, sf_dir, 1).select("n_edges", "mni")
+    return _told(_fsm(spark, sf_dir, 1))
 
 
-_FSM2 = sql(COP, ctes.SYM, _E1, _E2, select=f"SELECT CAST(1 AS INTEGER) AS n_edges, mni FROM s1 WHERE mni >= {_S} UNION ALL SELECT 2, mni FROM s2 WHERE mni >= {_S}")
+_FSM2 = _frequent(2)
 
 
 @query(_FSM2)
 def fsm_edges_2(spark, sf_dir):
-    return _fsm(spark, sf_dir, 2).select("n_edges", "mni")
+    return _told(_fsm(spark, sf_dir, 2))
 
 
-@query()
+@query(_frequent(3))
 def fsm_edges_3(spark, sf_dir):
-    return _fsm(spark, sf_dir, 3)
+    return _told(_fsm(spark, sf_dir, 3))
 
 
-@query()
+@query(_frequent(4))
 def fsm_edges_4(spark, sf_dir):
-    return _fsm(spark, sf_dir, 4)
+    return _told(_fsm(spark, sf_dir, 4))
+
+
+#: Labels folded to two, so that patterns of four edges are frequent too.
+TWO = COP.replace("CAST(t.label AS INTEGER) AS label", "CAST(t.label % 2 + 1 AS INTEGER) AS label")
+TWO_SUPPORT = 100
+
+
+def two_labels(spark, sf_dir):
+    g = load(part_copurchase, spark, sf_dir)
+    return g.relabelled(g.vertices.select("id", (F.col("label") % 2 + 1).alias("label")))
+
+
+@query(_frequent(4, TWO, str(TWO_SUPPORT)))
+def fsm_edges_4_two_labels(spark, sf_dir):
+    return _told(fsm.fsm(two_labels(spark, sf_dir), 4, TWO_SUPPORT))
+
+
+@query(_frequent(3, TWO, str(TWO_SUPPORT)))
+def fsm_by_distinct(spark, sf_dir):
+    """Grown without carrying candidates, as for graphs whose hubs do not fit a row."""
+    return _told(fsm.fsm(two_labels(spark, sf_dir), 3, TWO_SUPPORT, strategy="distinct"))
+
+
+@query(f"SELECT n_edges, vertices FROM ({_frequent(4, TWO, str(TWO_SUPPORT))})")
+def fsm_capped_4(spark, sf_dir):
+    """Counting stops early: the set of patterns is that of the exact counts."""
+    return fsm.fsm(two_labels(spark, sf_dir), 4, TWO_SUPPORT, exact=False).select("n_edges", vertices_text("pattern"))
 
 
 BRAND = COP.replace("p_type", "p_brand")
@@ -337,7 +397,7 @@ def fsm_capped(spark, sf_dir):
 
 @query(_FSM2)
 def fsm_noprune(spark, sf_dir):
-    return _fsm(spark, sf_dir, 2, prune=False).select("n_edges", "mni")
+    return _told(_fsm(spark, sf_dir, 2, prune=False))
 
 
 @query(sql(COP, _E1, select=f"SELECT count(*) AS n FROM p1 JOIN s1 USING (lo, hi) WHERE mni >= {_S}"))
@@ -351,9 +411,12 @@ def fsm_count(spark, sf_dir):
     return _fsm(spark, sf_dir, 2, measure="count").select("n_edges", "mni")
 
 
-@query()
+@query(sql(COP, ctes.SYM, _E1, _E2, select="SELECT count(*) AS patterns, count(*) AS close FROM s2"))
 def mni_approx(spark, sf_dir):
-    return mni.approximate(loop.embeddings(load(part_copurchase, spark, sf_dir), 2, mode="edge"))
+    """Supports by sketches: patterns, and those within a fifth of the exact number."""
+    level = materialise(loop.embeddings(load(part_copurchase, spark, sf_dir), 2, mode="edge"), "two")
+    both = mni.approximate(level).withColumnRenamed("mni", "screen").join(mni.exact(level), "code")
+    return both.agg(F.count("*").alias("patterns"), F.sum((F.abs(F.col("screen") - F.col("mni")) <= 0.2 * F.col("mni") + 1).cast("long")).alias("close"))
 
 
 @query(sql(COP, _WEDGES, select="SELECT count(*) AS n FROM w2"))
@@ -379,10 +442,34 @@ def job_count_only(spark, sf_dir):
     return api.MiningJob(load(vector_knn, spark, sf_dir), 3, mapper=None).run()
 
 
-@query()
+_LOW = f"""
+low AS (SELECT src, dst FROM e WHERE src IN (SELECT id FROM v WHERE label <= 3) AND dst IN (SELECT id FROM v WHERE label <= 3)),
+s AS (SELECT src AS a, dst AS b FROM low UNION ALL SELECT dst, src FROM low)"""
+
+
+@query(sql(COP, _LOW, ctes.SETS3, ctes.LABELLED3, select=shapes_sql.labelled_classes(3, "k3s", "ds").replace("count(*) AS classes, ", "")))
 def job_each_round(spark, sf_dir):
-    """Patterns are filtered after every round; the embeddings of the others are not grown."""
-    return api.MiningJob(load(part_copurchase, spark, sf_dir), 3, mode="edge", loop="each", pfilter=F.col("value") >= 20).run()
+    """Patterns are filtered after every round, here to three labels; the embeddings of the others are not grown."""
+    low = F.expr("forall(split(split(pattern, '[|]')[0], '[.]'), x -> int(x) <= 3)")
+    found = api.MiningJob(load(part_copurchase, spark, sf_dir), 3, loop="each", pfilter=low).run()
+    return found.groupBy(vertices_text("pattern")).agg(F.sum("value").cast("long").alias("frequency"))
+
+
+@query(sql(COP, ctes.SYM, ctes.SETS3, ctes.SETS4, ctes.SHAPES4, select=_M4))
+def job_balanced(spark, sf_dir):
+    """Each level dealt out by predicted work before it is grown; levels by predicted size in memory or on disk."""
+    from levelmine.store.hybrid import Storage
+
+    job = api.MiningJob(load(part_copurchase, spark, sf_dir), 4, labelled=False, balance="predicted", storage=Storage("hybrid", 1 << 20))
+    return motif.named(job.run().withColumnsRenamed({"pattern": "code", "value": "frequency"}))
+
+
+@query(sql(KNN, ctes.SYM, ctes.SETS3, ctes.SHAPES3, select="SELECT CAST(sum(frequency) AS BIGINT) AS mapped, count(*) AS final, true AS between FROM m3"))
+def combine_rows(spark, sf_dir):
+    """Pairs that the mapper makes, raw forms in the end; what tasks pass on lies between."""
+    level = loop.embeddings(load(vector_knn, spark, sf_dir), 3).withColumn("labels", F.array_repeat(F.lit(1), 3))
+    got = api.combine_rows(level.withColumn("bits", F.when(F.bit_count("bits") == 3, 7).otherwise(3)))
+    return got.select("mapped", "final", ((F.col("partial") <= F.col("mapped")) & (F.col("partial") >= F.col("final"))).alias("between"))
 
 
 # baselines
@@ -398,9 +485,20 @@ def baseline_relational_motif_3(spark, sf_dir):
     return motif.named(relational.motifs(load(vector_knn, spark, sf_dir), 3, "exact"))
 
 
-@query(sql(SUP, _C3, _C4, select="SELECT a || '-' || b || '-' || c || '-' || d AS path FROM q4"))
+@query(sql(KNN, ctes.SYM, ctes.SETS3, ctes.SETS4, ctes.SHAPES4, select=_M4))
+def baseline_relational_motif_4(spark, sf_dir):
+    """Six rounds: a clique of four is reached with its sixth edge."""
+    return motif.named(relational.motifs(load(vector_knn, spark, sf_dir), 4, "exact"))
+
+
+@query(sql(SUP, _C3, select="SELECT a || '-' || b || '-' || c AS path FROM q3"))
+def baseline_relational_clique_3(spark, sf_dir):
+    return relational.cliques(load(supplier_coorder, spark, sf_dir), 3).select(_text(name="path"))
+
+
+@query(sql(KNN, _C3, _C4, select="SELECT a || '-' || b || '-' || c || '-' || d AS path FROM q4"))
 def baseline_relational_clique_4(spark, sf_dir):
-    return relational.cliques(load(supplier_coorder, spark, sf_dir), 4).select(_text(name="path"))
+    return relational.cliques(load(vector_knn, spark, sf_dir), 4).select(_text(name="path"))
 
 
 @query(sql(SUP, _C3, select="SELECT count(*) AS n FROM q3"))
@@ -433,7 +531,7 @@ def brute_3(spark, sf_dir):
     return brute.subsets(load(vector_knn, spark, sf_dir), 3).select(_text("verts"))
 
 
-@query()
+@query(sql(COP, ctes.SYM, ctes.SETS3, _WEDGES, _C3, select="SELECT CAST(1 AS INTEGER) AS round, (SELECT count(*) FROM e) AS relational_rows, (SELECT count(*) FROM v) AS level_rows UNION ALL SELECT 2, (SELECT count(*) FROM w2), (SELECT count(*) FROM e) UNION ALL SELECT 3, (SELECT count(*) FROM q3), (SELECT count(*) FROM c3)"))
 def relational_rounds(spark, sf_dir):
     """Rows that each round of the relational baseline makes, beside the levels of the exploration."""
     g = load(part_copurchase, spark, sf_dir)

@@ -187,11 +187,13 @@ def agg_degrees(spark, sf_dir):
     return d.agg(F.min("deg").alias("lo"), F.max("deg").alias("hi"), F.round(F.avg("deg"), 6).alias("mean"), F.round(F.stddev_samp("deg"), 6).alias("sd"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY deg)").cast("long").alias("median"))
 
 
-@query()
+@query(sql(COP, select="SELECT count(DISTINCT src) AS exact, true AS hll_plus_close, true AS hll_sketch_close FROM e"))
 def distinct_approx(spark, sf_dir):
-    """Distinct ends of edges, by two sketches; a screen, not an answer."""
+    """Distinct ends of edges, by two sketches within a fifth of the exact number; a screen, not an answer."""
     e = _g(spark, sf_dir).edges
-    return e.agg(F.approx_count_distinct("src").alias("hll_plus"), F.hll_sketch_estimate(F.hll_sketch_agg("src")).alias("hll_sketch"))
+    got = e.agg(F.countDistinct("src").alias("exact"), F.approx_count_distinct("src").alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("src")).alias("b"))
+    close = lambda c: F.abs(F.col(c) - F.col("exact")) <= 0.2 * F.col("exact")
+    return got.select("exact", close("a").alias("hll_plus_close"), close("b").alias("hll_sketch_close"))
 
 
 @query(sql(SUP, ctes.SYM, select="SELECT id, deg, CAST(row_number() OVER (PARTITION BY label ORDER BY deg DESC, id) AS INTEGER) AS rn, CAST(rank() OVER (PARTITION BY label ORDER BY deg DESC) AS INTEGER) AS rk, CAST(dense_rank() OVER (PARTITION BY label ORDER BY deg DESC) AS INTEGER) AS dr, CAST(ntile(3) OVER (PARTITION BY label ORDER BY deg DESC, id) AS INTEGER) AS nt FROM (SELECT a AS id, count(*) AS deg FROM s GROUP BY 1) JOIN v USING (id)"))
@@ -233,10 +235,15 @@ def topk_per_label(spark, sf_dir):
     return agg_pattern(spark, sf_dir).withColumn("r", F.row_number().over(w)).filter("r <= 2").drop("r")
 
 
-@query()
+@query(sql(COP, select="SELECT count(*) AS edges, true AS all_known, true AS about_half FROM e"))
 def sample_edges(spark, sf_dir):
-    """A tenth of the edges, for a profile."""
-    return _g(spark, sf_dir).edges.sample(0.1, seed=1).select("src", "dst")
+    """A sample of half the edges: all are edges, and about half."""
+    e = _g(spark, sf_dir).edges.select("src", "dst")
+    some = e.sample(0.5, seed=1).withColumn("hit", F.lit(1))
+    both = e.join(some, ["src", "dst"], "full")
+    counts = both.agg(F.count("*").alias("edges"), F.count("hit").alias("n"))
+    known = some.join(e, ["src", "dst"], "left_anti").agg((F.count("*") == 0).alias("all_known"))
+    return counts.join(known).select("edges", "all_known", F.col("n").between(0.25 * F.col("edges"), 0.75 * F.col("edges")).alias("about_half"))
 
 
 @query(sql(COP, select="SELECT CAST(src AS BIGINT) AS id FROM e UNION SELECT dst FROM e"))

@@ -38,7 +38,7 @@ f3 AS (SELECT l3.pos, l2.pos AS parent, r AS vert, p, q, r FROM l3 JOIN l2 ON p
 
 @query(sql(COP, ctes.SYM, _PATHS3, _LEVELS, select="SELECT pos, parent, CAST(vert AS BIGINT) AS vert FROM f3"))
 def level_table_3(spark, sf_dir):
-    return _store(spark, sf_dir).level(3)
+    return _store(spark, sf_dir).level(3).select("pos", "parent", "vert")
 
 
 _OFFSETS = """
@@ -54,7 +54,7 @@ def level_offsets_3(spark, sf_dir):
 
 @query(sql(COP, ctes.SYM, _PATHS3, _LEVELS, select="SELECT pos, parent, CAST(vert AS BIGINT) AS vert FROM f3 WHERE parent = 7"))
 def level_children(spark, sf_dir):
-    return _store(spark, sf_dir).children(3, 7)
+    return _store(spark, sf_dir).children(3, 7).select("pos", "parent", "vert")
 
 
 @query(sql(COP, ctes.SYM, _PATHS3, _LEVELS, select="SELECT CAST(5 AS BIGINT) AS pos, p || '-' || q || '-' || r AS path FROM l3 WHERE pos = 5"))
@@ -90,12 +90,16 @@ def paths_layout(spark, sf_dir):
 
 @query()
 def store_bytes(spark, sf_dir):
-    """Bytes of each level in both layouts, its rows, and the expected number by the formula."""
+    """Bytes of each level as links, as whole paths and as a layered DAG, its rows, and the expected number by the formula."""
+    from levelmine.baselines.layered_dag import LayeredDag
     from levelmine.measure.stats import space_formula
+    from levelmine.session import path_bytes
 
-    links, paths, s = _store(spark, sf_dir), _store(spark, sf_dir, layout="paths"), load(part_copurchase, spark, sf_dir).stats().first()
-    rows = [(k, links.level(k).count(), links.bytes(k), paths.bytes(k), float(space_formula(s["n_vertices"], s["n_edges"], k))) for k in (1, 2, 3)]
-    return spark.createDataFrame(rows, "k int, n_rows long, link_bytes long, path_bytes long, expected_rows double")
+    g = load(part_copurchase, spark, sf_dir)
+    links, paths, s = _store(spark, sf_dir), _store(spark, sf_dir, layout="paths"), g.stats().first()
+    dag = {k: sum(path_bytes(spark, f) for link in LayeredDag.build(paths.level(k), k).links for f in link.inputFiles()) for k in (2, 3)}
+    rows = [(k, links.level(k).count(), links.bytes(k), paths.bytes(k), dag.get(k), float(space_formula(s["n_vertices"], s["n_edges"], k))) for k in (1, 2, 3)]
+    return spark.createDataFrame(rows, "k int, n_rows long, link_bytes long, path_bytes long, dag_bytes long, expected_rows double")
 
 
 _MOTIF3 = sql(COP, ctes.SYM, ctes.SETS3, ctes.SHAPES3, select="SELECT motif, CAST(frequency AS BIGINT) AS frequency FROM m3")
@@ -130,8 +134,8 @@ def even_parts(spark, sf_dir):
 @query(sql(COP, select="SELECT CAST(part AS INTEGER) AS part, count(*) AS n, min(pos) AS lo, max(pos) AS hi FROM (SELECT pos, pos * 4 // (SELECT count(*) FROM e) AS part FROM (SELECT row_number() OVER (ORDER BY src, dst) - 1 AS pos FROM e)) GROUP BY 1"))
 def level_parts(spark, sf_dir):
     """Parts as folders, read back part by part."""
-    store = _store(spark, sf_dir)
-    parted = balance.split_even(store.paths(2).select("path"), 4, "path")
+    store = LevelStore(spark)
+    parted = balance.split_even(_store(spark, sf_dir).paths(2).select("path"), 4, "path")
     back = spark.read.parquet(store.write_parts(2, parted))
     return back.groupBy("part").agg(F.count("*").alias("n"), F.min("pos").alias("lo"), F.max("pos").alias("hi"))
 
@@ -142,6 +146,25 @@ def by_part_same_answer(spark, sf_dir):
     return expand_by_part(g, vertex.init(g, 2), 3).select(_text())
 
 
+@query(sql(COP, ctes.SYM, ctes.SETS3, ctes.SETS4, select="SELECT array_to_string(w, '-') AS verts FROM c4"))
+def by_window_same_answer(spark, sf_dir):
+    """Level 4 from parts of the stored level 3 and the windows of the levels above it."""
+    from levelmine.store.hybrid import expand_windows
+
+    return expand_windows(load(part_copurchase, spark, sf_dir), _store(spark, sf_dir), 3).select(_text())
+
+
+@query(sql(COP, ctes.SYM, _PATHS3, _LEVELS, select="SELECT CAST(part AS INTEGER) AS part, count(DISTINCT parent) AS runs, min(pos) AS lo, max(pos) + 1 AS hi FROM (SELECT pos, parent, pos * 4 // (SELECT count(*) FROM f3) AS part FROM f3) GROUP BY 1"))
+def part_offsets(spark, sf_dir):
+    """The offsets that are written beside the parts of level 3."""
+    store = _store(spark, sf_dir, layout="links")
+    rows = store.level(3).select("pos", "parent", "vert")
+    parted = balance.split_even(rows.withColumnRenamed("pos", "own"), 4, "own").drop("pos").withColumnRenamed("own", "pos")
+    store.write_parts(3, parted)
+    runs = spark.read.parquet(f"{store.root}/parts_offsets=3")
+    return runs.groupBy("part").agg(F.count("*").alias("runs"), F.min("start").alias("lo"), F.max("stop").alias("hi"))
+
+
 _PRED = "SELECT e.src, e.dst, count(DISTINCT s.b) FILTER (WHERE s.b NOT IN (e.src, e.dst)) AS pred FROM e JOIN s ON s.a IN (e.src, e.dst) GROUP BY 1, 2"
 
 
@@ -170,7 +193,15 @@ def predicted_parts(spark, sf_dir):
     return parted.groupBy("part").agg(F.count("*").alias("n"), F.sum("pred").alias("work"))
 
 
-@query()
+_SKEW = f"""
+p AS ({_PRED}),
+q AS (SELECT pred, row_number() OVER (ORDER BY src, dst) - 1 AS pos, coalesce(sum(pred) OVER (ORDER BY src, dst ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead, sum(pred) OVER () AS total, count(*) OVER () AS n FROM p),
+parts AS (SELECT 'even' AS split, pos * 8 // n AS part, pred FROM q UNION ALL SELECT 'predicted', least(ahead * 8 // total, 7), pred FROM q),
+work AS (SELECT split, part, sum(pred) AS w FROM parts GROUP BY 1, 2)
+"""
+
+
+@query(sql(COP, ctes.SYM, _SKEW, select="SELECT split, count(*) AS parts, CAST(max(w) AS BIGINT) AS max_pred, round(avg(w), 6) AS mean_pred, round(max(w) / avg(w), 6) AS skew FROM work GROUP BY 1"))
 def part_skew(spark, sf_dir):
     """How unequal parts are, split by number and by predicted work."""
     g = load(part_copurchase, spark, sf_dir)

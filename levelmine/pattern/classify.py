@@ -1,7 +1,8 @@
 """Classes of raw patterns by one of four engines, always over the few distinct raw forms.
 
-spectral: the invariant key. exact: the canonical form. verified: spectral buckets, the exact form only where a bucket
-holds more than one raw form. search_tree: the baseline's labelling.
+exact: the canonical form, the default. spectral: the invariant key. verified: the key of a bucket with one raw form, the
+exact form where a bucket holds several; its codes are classes of one call, to be compared within it. search_tree: the
+baseline's labelling.
 """
 
 from __future__ import annotations
@@ -14,6 +15,7 @@ from pyspark.sql import functions as F
 
 from levelmine.pattern import exact, search_tree, spectral
 from levelmine.pattern.encode import raw_counts
+from levelmine.session import materialise
 
 ENGINES = ("verified", "exact", "spectral", "search_tree")
 
@@ -34,19 +36,17 @@ def _coded(engine: str):
     return run
 
 
-def classify(raw: DataFrame, engine: str = "verified") -> DataFrame:
+def classify(raw: DataFrame, engine: str = "exact") -> DataFrame:
     """raw(labels, bits, ...): adds code."""
     if engine not in ENGINES:
         raise ValueError(f"engines: {', '.join(ENGINES)}")
     if engine != "verified":
         return raw.mapInPandas(_coded(engine), f"{_ddl(raw)}, code string")
-    keyed = raw.mapInPandas(_coded("spectral"), f"{_ddl(raw)}, code string").withColumnRenamed("code", "bucket")
+    keyed = materialise(raw.mapInPandas(_coded("spectral"), f"{_ddl(raw)}, code string").withColumnRenamed("code", "bucket"), "buckets")
     forms = keyed.groupBy("bucket").agg(F.countDistinct("labels", "bits").alias("forms"))
     both = keyed.join(forms, "bucket")
     many = both.filter("forms > 1").select(*raw.columns).mapInPandas(_coded("exact"), f"{_ddl(raw)}, code string")
-    # a bucket of one form needs no search; its code is made once for the name's sake
-    one = both.filter("forms = 1").select(*raw.columns).mapInPandas(_coded("exact"), f"{_ddl(raw)}, code string")
-    return many.unionByName(one)
+    return many.unionByName(both.filter("forms = 1").select(*raw.columns, F.concat(F.lit("key:"), "bucket").alias("code")))
 
 
 def _ddl(df: DataFrame) -> str:
@@ -76,7 +76,7 @@ def positions(raw: DataFrame) -> DataFrame:
     return raw.mapInPandas(run, f"{_ddl(raw)}, code string, place array<int>, orbit array<int>")
 
 
-def pattern_counts(level: DataFrame, labelled: bool = True, engine: str = "verified") -> DataFrame:
+def pattern_counts(level: DataFrame, labelled: bool = True, engine: str = "exact") -> DataFrame:
     """(code, frequency): raw forms are counted first, the distinct ones classified, and their counts added up."""
     return classify(raw_counts(level, labelled), engine).groupBy("code").agg(F.sum("n").cast("long").alias("frequency"))
 

@@ -7,7 +7,7 @@ import functools
 from levelmine.pattern.encode import bits_of
 from levelmine.pattern.exact import canonical
 
-#: Shapes of three and four vertices: fixed values.
+#: Shapes of three, four and five vertices: fixed values. Path, star, cycle and clique of five are named by rule below.
 SHAPES = {
     "chain": (3, [(0, 1), (1, 2)]),
     "triangle": (3, [(0, 1), (1, 2), (0, 2)]),
@@ -17,6 +17,23 @@ SHAPES = {
     "tailed_triangle": (4, [(0, 1), (1, 2), (0, 2), (2, 3)]),
     "diamond": (4, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 2)]),
     "clique": (4, [(0, 1), (0, 2), (0, 3), (1, 2), (1, 3), (2, 3)]),
+    "fork": (5, [(0, 1), (0, 2), (0, 3), (3, 4)]),
+    "cricket": (5, [(0, 1), (0, 2), (1, 2), (0, 3), (0, 4)]),
+    "bull": (5, [(0, 1), (0, 2), (1, 2), (0, 3), (1, 4)]),
+    "lollipop_3_2": (5, [(0, 1), (0, 2), (1, 2), (2, 3), (3, 4)]),
+    "banner": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 4)]),
+    "butterfly": (5, [(0, 1), (0, 2), (1, 2), (0, 3), (0, 4), (3, 4)]),
+    "dart": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 2), (0, 4)]),
+    "kite": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 2), (1, 4)]),
+    "house": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 4), (1, 4)]),
+    "bipartite_2_3": (5, [(0, 2), (0, 3), (0, 4), (1, 2), (1, 3), (1, 4)]),
+    "book": (5, [(0, 1), (0, 2), (0, 3), (0, 4), (1, 2), (1, 3), (1, 4)]),
+    "gem": (5, [(0, 1), (1, 2), (2, 3), (0, 4), (1, 4), (2, 4), (3, 4)]),
+    "lollipop_4_1": (5, [(0, 1), (0, 2), (0, 3), (1, 2), (1, 3), (2, 3), (0, 4)]),
+    "wheel_less_a_spoke": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 4), (1, 4), (2, 4)]),
+    "wheel": (5, [(0, 1), (1, 2), (2, 3), (0, 3), (0, 4), (1, 4), (2, 4), (3, 4)]),
+    "clique_less_two_at_a_vertex": (5, [(0, 1), (0, 2), (0, 3), (1, 2), (1, 3), (2, 3), (0, 4), (1, 4)]),
+    "clique_less_an_edge": (5, [(0, 1), (0, 2), (0, 3), (1, 2), (1, 3), (2, 3), (0, 4), (1, 4), (2, 4)]),
 }
 
 

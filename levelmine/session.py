@@ -23,13 +23,15 @@ def shuffle_width(spark: SparkSession) -> int:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The folder all executors share. The cluster names it in spark.checkpoint.dir; only where that is unset
-    (tests, one machine) a folder of this machine serves."""
+    """The folder all executors share. The cluster names it in spark.checkpoint.dir; only where that is unset and all
+    executors are threads of this machine (tests) a folder of this machine serves."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(named)
         uri = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(path).toString()
         return re.sub("^file:/+", "file:///", uri).rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     return f"file://{os.path.join(tempfile.gettempdir(), 'levelmine-scratch')}"
 
 
@@ -55,6 +57,12 @@ def drop_path(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def path_bytes(spark: SparkSession, path: str) -> int:
+    """Bytes of a file, or of all files of a folder."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(target).getLength()
+
+
 def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     """Writes df to the shared folder and reads it back: computed once, and a lost executor loses none of it."""
     path = scratch_path(df.sparkSession, name)

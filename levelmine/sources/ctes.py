@@ -67,6 +67,33 @@ k4 AS (SELECT w, string_agg(CAST(d AS VARCHAR), '' ORDER BY d) AS ds FROM d4 GRO
 m4 AS (SELECT CASE ds WHEN '1122' THEN 'path' WHEN '1113' THEN 'star' WHEN '2222' THEN 'cycle' WHEN '1223' THEN 'tailed_triangle' WHEN '2233' THEN 'diamond' ELSE 'clique' END AS motif,
        count(*) AS frequency FROM k4 GROUP BY 1)
 """
+SETS5 = "c5 AS (SELECT DISTINCT list_sort(list_append(w, s.b)) AS w FROM (SELECT w, unnest(w) AS x FROM c4) JOIN s ON s.a = x WHERE NOT list_contains(w, s.b))"
+#: Each connected set of three with its sorted degrees.
+LABELLED3 = "k3s AS (SELECT w, CASE WHEN EXISTS (SELECT 1 FROM s WHERE a = w[1] AND b = w[2]) AND EXISTS (SELECT 1 FROM s WHERE a = w[2] AND b = w[3]) AND EXISTS (SELECT 1 FROM s WHERE a = w[1] AND b = w[3]) THEN '222' ELSE '112' END AS ds FROM c3)"
+
+
+def shapes5() -> str:
+    """m5(motif, frequency): sorted degrees and the number of triangles tell the 21 shapes of five vertices apart."""
+    from levelmine.pattern.encode import matrix
+    from levelmine.pattern.names import names
+
+    cases = []
+    for code, name in names().items():
+        labels, bits = code.split("|")
+        if labels.count(".") != 4:
+            continue
+        m = matrix(5, int(bits, 16))
+        triangles = sum(m[i][j] and m[j][k] and m[i][k] for i in range(5) for j in range(i) for k in range(j))
+        cases.append(f"WHEN ds = '{''.join(map(str, sorted(map(sum, m))))}' AND t = {triangles} THEN '{name}'")
+    return f"""
+i5 AS (SELECT w, src, dst FROM (SELECT w, unnest(w) AS x FROM c5) JOIN e ON src = x WHERE list_contains(w, dst)),
+d5 AS (SELECT w, x, count(*) AS d FROM (SELECT w, src AS x FROM i5 UNION ALL SELECT w, dst FROM i5) GROUP BY 1, 2),
+r5 AS (SELECT x.w, count(*) AS t FROM i5 x JOIN i5 y ON x.w = y.w AND x.dst = y.src JOIN i5 z ON z.w = x.w AND z.src = x.src AND z.dst = y.dst GROUP BY 1),
+k5 AS (SELECT w, string_agg(CAST(d AS VARCHAR), '' ORDER BY d) AS ds FROM d5 GROUP BY 1),
+m5 AS (SELECT CASE {' '.join(cases)} END AS motif, count(*) AS frequency FROM (SELECT ds, coalesce(t, 0) AS t FROM k5 LEFT JOIN r5 ON k5.w = r5.w) GROUP BY 1)
+"""
+
+
 SHAPES3 = """
 t3 AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst),
 m3 AS (SELECT motif, frequency FROM (SELECT 'triangle' AS motif, count(*) AS frequency FROM t3

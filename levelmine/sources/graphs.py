@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from levelmine.graph.model import PropertyGraph
+from levelmine.graph.numbering import numbered
 from levelmine.session import materialise, read_table
 
 SHIFT = 1 << 40
@@ -24,9 +25,10 @@ def toy7(spark: SparkSession, sf_dir: str = "") -> PropertyGraph:
 
 
 def coded(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(id, label, name): labels are the texts' ranks from 1; the few distinct texts are ranked, not the rows."""
-    codes = df.select(F.col(text_col).alias("name")).distinct().withColumn("label", F.dense_rank().over(Window.orderBy("name")))
-    return df.select(F.col(id_col).alias("id"), F.col(text_col).alias("name")).join(F.broadcast(codes), "name").select("id", "label", "name")
+    """(id, label, name): labels are the texts' ranks from 1; the distinct texts are ranked, not the rows."""
+    texts = df.select(F.col(text_col).alias("name")).filter(F.col(text_col).isNotNull()).distinct()
+    codes = numbered(texts, "name", name="label", start=1).select("name", F.col("label").cast("int").alias("label"))
+    return df.select(F.col(id_col).alias("id"), F.col(text_col).alias("name")).join(codes, "name").select("id", "label", "name")
 
 
 def paired(rows: DataFrame, group: str, item: str, least: int = 1) -> DataFrame:
@@ -138,8 +140,6 @@ def page_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def page_links(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Targets are strings: each distinct one gets a number of its own above SHIFT."""
-    from levelmine.graph.numbering import numbered
-
     anchors = page_anchors(spark, sf_dir)
     keys = numbered(anchors.select("target").distinct(), "target", name="key", start=SHIFT)
     pairs = anchors.join(keys, "target").select(F.col("page_id").alias("src"), F.col("key").alias("dst"))
@@ -184,6 +184,11 @@ def customer_part(spark: SparkSession, sf_dir: str) -> PropertyGraph:
 _BUILT: dict[tuple, PropertyGraph] = {}
 
 
+def forget() -> None:
+    """Drops what this process remembers of built graphs; the next use builds them anew."""
+    _BUILT.clear()
+
+
 def load(builder: Callable[..., PropertyGraph], spark: SparkSession, sf_dir: str, **params) -> PropertyGraph:
     """The graph, built at first use in this session."""
     key = (spark.sparkContext.applicationId, builder.__name__, sf_dir, tuple(sorted(params.items())))

@@ -1,19 +1,27 @@
 """The level store: embeddings kept level by level as links to their parents, not as whole paths.
 
-Level k is a table (pos, parent, vert): pos numbers the embeddings in the order of (parent, vert), parent is the pos of
-the prefix in level k-1, vert the last vertex. Its offset table (parent, start, stop) says which run of pos shares a
-parent. As rows are sorted by parent, Parquet's encodings keep the column small, and ranges of pos prune files.
+Level k is a table (pos, parent, vert, label, mask): pos numbers the embeddings in the order of (parent, vert), parent is
+the pos of the prefix in level k-1, vert the last vertex. Its offset table (parent, start, stop) says which run of pos
+shares a parent. As rows are sorted by parent, Parquet's encodings keep the column small, and ranges of pos prune files.
+The exploration writes its levels here (`stored`) and grows the next one from what it reads back.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelmine.explore import vertex
 from levelmine.explore.loop import explore
+from levelmine.explore.vertex import EFilter, Level
 from levelmine.graph.model import PropertyGraph
-from levelmine.graph.numbering import numbered
-from levelmine.session import scratch_path
+from levelmine.graph.numbering import numbered, running
+from levelmine.session import path_bytes, scratch_path
+
+#: Rows of a written file at most: the write buffer of a task is a row group of one such file.
+FILE_ROWS = 4_000_000
 
 
 class LevelStore:
@@ -27,7 +35,7 @@ class LevelStore:
 
     def _write(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
-        df.write.mode("overwrite").parquet(path)
+        df.write.mode("overwrite").option("maxRecordsPerFile", FILE_ROWS).parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
     def append(self, level: DataFrame) -> None:
@@ -46,6 +54,16 @@ class LevelStore:
         self._write(rows.repartitionByRange("pos").sortWithinPartitions("pos"), f"level={self.k}")
         self._prefix = placed
 
+    def append_links(self, links: DataFrame) -> DataFrame:
+        """Adds the next level, given as (parent, vert, label, mask) by the parents' pos; returns it with its own pos."""
+        self.k += 1
+        rows = numbered(links, "parent", "vert")
+        return self._write(rows.select("pos", "parent", "vert", "label", "mask"), f"level={self.k}")
+
+    def keep(self, graph: PropertyGraph, level: Level, efilter: EFilter = None) -> Level:
+        """A round of the exploration: the next level goes into this store, and is read back for growth."""
+        return vertex.attached(graph, level, self.append_links(vertex.children(level, efilter)))
+
     def level(self, k: int) -> DataFrame:
         return self.spark.read.parquet(f"{self.root}/level={k}")
 
@@ -58,7 +76,9 @@ class LevelStore:
         runs = self.level(k).groupBy("parent").agg(F.min("pos").alias("lo"), (F.max("pos") + 1).alias("hi"))
         parents = self.level(k - 1).select(F.col("pos").alias("parent"))
         both = numbered(parents.join(runs, "parent", "left"), "parent", name="n")
-        return _filled(both).select("parent", F.coalesce("lo", "before").alias("start"), F.coalesce("hi", "before").alias("stop"))
+        filled = running(both, "n", "hi", F.max, F.greatest)
+        before = F.coalesce("before", F.lit(0))
+        return filled.select("parent", F.coalesce("lo", before).alias("start"), F.coalesce("hi", before).alias("stop"))
 
     def children(self, k: int, parent: int | Column) -> DataFrame:
         """The slice of level k that shares the parent."""
@@ -101,33 +121,54 @@ class LevelStore:
         return rows.select("path", F.col("link").alias("pos"))
 
     def write_parts(self, k: int, parted: DataFrame) -> str:
-        """Writes level rows by their part column; each part is a folder that can be read alone."""
+        """Writes level rows by their part column; each part is a folder that can be read alone. Rows with links have
+        their offsets written beside them, part by part."""
         path = f"{self.root}/parts={k}"
-        parted.write.mode("overwrite").partitionBy("part").parquet(path)
+        parted.write.mode("overwrite").option("maxRecordsPerFile", FILE_ROWS).partitionBy("part").parquet(path)
+        if {"pos", "parent"} <= set(parted.columns):
+            runs = self.spark.read.parquet(path).groupBy("part", "parent").agg(F.min("pos").alias("start"), (F.max("pos") + 1).alias("stop"))
+            runs.write.mode("overwrite").partitionBy("part").parquet(f"{self.root}/parts_offsets={k}")
         return path
 
-    def bytes(self, k: int) -> int:
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/level={k}")
-        return path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(path).getLength()
-
+    def part(self, k: int, number: int, offsets: bool = False) -> DataFrame:
+        """One part of a level written by write_parts, or its offsets, read from its own folder alone."""
+        return self.spark.read.parquet(f"{self.root}/{'parts_offsets' if offsets else 'parts'}={k}/part={number}")
 
-def _filled(runs: DataFrame) -> DataFrame:
-    """Adds before: the greatest hi of the rows before, by n; in blocks of n, so that no window spans the whole table."""
-    from pyspark.sql import Window
+    def windows(self, k: int, rows: DataFrame) -> Iterator[tuple[int, DataFrame]]:
+        """For a run of level k the runs of the levels above that it needs: of each level the range of pos that the
+        window below points to. Two numbers a level go through the driver."""
+        for j in range(k, 0, -1):
+            yield j, rows
+            if j > 1:
+                span = rows.agg(F.min("parent").alias("lo"), F.max("parent").alias("hi")).first()
+                rows = self.level(j - 1).filter(F.col("pos").between(span["lo"] or 0, -1 if span["hi"] is None else span["hi"]))
+
+    def window_paths(self, k: int, rows: DataFrame) -> DataFrame:
+        """(pos, path, labels, bits) of a run of level k, decoded from the windows of the levels above it alone."""
+        held = dict(self.windows(k, rows))
+        out = held[k].select("pos", F.col("parent").alias("link"), F.array("vert").alias("path"), F.array("label").alias("labels"), F.shiftleft("mask", vertex.bit_base(k - 1)).alias("bits"))
+        for j in range(k - 1, 0, -1):
+            up = held[j].select(F.col("pos").alias("at"), F.col("parent").alias("next"), "vert", "label", F.shiftleft("mask", vertex.bit_base(j - 1)).alias("own"))
+            both = out.join(up, F.col("link") == F.col("at"))
+            out = both.select("pos", F.col("next").alias("link"), F.concat(F.array("vert"), "path").alias("path"), F.concat(F.array("label"), "labels").alias("labels"), F.col("bits").bitwiseOR(F.col("own")).alias("bits"))
+        return out.select("pos", "path", "labels", "bits")
 
-    block = F.floor(F.col("n") / 100_000)
-    rows = runs.withColumn("block", block)
-    tops = rows.groupBy("block").agg(F.max("hi").alias("top"))
-    over = Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    bases = tops.select("block", F.coalesce(F.max("top").over(over), F.lit(0)).alias("base"))  # one row a block
-    within = Window.partitionBy("block").orderBy("n").rowsBetween(Window.unboundedPreceding, -1)
-    return rows.join(F.broadcast(bases), "block").withColumn("before", F.greatest(F.coalesce(F.max("hi").over(within), F.lit(0)), "base"))
+    def bytes(self, k: int) -> int:
+        return path_bytes(self.spark, f"{self.root}/level={k}")
 
 
 def stored(graph: PropertyGraph, k: int, layout: str = "links") -> LevelStore:
-    """A store with levels 1..k of the vertex-induced exploration."""
+    """A store with levels 1..k of the vertex-induced exploration. With links, the exploration grows each level from the
+    store's own rows."""
     store = LevelStore(graph.edges.sparkSession, layout)
-    for level in explore(graph, k):
-        store.append(level.df)
+    if layout == "paths":
+        for level in explore(graph, k):
+            store.append(level.df)
+        return store
+    first = graph.vertices.select(F.lit(None).cast("long").alias("parent"), F.col("id").alias("vert"), "label", F.lit(0).cast("long").alias("mask"))
+    rows = store.append_links(first)
+    base = vertex.init(graph).df.drop("pos")
+    level = Level(base.join(rows.select("pos", "vert"), F.col("path")[0] == F.col("vert")).drop("vert"), 1, True)
+    while level.k < k:
+        level = store.keep(graph, level)
     return store

@@ -16,12 +16,12 @@ def expand_stream(graph: PropertyGraph, level: Level, parts: int) -> DataFrame:
     """The next level, one file of the present one a batch."""
     spark = graph.edges.sparkSession
     source, target = scratch_path(spark, "parts"), scratch_path(spark, "grown")
-    placed = split_even(level.df, parts, "path").drop("pos")
+    placed = split_even(level.df.drop("ext", "pos"), parts, "path").drop("pos")
     placed.repartitionByRange(parts, "part").drop("part").write.parquet(source)
-    rows = spark.readStream.schema(level.df.schema).option("maxFilesPerTrigger", 1).parquet(source)
+    rows = spark.readStream.schema(level.df.drop("ext", "pos").schema).option("maxFilesPerTrigger", 1).parquet(source)
 
     def grow(batch: DataFrame, n: int) -> None:
-        grown = vertex.expand(graph, Level(batch, level.k, level.carried), last=True).df
+        grown = vertex.expand(graph, vertex.with_ext(graph, batch, level.k), last=True).df
         grown.write.mode("overwrite").parquet(f"{target}/batch_of={n}")  # a batch run again replaces itself
 
     rows.writeStream.foreachBatch(grow).trigger(availableNow=True).option("checkpointLocation", f"{target}-state").start().awaitTermination()

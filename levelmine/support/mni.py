@@ -1,11 +1,10 @@
-"""Support of patterns: minimum image numbers, exact or capped at the threshold, and plain embedding counts."""
+"""Support of patterns: minimum image numbers, exact or capped at the threshold, and plain embedding counts. DataFrame
+functions only; what is classified are the distinct raw forms."""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from dataclasses import dataclass
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -57,25 +56,28 @@ def exact(level: DataFrame, known: Forms | None = None) -> DataFrame:
     return _least(images(level, known).distinct().groupBy("code", "orbit").agg(F.count("*").alias("n")))
 
 
+#: Of so many slices of a level the first is counted before the others are looked at.
+SLICES = 8
+
+
+def _images_of_some(level: DataFrame, known: Forms, codes: DataFrame | None = None) -> DataFrame:
+    """Images of the patterns not in codes."""
+    return images(level, known if codes is None else Forms(known.rows.join(codes, "code", "left_anti"), known.few))
+
+
 def capped(level: DataFrame, threshold: int, known: Forms | None = None) -> DataFrame:
-    """(code, mni, capped): counting stops at the threshold. A task passes on at most `threshold` vertices of each
-    (pattern, orbit): if one reaches that number the answer is known, else its share is whole."""
-
-    def some(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        seen: dict[tuple, set] = {}
-        for b in batches:
-            keep = []
-            for code, orbit, vertex in zip(b["code"], b["orbit"], b["vertex"], strict=True):
-                held = seen.setdefault((code, orbit), set())
-                fresh = len(held) < threshold and vertex not in held
-                if fresh:
-                    held.add(vertex)
-                keep.append(fresh)
-            yield b[pd.Series(keep, index=b.index, dtype=bool)]
-
-    few = images(level, known).mapInPandas(some, "code string, orbit int, vertex long").distinct()
-    counts = few.groupBy("code", "orbit").agg(F.least(F.count("*"), F.lit(threshold)).alias("n"))
-    return _least(counts).withColumn("capped", F.col("mni") >= threshold)
+    """(code, mni, capped): counting stops at the threshold. Patterns that reach it within the first slice of the level
+    are decided; of the other slices only the embeddings of patterns still open make images."""
+    known = known or forms(level)
+    key = "eids" if "eids" in level.columns else "verts"
+    first = _images_of_some(level.filter(F.pmod(F.xxhash64(key), F.lit(SLICES)) == 0), known).distinct()
+    sizes = first.groupBy("code", "orbit").agg(F.count("*").alias("n"))
+    orbits = known.rows.select("code", F.size(F.array_distinct("orbit")).alias("orbits")).distinct()
+    enough = sizes.filter(F.col("n") >= threshold).groupBy("code").agg(F.count("*").alias("have")).join(orbits, "code")
+    decided = materialise(enough.filter("have = orbits").select("code"), "decided")
+    rest = _images_of_some(level, known, decided).distinct().groupBy("code", "orbit").agg(F.least(F.count("*"), F.lit(threshold)).alias("n"))
+    both = decided.select("code", F.lit(threshold).cast("long").alias("mni")).unionByName(_least(rest).select("code", F.col("mni").cast("long").alias("mni")))
+    return both.withColumn("capped", F.col("mni") >= threshold)
 
 
 def approximate(level: DataFrame, rsd: float = 0.05) -> DataFrame:

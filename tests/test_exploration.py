@@ -161,7 +161,7 @@ def test_row_guard_and_size_guard(toy):
 
 @pytest.mark.parametrize("kind", ["memory", "disk", "hybrid"])
 def test_storage_changes_no_answer(toy, kind):
-    storage = Storage(kind, 400)
+    storage = Storage(kind, 1500)
     assert words(explore_stored(toy, 4, storage)) == words(loop.embeddings(toy, 4))
     assert storage.placed == {"memory": ["memory"] * 2, "disk": ["disk"] * 2, "hybrid": ["memory", "disk"]}[kind]
 
