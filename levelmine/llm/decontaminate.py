@@ -10,6 +10,7 @@ candidate carries the few words around it.
 
 Defined results. Null text: no words. An item without words, or with a null item_id, is none. Rows that repeat doc_id
 and text get the same result each. Equal item_ids count as one item. Empty tables give no rows, or rows without hits.
+A long text's words are one row's array; its windows are looked up word by word.
 """
 
 from __future__ import annotations

@@ -9,7 +9,8 @@ back; a reader resumes anywhere by arithmetic. Blocks of sequences travel compre
 
 A record: doc_id of the first token (int64), that token's place in its document (int32), number of tokens (int32), then
 SEQUENCE uint16 ids, zero after the last. Defined results: null and token-less texts add nothing; a null doc_id is
-stored as the least int64 and read back as null; repeated rows are documents each by itself; no rows, no shards.
+stored as the least int64 and read back as null; repeated rows are documents each by itself; no rows, no shards. A long
+text is encoded whole, in one task.
 """
 
 from __future__ import annotations
@@ -140,9 +141,18 @@ def _blocks(path: str, table: Broadcast, sequence: int):
     return run
 
 
-def sequences(docs: DataFrame, path: str | None = None, sequence: int = SEQUENCE) -> DataFrame:
-    """The sequences of all documents in blocks, written once; (pid, i) orders them from then on."""
+def sequences(docs: DataFrame, path: str | None = None, sequence: int = SEQUENCE, streams: int | None = None) -> DataFrame:
+    """The sequences of all documents in blocks, written once; (pid, i) orders them from then on.
+
+    streams: documents are dealt by key to so many streams, each in the order of (doc_id, hash of the text), so that the
+    order of all sequences depends on the documents, the key and this number alone; it costs one exchange of the texts.
+    Without it a stream is a task's share of the table as it is stored: another split of the files gives another order.
+    """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    if streams is not None:
+        text_hash = F.xxhash64(F.coalesce("text", F.lit("")))
+        dealt = rows.repartitionById(streams, F.pmod(F.xxhash64("doc_id", text_hash), F.lit(streams)).cast("int"))
+        rows = dealt.withColumn("h", text_hash).sortWithinPartitions("doc_id", "h").drop("h")
     path = path or default_path()
     return materialise(rows.mapInArrow(_blocks(path, shared_table(docs.sparkSession, path), sequence), _BLOCK_DDL), "sequences")
 

@@ -6,7 +6,8 @@ else reads all rows. As the layers are linear, a trained model folds into one nu
 up and averages numbers; that table of fixed size goes to the tasks.
 
 Defined results. Null text scores as empty: the bias alone. Without any labels every score is 0.5.
-Rows that repeat are scored each by itself.
+Rows that repeat are scored each by itself. An empty table has no scores. A long text's features are made whole, in one
+task, whose memory is a small multiple of the text.
 """
 
 from __future__ import annotations

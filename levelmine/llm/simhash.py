@@ -6,10 +6,12 @@ A shard's fingerprints form a BK-tree: children are keyed by their integer Hammi
 follows only the edges within the radius. Trees are built and searched for all shards of a task at once, level by level.
 Shards are dealt out by a shuffle, not broadcast: their total grows with the data. A shard of more than SHARD
 fingerprints is cut into pieces and each pair of pieces is a task's unit of its own, so one hot block spreads.
-Equal fingerprints are one vertex, whatever their number. Tasks return spanning edges, never all pairs.
+Equal fingerprints are one vertex, whatever their number. Tasks return spanning edges, never all pairs. As fingerprints
+grow in number, the bits are cut into more blocks, so that the keys grow longer and shards stay small.
 
 Defined results. Null or wordless text: fingerprint 0, linked like any other. Null doc_id: it takes part and is
-returned, but names a component only if no other id does. Repeated rows are returned as often as given.
+returned, but names a component only if no other id does. Repeated rows are returned as often as given. An empty table
+gives no rows. A long text is cut into shingles whole, in one task, whose memory is a small multiple of the text.
 """
 
 from __future__ import annotations
@@ -166,12 +168,22 @@ def _fingerprint_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBa
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fingerprints(batch.column(1)).view(np.int64))], ["doc_id", "fp"])
 
 
-def near_duplicates(docs: DataFrame, radius: int = 2) -> DataFrame:
-    """doc_id, fingerprint (16 hex digits), component_id (the least doc_id reachable through links)."""
+def blocks_for(distinct: int, radius: int, fill: int = 64) -> int:
+    """The fewest blocks whose keys hold about `fill` of so many fingerprints each, if they were spread evenly."""
+    blocks = radius + 1
+    while blocks < radius + 5 and distinct > fill << 64 * (blocks - radius) // blocks:
+        blocks += 1
+    return blocks
+
+
+def near_duplicates(docs: DataFrame, radius: int = 2, blocks: int | None = None) -> DataFrame:
+    """doc_id, fingerprint (16 hex digits), component_id (the least doc_id reachable through links).
+
+    blocks: as in links; by the number of distinct fingerprints unless given. The links are the same for all."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     fps = materialise(rows.mapInArrow(_fingerprint_rows, "doc_id long, fp long"), "fingerprints")
-    vertices = fps.groupBy("fp").agg(F.min("doc_id").alias("low"))
-    of = components(links(vertices.select("fp"), radius)).select(F.col("vertex").alias("fp"), F.col("least").alias("top"))
+    vertices = materialise(fps.groupBy("fp").agg(F.min("doc_id").alias("low")), "vertices")
+    of = components(links(vertices.select("fp"), radius, blocks=blocks or blocks_for(vertices.count(), radius))).select(F.col("vertex").alias("fp"), F.col("least").alias("top"))
     known = vertices.join(of, "fp", "left").select("fp", F.coalesce("top", "fp").alias("top"), "low")
     named = known.groupBy("top").agg(F.min("low").alias("component_id"))
     full = known.select("fp", "top").join(named, "top").select("fp", "component_id")

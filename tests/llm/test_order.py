@@ -59,3 +59,13 @@ def test_query_form_and_many_tasks(spark):
 def test_nothing_to_write(spark):
     assert order.training_order(frame(spark, [(1, None), (2, "")])).count() == 0
     assert order.training_order(frame(spark, [(1, "a")]).limit(0)).count() == 0
+
+
+def test_streams_by_key_do_not_depend_on_the_tasks(spark):
+    def told(tasks):
+        docs = frame(spark, corpus()).repartition(tasks)
+        seqs = order.sequences(docs, sequence=32, streams=5)
+        rows = seqs.select("pid", "i", "count", "docs", "offsets", "body").collect()
+        return sorted((r["pid"], r["i"], r["count"], bytes(r["docs"]), bytes(r["offsets"])) for r in rows)
+
+    assert told(2) == told(7)
