@@ -56,6 +56,15 @@ def stream_tumbling(spark, sf_dir):
     return out.groupBy("start", "event_type").agg(F.max_by("n", "batch").alias("n"))
 
 
+@query("SELECT count(*) AS dropped FROM events, (SELECT max(ts) AS m FROM events) WHERE CAST(ts AS TIMESTAMP) < CAST(m AS TIMESTAMP) - INTERVAL 2 HOUR AND CAST(ts AS TIMESTAMP) >= CAST(m AS TIMESTAMP) - INTERVAL 3 HOUR")
+def stream_late_rows(spark, sf_dir):
+    """An hour of events comes once more, far behind the watermark: its rows are dropped, and counted."""
+    events = read_table(spark, sf_dir, "events")
+    rows = st.stream(spark, st.with_late(spark, events, 7200)).select("ts", "event_id")
+    late = st.dropped_late(rows.groupBy(F.window("ts", "1 minute"), "event_id").count())
+    return spark.createDataFrame([(late,)], "dropped long")
+
+
 @query(_HOUR)
 def stream_complete(spark, sf_dir):
     """The same in complete mode: the last batch's table."""

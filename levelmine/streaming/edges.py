@@ -37,6 +37,26 @@ def tumbling(events: DataFrame, size: str = "1 hour") -> DataFrame:
     return _counted(events, F.window("ts", size))
 
 
+def dropped_late(df: DataFrame) -> int:
+    """Runs a windowed stream over all that is there; the rows that came behind the watermark and were dropped."""
+    path = scratch_path(df.sparkSession, "late")
+    query = df.writeStream.outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{path}-state").format("noop").start()
+    query.awaitTermination()
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
+def with_late(spark: SparkSession, events: DataFrame, seconds: int) -> str:
+    """Two files: all events, then those of the last hour before the newest minus `seconds`, once more, so that they come
+    behind the watermark if `seconds` exceeds its delay by more than an hour."""
+    path = scratch_path(spark, "late_events")
+    rows = events.withColumn("ts", F.col("ts").cast("timestamp")).select(*EVENT.fieldNames())
+    newest = rows.agg(F.max("ts").alias("m")).first()["m"]
+    rows.coalesce(1).write.mode("append").parquet(path)
+    edge = F.lit(newest) - F.expr(f"interval {seconds} seconds")
+    rows.filter((F.col("ts") < edge) & (F.col("ts") >= edge - F.expr("interval 1 hour"))).coalesce(1).write.mode("append").parquet(path)
+    return path
+
+
 def sliding(events: DataFrame, size: str = "1 hour", step: str = "15 minutes") -> DataFrame:
     return _counted(events, F.window("ts", size, step))
 

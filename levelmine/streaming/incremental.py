@@ -5,36 +5,71 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from levelmine.session import materialise
+from levelmine.session import scratch_path
 
 
 class TriangleCount:
-    """Keeps the edges so far and the counts. A batch is applied once: its number is kept, so that a batch run again
-    after a failure adds nothing."""
+    """Edges, degrees and counts so far, in tables of one folder a batch: (state=N) holds the counts after batch N, the
+    edges that it added and the degrees that it changed. A batch run again after a failure replaces its own folder, and a
+    counter opened on the same path goes on where the last whole batch ended."""
 
-    def __init__(self, spark: SparkSession):
-        self.edges = spark.createDataFrame([], "src long, dst long")
-        self.triangles, self.wedges, self.history, self.last = 0, 0, [], -1
+    def __init__(self, spark: SparkSession, path: str | None = None):
+        self.spark, self.path = spark, path or scratch_path(spark, "triangles")
+        self.batches: list[int] = []
+        self.triangles, self.wedges, self.history = 0, 0, []
+        folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
+        system = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        if system.exists(folder):
+            for f in system.listStatus(folder):
+                name = f.getPath().getName()
+                if name.startswith("counts="):
+                    self.batches.append(int(name.removeprefix("counts=")))
+            for n in sorted(self.batches):
+                row = spark.read.parquet(f"{self.path}/counts={n}").first()
+                self.triangles, self.wedges = row["triangles"], row["wedges"]
+                self.history.append((n, self.triangles, self.wedges))
+
+    @property
+    def last(self) -> int:
+        return max(self.batches, default=-1)
+
+    def _parts(self, kind: str, schema: str) -> DataFrame:
+        if not self.batches:
+            return self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(*[f"{self.path}/{kind}={n}" for n in self.batches])
+
+    @property
+    def edges(self) -> DataFrame:
+        return self._parts("edges", "src long, dst long")
 
     def add(self, pairs: DataFrame, batch: int) -> None:
         if batch <= self.last:
             return
         fresh = pairs.filter("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
-        new = materialise(fresh.join(self.edges, ["src", "dst"], "left_anti"), "delta")
         old = self.edges
-        tagged = old.withColumn("new", F.lit(0)).unionByName(new.withColumn("new", F.lit(1)))
-        self.triangles += self._closed(tagged, new)
-        self.edges = materialise(old.unionByName(new), "grown")
-        sym = self.edges.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").agg(F.count("*").alias("d"))
-        self.wedges = sym.agg(F.coalesce(F.sum(F.col("d") * (F.col("d") - 1) / 2), F.lit(0)).cast("long")).first()[0]
-        self.last = batch
-        self.history.append((batch, self.triangles, self.wedges))
+        fresh.join(old, ["src", "dst"], "left_anti").write.mode("overwrite").parquet(f"{self.path}/edges={batch}")
+        new = self.spark.read.schema("src long, dst long").parquet(f"{self.path}/edges={batch}")
+        triangles = self.triangles + self._closed(old, new)
+        more = new.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").agg(F.count("*").alias("more"))
+        more.write.mode("overwrite").parquet(f"{self.path}/degrees={batch}")
+        more = self.spark.read.parquet(f"{self.path}/degrees={batch}")
+        # a vertex that had d neighbours and gets m more has d m + m (m - 1) / 2 more wedges
+        had = self._parts("degrees", "v long, more long").join(more.select("v"), "v", "left_semi").groupBy("v").agg(F.sum("more").alias("had"))
+        both = more.join(had, "v", "left").select("more", F.coalesce("had", F.lit(0)).alias("had"))
+        wedges = self.wedges + (both.agg(F.sum(F.col("had") * F.col("more") + F.expr("more * (more - 1) div 2"))).first()[0] or 0)
+        self.spark.createDataFrame([(triangles, wedges)], "triangles long, wedges long").write.mode("overwrite").parquet(f"{self.path}/counts={batch}")
+        self.batches.append(batch)
+        self.triangles, self.wedges = triangles, wedges
+        self.history.append((batch, triangles, wedges))
 
     @staticmethod
-    def _closed(tagged: DataFrame, new: DataFrame) -> int:
-        """Triangles with a new edge: found from each of their new edges, weighted by how many they have."""
-        sym = tagged.unionByName(tagged.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "new"))
-        a, b = sym.toDF("src", "w", "na"), sym.toDF("dst", "w", "nb")
-        found = new.join(a, "src").join(b, ["dst", "w"])
-        share = 1 / (1 + F.col("na") + F.col("nb"))
-        return round(found.agg(F.coalesce(F.sum(share), F.lit(0.0))).first()[0])
+    def _closed(old: DataFrame, new: DataFrame) -> int:
+        """Triangles with a new edge. Each is met once for each of its new edges, so those with two and three of them are
+        counted apart and divided exactly."""
+        tagged = old.withColumn("fresh", F.lit(0)).unionByName(new.withColumn("fresh", F.lit(1)))
+        sym = tagged.unionByName(tagged.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "fresh"))
+        touched = new.select(F.explode(F.array("src", "dst")).alias("src")).distinct()
+        near = sym.join(touched, "src", "left_semi")  # only what is next to a new edge
+        a, b = near.toDF("src", "w", "na"), near.toDF("dst", "w", "nb")
+        found = new.join(a, "src").join(b, ["dst", "w"]).groupBy((1 + F.col("na") + F.col("nb")).alias("fresh")).agg(F.count("*").alias("n"))
+        return sum(r["n"] // r["fresh"] for r in found.collect())  # three rows at most
