@@ -256,12 +256,22 @@ class WarcReader(ds.DataSourceReader):
                 return False
         return True
 
+    def _read_payload(self, row: dict, fields: dict, block, partition: _Part) -> bytes:
+        """The payload; its length and digest are entered in the row."""
+        payload = _payload(block(), fields.get("content-type", ""))
+        digest = base32_sha1(payload)
+        if self.verify and row["payload_digest"] not in (None, digest):
+            raise ValueError(f"{partition.file}: record {fields.get('warc-record-id')} has another digest")
+        row["payload_bytes"], row["payload_digest"] = len(payload), digest
+        return payload
+
     def read(self, partition: _Part) -> Iterator[pa.RecordBatch]:
         if not partition.file:
             return
         system, _ = _open(self.path)
         types = {"record_type": pa.string(), "page_id": pa.int64(), "target_uri": pa.string(), "payload_bytes": pa.int64(), "payload_digest": pa.string(), "refers_to": pa.int64(), "content_length": pa.int64(), "payload": pa.binary()}
         rows, held = [], 0
+        asked = {"payload_bytes", "payload_digest"} & {column for _, column, _ in self.tests}
         with system.open_input_file(partition.file) as stream:
             for fields, block in (_GzipRecords if partition.file.endswith(".gz") else _PlainRecords)(stream):
                 said = fields.get("x-payload-length")
@@ -270,14 +280,13 @@ class WarcReader(ds.DataSourceReader):
                     "payload_bytes": int(said) if said else None, "payload_digest": (fields.get("warc-payload-digest") or "").removeprefix("sha1:") or None,
                     "refers_to": _page(fields.get("warc-refers-to")), "content_length": int(fields["content-length"]), "payload": None,
                 }
+                payload = None
+                if row["record_type"] != "revisit" and any(row[c] is None for c in asked):  # other writers' headers may lack it
+                    payload = self._read_payload(row, fields, block, partition)
                 if not self._passes(row):
                     continue
                 if row["record_type"] != "revisit" and (self.with_payload or self.verify):
-                    payload = _payload(block(), fields.get("content-type", ""))
-                    digest = base32_sha1(payload)
-                    if self.verify and row["payload_digest"] not in (None, digest):
-                        raise ValueError(f"{partition.file}: record {fields.get('warc-record-id')} has another digest")
-                    row["payload_bytes"], row["payload_digest"] = len(payload), digest
+                    payload = self._read_payload(row, fields, block, partition) if payload is None else payload
                     if self.with_payload:
                         row["payload"] = payload
                         held += len(payload)

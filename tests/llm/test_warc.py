@@ -92,3 +92,15 @@ def test_a_changed_payload_is_noticed(spark, tmp_path):
     (tmp_path / "bad.warc").write_bytes(bad)
     with pytest.raises(Exception, match="another digest"):
         spark.read.format("warc").option("verify", "true").load(f"file://{tmp_path}").collect()
+
+
+def test_filters_on_what_other_writers_headers_lack(spark, tmp_path):
+    warc.register(spark)
+    records = [warc.record_bytes("response", i, "http://x", b"b" * i, warc.base32_sha1(b"b" * i), None) for i in range(6)]
+    bare = [b"\r\n".join(line for line in r.split(b"\r\n") if not line.lower().startswith((b"x-payload-length", b"warc-payload-digest"))) for r in records]
+    assert all(len(a) < len(b) for a, b in zip(bare, records, strict=True))
+    (tmp_path / "bare.warc").write_bytes(b"".join(bare))
+    rows = spark.read.format("warc").load(f"file://{tmp_path}")
+    assert sorted(r["page_id"] for r in rows.filter("payload_bytes > 3").collect()) == [4, 5]
+    assert [r["page_id"] for r in rows.filter(F.col("payload_digest") == warc.base32_sha1(b"bb")).select("page_id", "payload_digest").collect()] == [2]
+    assert rows.filter("payload_bytes is null").count() == 0
