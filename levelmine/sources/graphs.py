@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from levelmine.graph.model import PropertyGraph
 from levelmine.graph.numbering import numbered
-from levelmine.session import materialise, read_table
+from levelmine.session import materialise, read_table, shuffle_width
 
 SHIFT = 1 << 40
 
@@ -49,46 +49,47 @@ def part_copurchase(spark: SparkSession, sf_dir: str, label: str = "p_type", min
     return PropertyGraph.from_pairs(paired(read_table(spark, sf_dir, "lineitem"), "l_orderkey", "l_partkey", least), labels)
 
 
-#: Vectors of one block of the exact neighbour search; a block goes to all tasks.
-KNN_BLOCK = 4096
+#: Vectors of one side of a block of the exact neighbour search at most, on average, and at least where tasks are short of work.
+KNN_BLOCK, KNN_LEAST = 2048, 256
 
 
-def _nearest_in(ids: np.ndarray, unit: np.ndarray, k: int):
-    """A task: each of its rows against the block; the k most similar of the block for each row."""
+def _nearest_in_block(k: int):
+    """A block: for each of its asking rows the k most similar of its offered rows."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for lo in range(0, len(batch), 256):
-                part = batch.slice(lo, 256)
-                mine = part.column(0).to_numpy()
-                x = part.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(part), -1)
-                x = x / np.sqrt((x * x).sum(axis=1, keepdims=True))
-                sim = np.einsum("ij,kj->ik", x, unit)  # one order of additions for all pairs, so equal vectors tie
-                sim[mine[:, None] == ids[None, :]] = -np.inf
-                order = np.lexsort((np.broadcast_to(ids, sim.shape), -sim), axis=1)[:, :k]
-                near = np.take_along_axis(sim, order, 1).reshape(-1)
-                rows = np.repeat(mine, order.shape[1])
-                ok = np.isfinite(near)
-                yield pa.RecordBatch.from_arrays([pa.array(rows[ok]), pa.array(ids[order].reshape(-1)[ok]), pa.array(near[ok])], ["vec_id", "other", "sim"])
+    def run(table: pa.Table) -> pa.Table:
+        ids, asks = table["vec_id"].to_numpy(), table["asks"].to_numpy(zero_copy_only=False)
+        x = table["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)
+        x = x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+        mine, theirs = np.flatnonzero(asks), np.flatnonzero(~asks)
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+        for lo in range(0, len(mine), 256):
+            part = mine[lo : lo + 256]
+            sim = np.einsum("ij,kj->ik", x[part], x[theirs])  # one order of additions for all pairs, so equal vectors tie
+            sim[ids[part][:, None] == ids[theirs][None, :]] = -np.inf
+            order = np.lexsort((np.broadcast_to(ids[theirs], sim.shape), -sim), axis=1)[:, :k]
+            near = np.take_along_axis(sim, order, 1).reshape(-1)
+            ok = np.isfinite(near)
+            out.append((np.repeat(ids[part], order.shape[1])[ok], ids[theirs][order].reshape(-1)[ok], near[ok]))
+        vec_id, other, sim = map(np.concatenate, zip(*out, strict=True))
+        return pa.table({"vec_id": vec_id, "other": other, "sim": sim})
 
     return run
 
 
 def vector_knn(spark: SparkSession, sf_dir: str, k: int = 5) -> PropertyGraph:
-    """Each vector and its k most similar ones by cosine, exactly: all rows against one block of rows after another.
+    """Each vector and its k most similar ones by cosine, exactly: a grid of blocks of rows against blocks of rows.
 
     The work grows with the square of the table, as the definition asks; for tables too large for that, the
     approximate search among the training-data operators finds the neighbours.
     """
     v = read_table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"), "label")
-    cuts = max(1, -(-v.count() // KNN_BLOCK))
-    found = None
-    for i in range(cuts):
-        block = v.filter(F.pmod(F.xxhash64("vec_id"), F.lit(cuts)) == i).select("vec_id", "x").toArrow().sort_by("vec_id")
-        x = np.stack(block["x"].to_pylist())
-        x = x / np.sqrt((x * x).sum(axis=1, keepdims=True))
-        part = v.select("vec_id", "x").mapInArrow(_nearest_in(block["vec_id"].to_numpy(), x, k), "vec_id long, other long, sim double")
-        found = part if found is None else found.unionByName(part)
+    n = v.count()
+    cuts = max(1, -(-n // KNN_BLOCK), min(shuffle_width(spark), -(-n // KNN_LEAST)))
+    block = F.pmod(F.xxhash64("vec_id"), F.lit(cuts)).cast("int")
+    each = F.explode(F.sequence(F.lit(0), F.lit(cuts - 1)))
+    asking = v.select("vec_id", "x", F.lit(True).alias("asks"), block.alias("a"), each.alias("b"))
+    offered = v.select("vec_id", "x", F.lit(False).alias("asks"), each.alias("a"), block.alias("b"))
+    found = asking.unionByName(offered).groupBy("a", "b").applyInArrow(_nearest_in_block(k), "vec_id long, other long, sim double")
     near = Window.partitionBy("vec_id").orderBy(F.desc("sim"), "other")
     top = found.withColumn("r", F.row_number().over(near)).filter(F.col("r") <= k)
     labels = v.select(F.col("vec_id").alias("id"), (F.col("label") + 1).alias("label"))
