@@ -67,7 +67,16 @@ def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     """Writes df to the shared folder and reads it back: computed once, and a lost executor loses none of it."""
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.scratch = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Deletes written tables that nothing lazy depends on any more; those that are not from `materialise` are left."""
+    for t in tables:
+        if path := t.__dict__.get("scratch"):
+            drop_path(t.sparkSession, path)
 
 
 _shipped: set[str] = set()
