@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelmine.session import materialise
+from levelmine.session import materialise, release
 
 
 def _towards_least(edges: DataFrame, both_ways: bool) -> DataFrame:
@@ -40,7 +40,8 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     for _ in range(rounds):
         if not mark[0]:
             break
-        now = materialise(_towards_least(_towards_least(now, True), False), "edges")
+        before, now = now, materialise(_towards_least(_towards_least(now, True), False), "edges")
+        release(before)
         was, mark = mark, _mark(now)
         if was == mark:
             break

@@ -1,8 +1,8 @@
 """Quality classifier: hashed word and character n-gram vectors, averaged per document, under a softmax. Words that
 return at once or after a few words add a token for that, as a vector of each repeated word alone would not generalise.
 
-Training runs in numpy on the driver on a sample of labelled documents whose size is bounded by SAMPLE_ROWS; everything
-else reads all rows. As the layers are linear, a trained model folds into one number per hash bucket, so scoring looks
+Training runs in numpy on the driver on a sample of labelled documents whose size is bounded by SAMPLE_ROWS and
+SAMPLE_BYTES; everything else reads all rows. As the layers are linear, a trained model folds into one number per hash bucket, so scoring looks
 up and averages numbers; that table of fixed size goes to the tasks.
 
 Defined results. Null text scores as empty: the bias alone. Without any labels every score is 0.5.
@@ -20,9 +20,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelmine.llm.kernel import NON_SPACE, give_back, word_blocks
+from levelmine.session import materialise
 
-#: Documents of the training sample at most; the sample is those with the least hash of their id.
-SAMPLE_ROWS = 4000
+#: Documents of the training sample at most, and bytes of their texts; the sample is those with the least hash of their id.
+SAMPLE_ROWS, SAMPLE_BYTES = 4000, 64 << 20
 BITS, DIM, RATE, SEED = 18, 8, 8.0, 11
 #: Steps of training in all; the number of epochs follows from it.
 STEPS = 24_000
@@ -142,13 +143,23 @@ def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed:
     return Model((vectors @ edge).astype(np.float64), float(bias[1] - bias[0]))
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model:
-    """Trains on labelled documents outside the held-out fold; at most sample_rows of them."""
+def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Model:
+    """Trains on labelled documents outside the held-out fold: at most sample_rows of them, and of these, in the order of
+    the hash, as many as have sample_bytes of text together; a text that does not fit is passed over."""
     known = labels.filter("doc_id is not null and quality in (0, 1)").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     order = F.xxhash64("doc_id", F.lit(SEED))
     chosen = known.filter(~held_out()).orderBy(order, "doc_id").limit(sample_rows)
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
-    got = rows.dropDuplicates(["doc_id"]).select("doc_id", "text", "quality").toArrow().sort_by("doc_id")
+    rows = materialise(rows.dropDuplicates(["doc_id"]).select("doc_id", "text", "quality", order.alias("place")), "sample")
+    sizes = rows.select("doc_id", "place", F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")).toPandas().sort_values(["place", "doc_id"])
+    room, fits = sample_bytes, []
+    for doc, n in zip(sizes["doc_id"].tolist(), sizes["n"].tolist(), strict=True):
+        if n <= room:
+            room -= n
+            fits.append((doc,))
+    if len(fits) < len(sizes):
+        rows = rows.join(F.broadcast(rows.sparkSession.createDataFrame(fits, rows.select("doc_id").schema)), "doc_id", "left_semi")
+    got = rows.select("doc_id", "text", "quality").toArrow().sort_by("doc_id")
     model = train(got["text"].to_pylist(), got["quality"].to_numpy().astype(np.int64))
     del got
     give_back()

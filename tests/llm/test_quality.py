@@ -76,3 +76,13 @@ def test_returning_words_have_tokens():
         bucket, ptr = kinds[1]
     base = quality._TABLE - quality.RETURN_MOST - 1
     assert (bucket - base).tolist() == [0, 1, 0, 2, 0, 0, 0, 0, 0, 4] and ptr.tolist() == [0, 4, 5, 10]
+
+
+def test_sample_is_bounded_in_bytes(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(quality, "train", lambda texts, label: seen.append([len(t) for t in texts]))
+    docs = frame(spark, [(i, "x" * (100 if i % 7 else 5000)) for i in range(60)])
+    labels = spark.createDataFrame([(i, 1) for i in range(60)], "doc_id long, quality int")
+    quality.fit(docs, labels, sample_bytes=1200)
+    quality.fit(docs, labels)
+    assert seen[0] and sum(seen[0]) <= 1200 and max(seen[0]) == 100 and len(seen[1]) > 40
