@@ -38,7 +38,7 @@ from levelmine.llm.kernel import give_back
 
 END = "</w>"
 #: Words kept with their tokens, in each Python worker.
-CACHED_WORDS = 200_000
+CACHED_WORDS = 400_000
 
 
 def byte_symbols() -> list[str]:
@@ -167,6 +167,12 @@ def transitions(vocabulary: dict[str, int], merges: list[tuple[str, str]]) -> Tr
     return Transitions(array("i", arcs.place), row, start, bounds, bytearray(spines.made(t) for t in range(size)))
 
 
+#: Symbols of a word's beginning whose states are kept, and how many beginnings.
+HEAD, KEPT_HEADS = 5, 60_000
+#: Lengths of tokens to look for where no longer one ends.
+_SHORT = (3, 2, 1)
+
+
 class MergeAutomaton:
     """The compiled table with the vocabulary: encodes words of byte symbols."""
 
@@ -174,33 +180,26 @@ class MergeAutomaton:
         self.table, self.labels = table, {i: t for t, i in vocabulary.items()}
         self.inner: dict[str, int] = {}
         self.final: dict[str, int] = {}
-        self.longest: dict[str, int] = {}
+        self.heads: dict[str, tuple[list[int], list[int]]] = {}
+        lengths: tuple[dict[str, set[int]], ...] = ({}, {})
         for t, i in vocabulary.items():
             if not table.made[i]:
                 continue
             ends = t.endswith(END) and t != END
             body = t.removesuffix(END) if ends else t
             (self.final if ends else self.inner)[body] = i
-            if not ends and len(body) > 2:  # the longest inner token that ends with these symbols
-                self.longest[body[-3:]] = max(self.longest.get(body[-3:], 0), len(body))
-        self.longest_final = max(map(len, self.final), default=0)
-
-    def encode(self, word: str) -> list[int]:
-        """Token ids of one pre-split word in byte symbols."""
-        whole = self.final.get(word)
-        if whole is not None:  # the start state's arc to the end: the only path there is
-            return [whole]
-        n, inner, longest, table = len(word), self.inner, self.longest.get, self.table
-        place, row, start, bounds = table.place, table.row, table.start, table.bounds
-        state, came = [-1] * (n + 1), [0] * (n + 1)
-        for end in range(1, n + 1):
-            if end < n:
-                tokens, most = inner, longest(word[max(end - 3, 0) : end], 2)
-            else:
-                tokens, most = self.final, self.longest_final
-            for at in range(end - most if end > most else 0, end):
-                token = tokens.get(word[at:end])
-                if token is None:
+            if len(body) > 3:
+                lengths[ends].setdefault(body[-4:], set()).add(len(body))
+        #: By their last four symbols: the lengths of the tokens that may end there, longest first.
+        self.inner_ends, self.final_ends = ({k: (*sorted(v, reverse=True), 3, 2, 1) for k, v in x.items()} for x in lengths)
+
+    def _enter(self, word: str, state: list[int], came: list[int], done: int, last: int, tokens: dict[str, int], ends: dict[str, tuple[int, ...]]) -> None:
+        """Enters the states of the places done + 1 to last."""
+        place, row, start, bounds = self.table.place, self.table.row, self.table.start, self.table.bounds
+        for end in range(done + 1, last + 1):
+            for length in ends.get(word[end - 4 : end], _SHORT) if end > 3 else _SHORT:
+                at = end - length
+                if at < 0 or (token := tokens.get(word[at:end])) is None:
                     continue
                 if at:
                     r = row[state[at]]
@@ -211,6 +210,28 @@ class MergeAutomaton:
                 break
             else:
                 raise ValueError(f"no tokens for {word!r}")
+
+    def encode(self, word: str) -> list[int]:
+        """Token ids of one pre-split word in byte symbols."""
+        whole = self.final.get(word)
+        if whole is not None:  # the start state's arc to the end: the only path there is
+            return [whole]
+        n = len(word)
+        state, came = [-1] * (n + 1), [0] * (n + 1)
+        done = 0
+        if n > HEAD:  # the states of a beginning are the same in all words that have it
+            head = word[:HEAD]
+            known = self.heads.get(head)
+            if known is None:
+                self._enter(head, state, came, 0, HEAD, self.inner, self.inner_ends)
+                if len(self.heads) >= KEPT_HEADS:
+                    self.heads.clear()
+                self.heads[head] = (state[: HEAD + 1], came[: HEAD + 1])
+            else:
+                state[: HEAD + 1], came[: HEAD + 1] = known
+            done = HEAD
+        self._enter(word, state, came, done, n - 1, self.inner, self.inner_ends)
+        self._enter(word, state, came, n - 1, n, self.final, self.final_ends)
         out, end = [], n
         while end:
             out.append(state[end])
