@@ -112,7 +112,8 @@ def stages(spark: SparkSession, after: int = -1) -> list[Stage]:
     """Ended stages with a number above `after`, as Spark's own status store has them."""
     sc = spark.sparkContext._jsc.sc()
     sc.listenerBus().waitUntilEmpty(10_000)
-    held, out = sc.statusStore().stageList(None), []
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    held, out = sc.statusStore().stageList(None, False, False, gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList()), []
     for i in range(held.size()):
         s = held.apply(i)
         if s.stageId() <= after or not s.submissionTime().isDefined() or not s.completionTime().isDefined():

@@ -79,7 +79,7 @@ def test_prediction_is_exact_in_rows_and_no_less_in_bytes(toy):
             assert said.rows == vertex.expand(toy, level, last=True).df.count() and said.bytes >= said.rows * 8 * level.k
 
 
-@pytest.mark.parametrize("block", [3, 1000])
+@pytest.mark.parametrize("block", [4, 1000])
 def test_running_values(spark, monkeypatch, block):
     monkeypatch.setattr(numbering, "BLOCK", block)
     rows = spark.range(50).select(F.col("id").alias("n"), (F.col("id") % 7).alias("x"))
