@@ -101,26 +101,11 @@ def graph_page_links(spark, sf_dir):
 _OVERLAP = """
 d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda w: w <> '') AS w FROM documents),
 g AS (SELECT DISTINCT doc_id, array_to_string(list_slice(w, i, i + 7), ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM d WHERE len(w) >= 8)),
-f AS (SELECT g FROM g GROUP BY 1 HAVING count(*) BETWEEN 2 AND 50),
-k AS (SELECT doc_id, g FROM g JOIN f USING (g)),
-e AS (SELECT a.doc_id AS src, b.doc_id AS dst FROM k a JOIN k b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2 HAVING count(*) >= 3)
+e AS (SELECT a.doc_id AS src, b.doc_id AS dst FROM g a JOIN g b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2 HAVING count(*) >= 3)
 """
 
 
 @query(sql(_OVERLAP, select=_EDGES))
 def graph_doc_overlap(spark, sf_dir):
-    """As its SQL says, shingles of more than 50 documents left out."""
-    return load(graphs.document_overlap, spark, sf_dir, most=50).edges.select("src", "dst")
-
-
-_OVERLAP_ALL = """
-d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda w: w <> '') AS w FROM documents),
-g AS (SELECT DISTINCT doc_id, array_to_string(list_slice(w, i, i + 7), ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM d WHERE len(w) >= 8)),
-e AS (SELECT a.doc_id AS src, b.doc_id AS dst FROM g a JOIN g b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2 HAVING count(*) >= 3)
-"""
-
-
-@query(sql(_OVERLAP_ALL, select=_EDGES))
-def graph_doc_overlap_all(spark, sf_dir):
-    """The whole graph: every shared shingle counts, however many documents hold it."""
+    """Every shared shingle counts, however many documents hold it."""
     return load(graphs.document_overlap, spark, sf_dir).edges.select("src", "dst")

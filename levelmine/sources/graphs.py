@@ -150,14 +150,14 @@ def page_links(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph.from_pairs(pairs, labels)
 
 
-def document_overlap(spark: SparkSession, sf_dir: str, shared: int = 3, most: int | None = None) -> PropertyGraph:
-    """Documents that share so many 8-word shingles. With `most`, shingles of more documents than that link nobody.
+def document_overlap(spark: SparkSession, sf_dir: str, shared: int = 3) -> PropertyGraph:
+    """Documents that share so many 8-word shingles.
 
     Documents of equal shingle sets are joined as one and take their copies' edges afterwards."""
     docs = read_table(spark, sf_dir, "documents")
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
     grams = docs.select("doc_id", words.alias("w")).filter(F.size("w") >= 8).select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 8), " ")))).alias("g")).distinct()
-    held = grams.groupBy("g").agg(F.count("*").alias("n")).filter(F.col("n") >= 2 if most is None else F.col("n").between(2, most)).select("g")
+    held = grams.groupBy("g").agg(F.count("*").alias("n")).filter("n >= 2").select("g")
     grams = materialise(grams.join(held, "g"), "shingles")
     sets = grams.groupBy("doc_id").agg(F.count("*").alias("n"), F.xxhash64(F.sort_array(F.collect_list("g"))).alias("h"))
     sets = materialise(sets.withColumn("first", F.min("doc_id").over(Window.partitionBy("h", "n"))).select("doc_id", "first", "n"), "copies")
