@@ -46,12 +46,14 @@ def dropped_late(df: DataFrame) -> int:
 
 
 def with_late(spark: SparkSession, events: DataFrame, seconds: int) -> str:
-    """Two files: all events, then those of the last hour before the newest minus `seconds`, once more, so that they come
-    behind the watermark if `seconds` exceeds its delay by more than an hour."""
+    """Three files: all events, the newest once more, then those of the hour before the newest minus `seconds` once more,
+    so that they come behind the watermark if `seconds` exceeds its delay. The one in between is needed since a batch drops
+    rows by the watermark with which the batch before it began."""
     path = scratch_path(spark, "late_events")
     rows = events.withColumn("ts", F.col("ts").cast("timestamp")).select(*EVENT.fieldNames())
     newest = rows.agg(F.max("ts").alias("m")).first()["m"]
     rows.coalesce(1).write.mode("append").parquet(path)
+    rows.filter(F.col("ts") == F.lit(newest)).coalesce(1).write.mode("append").parquet(path)
     edge = F.lit(newest) - F.expr(f"interval {seconds} seconds")
     rows.filter((F.col("ts") < edge) & (F.col("ts") >= edge - F.expr("interval 1 hour"))).coalesce(1).write.mode("append").parquet(path)
     return path
