@@ -4,7 +4,10 @@ from __future__ import annotations
 
 import datetime
 
-from levelmine.operators import streams
+from pyspark.sql import functions as F
+
+from levelmine.graph.model import PropertyGraph
+from levelmine.operators import relational, streams
 from levelmine.streaming.edges import EVENT
 
 
@@ -14,3 +17,11 @@ def test_late_rows_are_counted_one_by_one(spark, tmp_path):
     rows = [(i % 3, at(m), i, "view", 1.0, None) for i, m in enumerate([-200, -181, -180, -180, -180, -179, -150, -150, -121, -120, -119, -30, 0])]
     spark.createDataFrame(rows, EVENT).write.parquet(f"file://{tmp_path}/events.parquet")
     assert streams.stream_late_rows(spark, f"file://{tmp_path}").first()["dropped"] == 7
+
+
+def test_recursion_beyond_a_million_rows(spark, monkeypatch):
+    hub, n = 5000, 1100
+    pairs = spark.range(n).select(F.col("id").alias("src"), F.lit(hub).alias("dst")).union(spark.range(n).select(F.lit(hub), F.col("id") + hub + 1))
+    graph = PropertyGraph.from_pairs(pairs)
+    monkeypatch.setattr(relational, "_s", lambda spark, sf_dir: graph)
+    assert dict(map(tuple, relational.recursive_paths(spark, "").collect())) == {2: 2 * n, 3: n * n}
