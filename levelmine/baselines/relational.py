@@ -32,6 +32,14 @@ def grow(graph: PropertyGraph, rows: DataFrame, most: int) -> DataFrame:
     return out.filter(F.size("verts") <= most).distinct()
 
 
+def closed(graph: PropertyGraph, rows: DataFrame) -> DataFrame:
+    """One more edge between two vertices that a set has already: as `grow`, without going through their other neighbours."""
+    later = lambda x: F.transform(F.filter("verts", lambda y: y > x), lambda y: F.struct(x.alias("src"), y.alias("dst")))
+    pairs = rows.select("eids", "verts", F.explode(F.flatten(F.transform("verts", later))).alias("p")).select("eids", "verts", "p.src", "p.dst")
+    out = pairs.join(graph.edges.select("src", "dst", "eid"), ["src", "dst"]).filter(~F.array_contains("eids", F.col("eid")))
+    return out.select(F.array_sort(F.concat("eids", F.array("eid"))).alias("eids"), "verts").distinct()
+
+
 def vertex_sets(graph: PropertyGraph, k: int) -> tuple[DataFrame, list[int]]:
     """(verts, eids): the vertex-induced subgraphs of k vertices, as the largest edge set of each vertex set; and the
     rows that each round has made."""
@@ -64,13 +72,10 @@ def cliques(graph: PropertyGraph, k: int) -> DataFrame:
     as many rounds as it has edges. Each round keeps the edge sets that can still become one."""
     rows, edges = materialise(start(graph), "relation"), k * (k - 1) // 2
     for size in range(2, edges + 1):
-        grown = grow(graph, rows, k)
         # vertices of a set in the order in which a clique's edges can come: all pairs of the first ones, then the next
-        full = F.lit(False)
-        for n in range(2, k + 1):
-            if (n - 1) * (n - 2) // 2 < size <= n * (n - 1) // 2:
-                full = F.size("verts") == n
-        rows = materialise(grown.filter(full), "relation")
+        n = next(n for n in range(2, k + 1) if size <= n * (n - 1) // 2)
+        opens = size == (n - 1) * (n - 2) // 2 + 1
+        rows = materialise(grow(graph, rows, n).filter(F.size("verts") == n) if opens else closed(graph, rows), "relation")
     return rows.select(F.col("verts").alias("path"))
 
 

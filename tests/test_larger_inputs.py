@@ -3,11 +3,16 @@
 from __future__ import annotations
 
 import datetime
+import time
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 
+from levelmine.baselines.relational import cliques
 from levelmine.graph.model import PropertyGraph
 from levelmine.operators import relational, streams
+from levelmine.sources.graphs import _nearest_in_block
 from levelmine.streaming.edges import EVENT
 
 
@@ -25,3 +30,23 @@ def test_recursion_beyond_a_million_rows(spark, monkeypatch):
     graph = PropertyGraph.from_pairs(pairs)
     monkeypatch.setattr(relational, "_s", lambda spark, sf_dir: graph)
     assert dict(map(tuple, relational.recursive_paths(spark, "").collect())) == {2: 2 * n, 3: n * n}
+
+
+def test_relational_cliques_beside_a_hub(spark):
+    n = 1500
+    pairs = spark.range(1, n).select(F.lit(0).alias("src"), F.col("id").alias("dst")).union(spark.createDataFrame([(1, 2), (1, 3), (2, 3), (3, 4)], "src long, dst long"))
+    began = time.monotonic()
+    assert [r["path"] for r in cliques(PropertyGraph.from_pairs(pairs), 4).collect()] == [[0, 1, 2, 3]]
+    assert time.monotonic() - began < 90  # every wedge of the hub met all its neighbours before
+
+
+def test_nearest_of_a_block_with_ties():
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.integers(-2, 3, (300, 6)) + 0.5, np.full((40, 6), 0.25)]).astype(np.float32)
+    ids, n = rng.permutation(2 * len(x))[: len(x)], len(x)
+    one = lambda asks: pa.table({"vec_id": ids, "x": pa.array(list(x), pa.list_(pa.float32())), "asks": np.full(n, asks)})
+    got = _nearest_in_block(5)(pa.concat_tables([one(True), one(False)])).to_pandas()
+    u = x.astype(float) / np.sqrt((x.astype(float) ** 2).sum(axis=1, keepdims=True))
+    sim = np.einsum("ij,kj->ik", u, u)
+    want = {(ids[i], ids[j]) for i in range(n) for j in sorted((j for j in range(n) if j != i), key=lambda j: (-sim[i, j], ids[j]))[:5]}
+    assert len(got) == 5 * n and set(zip(got["vec_id"], got["other"], strict=True)) == want
