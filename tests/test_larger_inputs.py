@@ -7,11 +7,14 @@ import time
 
 import numpy as np
 import pyarrow as pa
+import pytest
 from pyspark.sql import functions as F
 
 from levelmine.baselines.relational import cliques
 from levelmine.graph.model import PropertyGraph
-from levelmine.operators import relational, streams
+from levelmine.operators import mining, relational, streams
+from levelmine.pattern import spectral
+from levelmine.pattern.encode import bits_of, matrix
 from levelmine.sources.graphs import _nearest_in_block
 from levelmine.streaming.edges import EVENT
 
@@ -50,3 +53,22 @@ def test_nearest_of_a_block_with_ties():
     sim = np.einsum("ij,kj->ik", u, u)
     want = {(ids[i], ids[j]) for i in range(n) for j in sorted((j for j in range(n) if j != i), key=lambda j: (-sim[i, j], ids[j]))[:5]}
     assert len(got) == 5 * n and set(zip(got["vec_id"], got["other"], strict=True)) == want
+
+
+def test_polynomials_worked_out_by_hand():
+    """Chain, triangle, path, star, cycle, clique of four."""
+    shapes = [(3, [(0, 1), (1, 2)]), (3, [(0, 1), (1, 2), (0, 2)]), (4, [(0, 1), (1, 2), (2, 3)]), (4, [(0, 1), (0, 2), (0, 3)]), (4, [(0, 1), (1, 2), (2, 3), (0, 3)]), (4, [(i, j) for j in range(4) for i in range(j)])]
+    want = [(0, -2, 0), (0, -3, -2), (0, -3, 0, 1), (0, -3, 0, 0), (0, -4, 0, 0), (0, -6, -8, -3)]
+    assert [spectral.charpoly(matrix(k, bits_of(k, edges))) for k, edges in shapes] == want
+
+
+@pytest.mark.parametrize("name", ["charpoly_fixture", "eigenvalue_check"])
+def test_small_graphs_are_read_from_the_lines(spark, tmp_path, name):
+    at = datetime.datetime(2024, 1, 1)
+    lines = [(1, n, at + datetime.timedelta(days=300 * n), "ANR"[n % 3]) for n in (1, 2, 3, 4, 5)] + [(2, n, at, "AN"[n % 2]) for n in (1, 2, 3, 4, 4)] + [(3, n, at, "A") for n in (1, 2, 3)] + [(4, 1, at, "A")]
+    spark.createDataFrame(lines, "l_orderkey long, l_linenumber int, l_shipdate timestamp_ntz, l_returnflag string").write.parquet(f"file://{tmp_path}/lineitem.parquet")
+    got = {(r["labels"], r["bits"]): r for r in getattr(mining, name)(spark, f"file://{tmp_path}").collect()}
+    cycle, diamond, none = ("1-1-1-1", bits_of(4, [(0, 1), (1, 2), (2, 3), (0, 3)])), ("1-1-1-1", bits_of(4, [(0, 1), (0, 2), (1, 2), (1, 3), (2, 3)])), ("1-1-1", 0)
+    assert set(got) == {cycle, diamond, none} and all(r["n"] == 1 for r in got.values())
+    column, want = ("polynomial", ["0.-4.0.0", "0.-5.-4.0", "0.0.0"]) if name == "charpoly_fixture" else ("squares", [8, 10, 0])
+    assert [got[f][column] for f in (cycle, diamond, none)] == want
