@@ -3,6 +3,8 @@ from __future__ import annotations
 import random
 
 import corpus_pipeline
+import numpy as np
+from levelmine.llm import jaccard
 from levelmine.llm.jaccard import near_copies
 from tests.llm.support import LOWER, corpus, frame, space_words
 from tests.llm.test_simhash import Union, fingerprint
@@ -68,3 +70,51 @@ def test_stage_keeps_unlike_texts_under_repeated_and_null_ids(spark):
     rows = [(1, texts[0]), (1, texts[1]), (2, texts[0]), (1, texts[0]), (None, texts[2]), (None, texts[3]), (None, texts[2]), (5, texts[3]), (None, texts[4]), (6, None), (None, "")]
     kept = [(r["doc_id"], r["text"]) for r in corpus_pipeline.drop_near_copies(spark, frame(spark, rows), "").collect()]
     assert sorted(kept, key=str) == sorted([(1, texts[0]), (1, texts[1]), (None, texts[2]), (5, texts[3]), (None, texts[4]), (6, None)], key=str)
+
+
+def test_pairs_of_many_in_pieces(spark, monkeypatch):
+    """Texts that share a beginning and differ in scattered words: all pairs are bounded in tasks, in pieces of three."""
+    monkeypatch.setattr(jaccard, "MANY", 2)
+    monkeypatch.setattr(jaccard, "PIECE", 3)
+    rng = random.Random(8)
+    base = [f"w{i}" for i in range(60)]
+    rows = []
+    for d in range(40):
+        words = list(base)
+        for at in rng.sample(range(20, 60), rng.choice((1, 2, 3, 4))):
+            words[at] = f"x{rng.randrange(12)}"
+        rows.append((d, " ".join(words)))
+    sets = {d: {tuple(t.split()[i : i + 5]) for i in range(56)} for d, t in rows}
+    top = {d: d for d in sets}
+    for a in sets:
+        for b in sets:
+            if a < b and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                top = {d: min(top[a], top[b]) if t in (top[a], top[b]) else t for d, t in top.items()}
+    got: dict[int, set[int]] = {}
+    for d, _, c in map(tuple, near_copies(frame(spark, rows)).collect()):
+        got.setdefault(c, set()).add(d)
+    want: dict[int, set[int]] = {}
+    for d, t in top.items():
+        want.setdefault(t, set()).add(d)
+    assert 1 < len(want) < 40 and sorted(map(sorted, got.values())) == sorted(map(sorted, want.values()))
+
+
+def test_components_do_not_depend_on_the_order_of_shingles(spark, monkeypatch):
+    rng = random.Random(9)
+    base = [f"w{i}" for i in range(80)]
+    rows = []
+    for d in range(30):
+        words = list(base)
+        for at in rng.sample(range(80), rng.choice((1, 2, 3))):
+            words[at] = f"x{rng.randrange(9)}"
+        rows.append((d, " ".join(words)))
+
+    def classes():
+        out: dict[int, list[int]] = {}
+        for d, _, c in sorted(map(tuple, near_copies(frame(spark, rows)).collect())):
+            out.setdefault(c, []).append(d)
+        return sorted(out.values())
+
+    sampled = classes()
+    monkeypatch.setattr(jaccard, "_common", lambda rows, shingle: np.zeros(0, np.uint64))
+    assert classes() == sampled
