@@ -8,8 +8,10 @@ from pyspark.sql import functions as F
 from levelmine.explore.loop import explore
 from levelmine.graph.model import PropertyGraph
 from levelmine.pattern.classify import pattern_counts
+from levelmine.pattern.exact import canonical
 from levelmine.pattern.names import name_of
 from levelmine.session import materialise
+from levelmine.store import packed
 
 
 def motifs(graph: PropertyGraph, k: int, labelled: bool = False, engine: str = "exact", fuse_last: bool = True, strategy: str | None = None) -> DataFrame:
@@ -22,6 +24,15 @@ def motifs(graph: PropertyGraph, k: int, labelled: bool = False, engine: str = "
     return pattern_counts(rows, labelled, engine)
 
 
+def motifs_3(cells: DataFrame, blocks: int) -> DataFrame:
+    """(code, frequency) of three vertices from packed edges, without a row for any of the sets: two edges with a common end
+    are a chain or one of the three corners of a triangle."""
+    spark, n = cells.sparkSession, packed.triangles(cells, blocks)
+    wedges = packed.degrees(cells).agg(F.coalesce(F.sum(F.expr("deg * (deg - 1) div 2")), F.lit(0))).first()[0]
+    counts = [(canonical((1, 1, 1), bits)[0], k) for bits, k in ((3, wedges - 3 * n), (7, n)) if k]
+    return spark.createDataFrame(counts, "code string, frequency long")
+
+
 def named(counts: DataFrame) -> DataFrame:
     """(motif, frequency): shapes without a name keep their code."""
     name = F.udf(lambda c: name_of(c) or c, "string")  # over the few patterns only
