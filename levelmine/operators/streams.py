@@ -11,6 +11,7 @@ from levelmine.session import read_table
 from levelmine.sources import ctes
 from levelmine.sources.ctes import sql
 from levelmine.sources.graphs import load, part_copurchase, user_coactivity
+from levelmine.store import packed
 from levelmine.streaming import edges as st
 from levelmine.streaming.incremental import TriangleCount
 from levelmine.streaming.parts import expand_stream
@@ -18,6 +19,10 @@ from levelmine.streaming.parts import expand_stream
 _HOUR = "SELECT epoch_us(time_bucket(INTERVAL 1 HOUR, ts)) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
 
 
+#: Events of a batch of the stream whose joins keep them in their state.
+_FILE_ROWS = 1_000_000
+
+
 def _events(spark, sf_dir):
     e = read_table(spark, sf_dir, "events")
     return e.withColumn("ts", F.col("ts").cast("timestamp"))
@@ -96,16 +101,16 @@ def stream_duplicates(spark, sf_dir):
 
 @query(sql(ctes.COACTIVE, ctes.SYM, select="SELECT (SELECT count(*) FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst) AS triangles, (SELECT CAST(sum(d * (d - 1) / 2) AS BIGINT) FROM (SELECT count(*) AS d FROM s GROUP BY a)) AS wedges"))
 def stream_triangles(spark, sf_dir):
-    """Triangles and wedges after the last batch of an incremental count."""
-    count = TriangleCount(spark)
-    path = st.spread(spark, _events(spark, sf_dir), 3)
-    from levelmine.session import materialise
-
-    found = materialise(st.drained(st.coactive_bucketed(st.stream(spark, path))), "edges")
-    bounds = found.select(F.expr("percentile_approx(unix_micros(at), array(0.33, 0.66))").alias("q")).first()["q"]
-    at = F.unix_micros("at")
-    for n, part in enumerate((at <= bounds[0], (at > bounds[0]) & (at <= bounds[1]), at > bounds[1])):
-        count.add(found.filter(part).select("src", "dst"), n)
+    """Triangles and wedges after the last batch of an incremental count: three batches, each of the same number of the
+    stream's. A batch of the stream leaves its edges packed, never as rows."""
+    events = _events(spark, sf_dir)
+    rows, users = events.agg(F.count("*"), F.countDistinct("user_id")).first()
+    count = TriangleCount(spark, blocks=packed.block_count(users))
+    files = 3 * max(1, -(-rows // (3 * _FILE_ROWS)))
+    found = st.drained_packed(st.coactive_bucketed(st.stream(spark, st.spread(spark, events, files))), count.blocks)
+    for n in range(3):
+        if part := found[n * len(found) // 3 : (n + 1) * len(found) // 3]:
+            count.add_packed(spark.read.schema(packed.CELL).parquet(*part), n)
     return spark.createDataFrame([(count.triangles, count.wedges)], "triangles long, wedges long")
 
 

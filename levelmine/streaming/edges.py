@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from levelmine.session import scratch_path
+from levelmine.store import packed
 
 EVENT = T.StructType([T.StructField(n, t) for n, t in (("event_id", T.LongType()), ("ts", T.TimestampType()), ("user_id", T.LongType()), ("event_type", T.StringType()), ("value", T.DoubleType()), ("props", T.StringType()))])
 DELAY = "10 minutes"
@@ -121,3 +122,15 @@ def drained(df: DataFrame, mode: str = "append", batch: Callable[[DataFrame, int
 
     writer.foreachBatch(keep).start().awaitTermination()
     return spark.read.schema(T.StructType([*df.schema.fields, T.StructField("batch", T.IntegerType())])).parquet(f"{path}/*")
+
+
+def drained_packed(df: DataFrame, blocks: int) -> list[str]:
+    """Runs a stream of edges over all that is there; each batch writes a folder of packed cells."""
+    path, folders = scratch_path(df.sparkSession, "packed"), {}
+
+    def keep(rows: DataFrame, n: int) -> None:
+        folders[n] = f"{path}/batch_of={n}"
+        packed.merged(packed.packed(rows.select("src", "dst"), blocks)).write.mode("overwrite").parquet(folders[n])
+
+    df.writeStream.outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{path}-state").foreachBatch(keep).start().awaitTermination()
+    return [folders[n] for n in sorted(folders)]

@@ -1,4 +1,4 @@
-"""Triangles and wedges of a growing graph: each batch of edges adds what it closes, by a delta join."""
+"""Triangles and wedges of a growing graph: each batch of edges adds what it closes, on packed edges."""
 
 from __future__ import annotations
 
@@ -6,16 +6,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelmine.session import scratch_path
+from levelmine.store import packed
 
 
 class TriangleCount:
     """Edges, degrees and counts so far, in tables of one folder a batch: (state=N) holds the counts after batch N, the
-    edges that it added and the degrees that it changed. A batch run again after a failure replaces its own folder, and a
+    cells of packed edges that it added and the degrees that it changed. blocks: as many as `packed.block_count` has for the
+    vertices that are to come; a counter goes on with those of its path. A batch run again after a failure replaces its own folder, and a
     counter opened on the same path goes on where the last whole batch ended."""
 
-    def __init__(self, spark: SparkSession, path: str | None = None):
+    def __init__(self, spark: SparkSession, path: str | None = None, blocks: int = 4):
         self.spark, self.path = spark, path or scratch_path(spark, "triangles")
-        self.batches: list[int] = []
+        self.blocks, self.batches = blocks, []
         self.triangles, self.wedges, self.history = 0, 0, []
         folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
         system = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
@@ -26,7 +28,7 @@ class TriangleCount:
                     self.batches.append(int(name.removeprefix("counts=")))
             for n in sorted(self.batches):
                 row = spark.read.parquet(f"{self.path}/counts={n}").first()
-                self.triangles, self.wedges = row["triangles"], row["wedges"]
+                self.triangles, self.wedges, self.blocks = row["triangles"], row["wedges"], row["blocks"]
                 self.history.append((n, self.triangles, self.wedges))
 
     @property
@@ -38,38 +40,34 @@ class TriangleCount:
             return self.spark.createDataFrame([], schema)
         return self.spark.read.schema(schema).parquet(*[f"{self.path}/{kind}={n}" for n in self.batches])
 
+    @property
+    def cells(self) -> DataFrame:
+        return self._parts("cells", packed.CELL)
+
     @property
     def edges(self) -> DataFrame:
-        return self._parts("edges", "src long, dst long")
+        return packed.rows_of(self.cells)
 
     def add(self, pairs: DataFrame, batch: int) -> None:
+        if batch > self.last:
+            self.add_packed(packed.packed(pairs, self.blocks), batch)
+
+    def add_packed(self, pieces: DataFrame, batch: int) -> None:
+        """A batch of edges that are packed in pieces of this counter's blocks."""
         if batch <= self.last:
             return
-        fresh = pairs.filter("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
-        old = self.edges
-        fresh.join(old, ["src", "dst"], "left_anti").write.mode("overwrite").parquet(f"{self.path}/edges={batch}")
-        new = self.spark.read.schema("src long, dst long").parquet(f"{self.path}/edges={batch}")
-        triangles = self.triangles + self._closed(old, new)
-        more = new.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").agg(F.count("*").alias("more"))
+        old = self.cells if self.batches else None
+        packed.merged(pieces, old).write.mode("overwrite").parquet(f"{self.path}/cells={batch}")
+        new = self.spark.read.schema(packed.CELL).parquet(f"{self.path}/cells={batch}")
+        triangles = self.triangles + packed.triangles(new, self.blocks, old)
+        more = packed.degrees(new).withColumnRenamed("deg", "more")
         more.write.mode("overwrite").parquet(f"{self.path}/degrees={batch}")
         more = self.spark.read.parquet(f"{self.path}/degrees={batch}")
         # a vertex that had d neighbours and gets m more has d m + m (m - 1) / 2 more wedges
         had = self._parts("degrees", "v long, more long").join(more.select("v"), "v", "left_semi").groupBy("v").agg(F.sum("more").alias("had"))
         both = more.join(had, "v", "left").select("more", F.coalesce("had", F.lit(0)).alias("had"))
         wedges = self.wedges + (both.agg(F.sum(F.col("had") * F.col("more") + F.expr("more * (more - 1) div 2"))).first()[0] or 0)
-        self.spark.createDataFrame([(triangles, wedges)], "triangles long, wedges long").write.mode("overwrite").parquet(f"{self.path}/counts={batch}")
+        self.spark.createDataFrame([(triangles, wedges, self.blocks)], "triangles long, wedges long, blocks int").write.mode("overwrite").parquet(f"{self.path}/counts={batch}")
         self.batches.append(batch)
         self.triangles, self.wedges = triangles, wedges
         self.history.append((batch, triangles, wedges))
-
-    @staticmethod
-    def _closed(old: DataFrame, new: DataFrame) -> int:
-        """Triangles with a new edge. Each is met once for each of its new edges, so those with two and three of them are
-        counted apart and divided exactly."""
-        tagged = old.withColumn("fresh", F.lit(0)).unionByName(new.withColumn("fresh", F.lit(1)))
-        sym = tagged.unionByName(tagged.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "fresh"))
-        touched = new.select(F.explode(F.array("src", "dst")).alias("src")).distinct()
-        near = sym.join(touched, "src", "left_semi")  # only what is next to a new edge
-        a, b = near.toDF("src", "w", "na"), near.toDF("dst", "w", "nb")
-        found = new.join(a, "src").join(b, ["dst", "w"]).groupBy((1 + F.col("na") + F.col("nb")).alias("fresh")).agg(F.count("*").alias("n"))
-        return sum(r["n"] // r["fresh"] for r in found.collect())  # three rows at most

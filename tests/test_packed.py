@@ -10,10 +10,11 @@ import time
 
 import pytest
 
-from levelmine.operators import mining
+from levelmine.operators import mining, streams
 from levelmine.sources.graphs import coactive_cells
 from levelmine.store import packed
 from levelmine.streaming.edges import EVENT
+from levelmine.streaming.incremental import TriangleCount
 
 START = datetime.datetime(2024, 1, 1)
 
@@ -76,3 +77,24 @@ def test_motifs_of_many_users_at_one_instant(spark, tmp_path):
 
 def test_motifs_without_an_edge(spark, tmp_path):
     assert mining.motif_3_coactivity(spark, events(spark, tmp_path, [(1, 0), (1, 3), (2, 100)])).count() == 0
+
+
+def test_stream_of_many_users_at_one_instant(spark, tmp_path):
+    n = 1200
+    sf_dir = events(spark, tmp_path, [(u, 0) for u in range(n)] + [(n + k, 600 * k) for k in range(1, 90)] + [(k, 3000) for k in range(40)])
+    began = time.monotonic()
+    got = streams.stream_triangles(spark, sf_dir).first()
+    assert tuple(got) == (math.comb(n, 3) + math.comb(40, 2), n * math.comb(n - 1, 2) + 40 * (n - 1) + math.comb(40, 2))
+    assert time.monotonic() - began < 120  # a row for each of 2.9e8 triangles, three times, before
+
+
+def test_incremental_counts_in_blocks(spark):
+    rng = random.Random(6)
+    pairs = [tuple(rng.sample(range(60), 2)) for _ in range(900)]
+    count, whole = TriangleCount(spark, blocks=3), set()
+    for n in range(3):
+        part = pairs[200 * n : 200 * n + 300]
+        count.add(spark.createDataFrame(part, "src long, dst long"), n)
+        whole |= {(min(p), max(p)) for p in part}
+        assert (count.triangles, count.wedges) == triangles(whole)
+    assert {tuple(r) for r in count.edges.collect()} == whole
