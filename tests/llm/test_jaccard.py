@@ -118,3 +118,30 @@ def test_components_do_not_depend_on_the_order_of_shingles(spark, monkeypatch):
     sampled = classes()
     monkeypatch.setattr(jaccard, "_common", lambda rows, shingle: np.zeros(0, np.uint64))
     assert classes() == sampled
+
+
+def test_few_pairs_are_verified_for_components_with_many_between_them(spark, monkeypatch):
+    """Copies with scattered edits, which the stars leave in several components: one pair between two of them comes first."""
+    verified = []
+    real = jaccard.materialise
+
+    def counted(df, name="table"):
+        out = real(df, name)
+        if name == "verified":
+            verified.append(out.count())
+        return out
+
+    monkeypatch.setattr(jaccard, "materialise", counted)
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(100)]
+    rows = []
+    for d in range(160):
+        words = list(base)
+        for at in rng.sample(range(30, 100), rng.choice((1, 2, 3))):
+            words[at] = f"x{rng.randrange(10**6)}"
+        rows.append((d, " ".join(words)))
+    got: dict[int, set[int]] = {}
+    for d, _, c in map(tuple, near_copies(frame(spark, rows)).collect()):
+        got.setdefault(c, set()).add(d)
+    assert {frozenset(g) for g in got.values()} == {frozenset(g) for g in brute(rows).values()}
+    assert 0 < sum(verified[2:]) < len(rows)
