@@ -2,8 +2,9 @@
 return at once or after a few words add a token for that, as a vector of each repeated word alone would not generalise.
 
 Training runs in numpy on the driver on a sample of labelled documents whose size is bounded by SAMPLE_ROWS and
-SAMPLE_BYTES; everything else reads all rows. As the layers are linear, a trained model folds into one number per hash bucket, so scoring looks
-up and averages numbers; that table of fixed size goes to the tasks.
+SAMPLE_BYTES; the sample's features lie in a temporary file of the driver. Everything else reads all rows. As the layers
+are linear, a trained model folds into one number per hash bucket, so scoring looks up and averages numbers; that table of
+fixed size goes to the tasks.
 
 Defined results. Null text scores as empty: the bias alone. Without any labels every score is 0.5.
 Rows that repeat are scored each by itself. An empty table has no scores. A long text's features are made whole, in one
@@ -12,7 +13,8 @@ task, whose memory is a small multiple of the text.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import tempfile
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +29,8 @@ SAMPLE_ROWS, SAMPLE_BYTES = 4000, 64 << 20
 BITS, DIM, RATE, SEED = 18, 8, 8.0, 11
 #: Steps of training in all; the number of epochs follows from it.
 STEPS = 24_000
+#: Texts of the sample whose features are made at once.
+_TEXTS_AT_ONCE = 32
 GRAMS = (3, 5)
 #: Words that return within so many words have a token of their own.
 RETURN_MOST = 4
@@ -93,41 +97,74 @@ class Model:
         return 1 / (1 + np.exp(-(out + self.bias)))
 
 
-def _sample_features(texts: list[str | None], size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct buckets of each text, their shares, and where each text's begin: three flat arrays, freed as a whole."""
-    found, share, edge = [], [], [0]
-    for lo in range(0, len(texts), 200):
-        for _, _, kinds in features(pa.array(texts[lo : lo + 200], pa.large_string())):
-            here, parts = [], []
-            for r in range(len(kinds[0][1]) - 1):
-                bucket, count = np.unique(np.concatenate([b[p[r] : p[r + 1]] for b, p in kinds]), return_counts=True)
-                here.append(bucket.astype(np.int32))
-                parts.append((count / max(1, count.sum())).astype(np.float32))
-                edge.append(edge[-1] + len(bucket))
-            found.append(np.concatenate(here))
-            share.append(np.concatenate(parts))
-    return np.concatenate(found), np.concatenate(share), np.array(edge)
+class _Texts(Sequence):
+    """A column's texts, made as they are asked for."""
 
+    def __init__(self, column: pa.ChunkedArray):
+        self.column = column
 
-def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
+    def __len__(self) -> int:
+        return len(self.column)
+
+    def __getitem__(self, at):
+        got = self.column[at]
+        return got.to_pylist() if isinstance(at, slice) else got.as_py()
+
+
+class _SampleFeatures:
+    """Distinct buckets of each text and their shares, in a file of the driver that has no name: training asks for one
+    text's at a time, so that the driver's memory does not grow with the sample."""
+
+    def __init__(self, texts: Sequence[str | None]):
+        self.file, self.edge = tempfile.TemporaryFile(buffering=0), [0]
+        with open(self.file.fileno(), "wb", closefd=False) as out:
+            for lo in range(0, len(texts), _TEXTS_AT_ONCE):
+                for _, _, kinds in features(pa.array(texts[lo : lo + _TEXTS_AT_ONCE], pa.large_string())):
+                    for r in range(len(kinds[0][1]) - 1):
+                        bucket, count = np.unique(np.concatenate([b[p[r] : p[r + 1]] for b, p in kinds]), return_counts=True)
+                        out.write(bucket.astype(np.int32).tobytes())
+                        out.write((count / max(1, count.sum())).astype(np.float32).tobytes())
+                        self.edge.append(self.edge[-1] + len(bucket))
+
+    def __len__(self) -> int:
+        return len(self.edge) - 1
+
+    def __getitem__(self, k: int) -> tuple[np.ndarray, np.ndarray]:
+        n = self.edge[k + 1] - self.edge[k]
+        self.file.seek(8 * self.edge[k])
+        both = np.empty(2 * n, np.int32)
+        room = both.view(np.uint8)
+        while len(room):
+            if not (got := self.file.readinto(room)):
+                raise EOFError("the sample's features end too early")
+            room = room[got:]
+        return both[:n], both[n:].view(np.float32)
+
+    def close(self) -> None:
+        self.file.close()
+
+
+def train(texts: Sequence[str | None], label: np.ndarray, steps: int = STEPS, seed: int = SEED) -> Model:
     """Per-document steps over shuffled epochs; bucket vectors step by their own gathered gradients."""
     size = _TABLE
     if not len(texts):
         return Model(np.zeros(size), 0.0)
     rng = np.random.default_rng(seed)
-    found, share, edge = _sample_features(texts, size)
-    vectors = rng.normal(0, 0.1, (size, DIM)).astype(np.float32)
+    sample = _SampleFeatures(texts)
+    vectors = np.empty((size, DIM), np.float32)
+    for lo in range(0, size, 1 << 16):  # in pieces, as the generator makes doubles
+        vectors[lo : lo + (1 << 16)] = rng.normal(0, 0.1, (min(1 << 16, size - lo), DIM))
     gathered = np.full(size, 1e-8, np.float32)
     top = np.zeros((DIM, 2), np.float32)
     top[:, 0], top[:, 1] = -0.5, 0.5
     top += rng.normal(0, 0.1, top.shape)
     bias = np.log(np.maximum(np.bincount(label, minlength=2), 1) / len(label)).astype(np.float32)
-    n = len(edge) - 1
+    n = len(sample)
     epochs = min(60, max(4, -(-steps // n)))
     for epoch in range(epochs):
         rate = RATE * (1 - epoch / epochs)
         for k in rng.permutation(n):
-            bucket, part = found[edge[k] : edge[k + 1]], share[edge[k] : edge[k + 1]]
+            bucket, part = sample[k]
             if not len(bucket):
                 continue
             mean = part @ vectors[bucket]
@@ -139,6 +176,7 @@ def train(texts: list[str | None], label: np.ndarray, steps: int = STEPS, seed:
             top -= 0.05 * rate * np.outer(mean, error)
             gathered[bucket] += part * part * (back @ back) / DIM
             vectors[bucket] -= (0.2 * rate * part / np.sqrt(gathered[bucket]))[:, None] * back
+    sample.close()
     edge = top[:, 1] - top[:, 0]
     return Model((vectors @ edge).astype(np.float64), float(bias[1] - bias[0]))
 
@@ -160,7 +198,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, samp
     if len(fits) < len(sizes):
         rows = rows.join(F.broadcast(rows.sparkSession.createDataFrame(fits, rows.select("doc_id").schema)), "doc_id", "left_semi")
     got = rows.select("doc_id", "text", "quality").toArrow().sort_by("doc_id")
-    model = train(got["text"].to_pylist(), got["quality"].to_numpy().astype(np.int64))
+    model = train(_Texts(got["text"]), got["quality"].to_numpy().astype(np.int64))
     del got
     give_back()
     return model

@@ -1,6 +1,7 @@
 from __future__ import annotations
 
 import random
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -86,3 +87,27 @@ def test_sample_is_bounded_in_bytes(spark, monkeypatch):
     quality.fit(docs, labels, sample_bytes=1200)
     quality.fit(docs, labels)
     assert seen[0] and sum(seen[0]) <= 1200 and max(seen[0]) == 100 and len(seen[1]) > 40
+
+
+def test_memory_of_training_does_not_grow_with_the_sample():
+    def peak(texts):
+        tracemalloc.start()
+        quality.train(texts, np.arange(len(texts)) % 2, steps=1)
+        try:
+            return tracemalloc.get_traced_memory()[1]
+        finally:
+            tracemalloc.stop()
+
+    rng = random.Random(5)
+    texts = ["".join(rng.choices("abcdefghijklmnop ", k=40_000)) for _ in range(130)]
+    few, many = peak(texts[:10]), peak(texts)
+    assert many - few < 1_000_000 and many < 60_000_000  # features held in arrays: 10 MB more, and 121 MB
+
+
+def test_texts_without_features_train_as_before():
+    texts = [None, "good words here", "", "bad!! words!! here!!"] * 5
+    model = quality.train(texts, np.array([1, 1, 0, 0] * 5))
+    other = quality.train(quality._Texts(pa.chunked_array([texts[:3], texts[3:]])), np.array([1, 1, 0, 0] * 5))
+    assert np.array_equal(model.weight, other.weight) and model.bias == other.bias
+    good, bad, none = model.scores(pa.array(["good words here", "bad!! words!! here!!", None]))
+    assert good > 0.9 and bad < 0.1 and 0 < none < 1
