@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from levelmine.explore import edge, vertex
 from levelmine.explore.vertex import EFilter, Level
 from levelmine.graph.model import PropertyGraph
+from levelmine.graph.pendant import fold
 from levelmine.plans.planner import Plan, plan
 from levelmine.session import materialise
 
@@ -74,8 +75,14 @@ def embeddings(graph: PropertyGraph, k: int, mode: str = "vertex", efilter: EFil
 
 
 def level_sizes(graph: PropertyGraph, k: int, mode: str = "vertex") -> DataFrame:
-    """(k, n): rows of each level; an empty level ends the exploration, and the larger sizes have no rows."""
-    spark = graph.edges.sparkSession
-    sizes = [(level.k, level.df.count()) for level in explore(graph, k, mode, until=lambda x: x.df.isEmpty())]
-    sizes += [(i, 0) for i in range(len(sizes) + 1, k + 1)]
-    return spark.createDataFrame(sizes, "k int, n long")
+    """(k, n): rows of each level; an empty level ends the exploration, and the larger sizes are 0.
+
+    Of vertices, trees are folded first: what remains is explored, and a row counts for all the sets that it stands for."""
+    spark, sizes = graph.edges.sparkSession, [0] * k
+    whole = fold(graph, k) if mode == "vertex" else None
+    if whole is not None:
+        graph, sizes = whole.graph, list(whole.inside)
+    for level in explore(graph, k, mode, until=lambda x: x.df.isEmpty()):
+        for i, n in enumerate(whole.stands_for(level.df, level.k) if whole is not None else [level.df.count()], level.k - 1):
+            sizes[i] += n
+    return spark.createDataFrame(list(enumerate(sizes, 1)), "k int, n long")

@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 import datetime
+import math
+import random
 import time
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -11,6 +14,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from levelmine.baselines.relational import cliques
+from levelmine.explore import loop
 from levelmine.graph.model import PropertyGraph
 from levelmine.operators import mining, relational, streams
 from levelmine.pattern import spectral
@@ -43,6 +47,32 @@ def test_relational_cliques_beside_a_hub(spark):
     assert time.monotonic() - began < 90  # every wedge of the hub met all its neighbours before
 
 
+def test_sizes_of_levels_beside_a_hub(spark):
+    """A hub of n leaves with a triangle behind it: the sets are counted, for no level of them can be made."""
+    n, k = 500, 7
+    pairs = spark.range(3, n + 3).select(F.lit(0).alias("src"), F.col("id").alias("dst")).union(spark.createDataFrame([(0, 1), (0, 2), (1, 2)], "src long, dst long"))
+    # sets with the hub have any of the other two and any leaves; without it there are 1, 2, 1-2 and the leaves alone
+    want = [math.comb(n + 2, i) + (n + 2 if i == 0 else int(i == 1)) for i in range(k)]
+    assert [r["n"] for r in loop.level_sizes(PropertyGraph.from_pairs(pairs), k).orderBy("k").collect()] == want
+
+
+@pytest.mark.parametrize("seed, edges", [(1, 9), (2, 11), (3, 13)])
+def test_sizes_of_levels_of_trees_and_cycles(spark, seed, edges):
+    pairs = random.Random(seed).sample(list(combinations(range(12), 2)), edges)
+
+    def linked(some):
+        seen, todo = set(), [some[0]]
+        while todo:
+            seen.add(v := todo.pop())
+            todo += [w for p in pairs if v in p for w in p if w in some and w not in seen]
+        return len(seen) == len(some)
+
+    at = sorted({v for p in pairs for v in p})
+    want = [sum(map(linked, combinations(at, i))) for i in range(1, 7)]
+    graph = PropertyGraph.from_pairs(spark.createDataFrame(pairs, "src long, dst long"))
+    assert [r["n"] for r in loop.level_sizes(graph, 6).orderBy("k").collect()] == want
+
+
 def test_nearest_of_a_block_with_ties():
     rng = np.random.default_rng(5)
     x = np.concatenate([rng.integers(-2, 3, (300, 6)) + 0.5, np.full((40, 6), 0.25)]).astype(np.float32)
