@@ -13,6 +13,8 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from levelmine.apps.motif import motifs, named
+from levelmine.baselines import relational as baseline
 from levelmine.baselines.relational import cliques
 from levelmine.explore import loop
 from levelmine.graph.model import PropertyGraph
@@ -47,6 +49,24 @@ def test_relational_cliques_beside_a_hub(spark):
     assert time.monotonic() - began < 90  # every wedge of the hub met all its neighbours before
 
 
+def test_relational_motifs_beside_a_hub(spark, monkeypatch):
+    monkeypatch.setattr(baseline, "PAIRS", 5000)  # the hub's sets are dealt to many pieces
+    n = 250
+    pairs = spark.range(1, n + 1).select(F.lit(0).alias("src"), F.col("id").alias("dst")).union(spark.createDataFrame([(1, 2), (1, 3), (2, 3), (3, 4)], "src long, dst long"))
+    began = time.monotonic()
+    got = dict(map(tuple, named(baseline.motifs(PropertyGraph.from_pairs(pairs), 4, "exact")).collect()))
+    one = 4 * (n - 2) - 2 * 2 - 3  # threes beside the hub that hold one of the four edges; two hold two, one holds three
+    assert got == {"star": math.comb(n, 3) - one - 3, "tailed_triangle": one + 1, "diamond": 2, "clique": 1}
+    assert time.monotonic() - began < 120  # every star met all neighbours of the hub once more before
+
+
+@pytest.mark.parametrize("k, n, edges", [(3, 14, 30), (4, 9, 24), (4, 14, 26), (5, 9, 14)])
+def test_relational_motifs_of_random_graphs(spark, k, n, edges):
+    pairs = random.Random(k * n).sample(list(combinations(range(n), 2)), edges)
+    graph = PropertyGraph.from_pairs(spark.createDataFrame(pairs, "src long, dst long"))
+    assert sorted(map(tuple, baseline.motifs(graph, k, "exact").collect())) == sorted(map(tuple, motifs(graph, k).collect()))
+
+
 def test_sizes_of_levels_beside_a_hub(spark):
     """A hub of n leaves with a triangle behind it: the sets are counted, for no level of them can be made."""
     n, k = 500, 7
