@@ -44,14 +44,9 @@ def grow(graph: PropertyGraph, rows: DataFrame, most: int) -> DataFrame:
 
 
 def closed(graph: PropertyGraph, rows: DataFrame) -> DataFrame:
-    """One more edge between two vertices that a set has already: as `grow`, without going through their other neighbours.
-    loose, if rows have it: vertices that the edge must take up."""
+    """One more edge between two vertices that a set has already: as `grow`, without going through their other neighbours."""
     later = lambda x: F.transform(F.filter("verts", lambda y: y > x), lambda y: F.struct(x.alias("src"), y.alias("dst")))
-    ends = F.flatten(F.transform("verts", later))
-    if "loose" in rows.columns:
-        taken = lambda p: F.forall("loose", lambda x: (x == p["src"]) | (x == p["dst"]))
-        ends = F.filter(ends, taken)
-    pairs = rows.select("eids", "verts", F.explode(ends).alias("p")).select("eids", "verts", "p.src", "p.dst")
+    pairs = rows.select("eids", "verts", F.explode(F.flatten(F.transform("verts", later))).alias("p")).select("eids", "verts", "p.src", "p.dst")
     out = pairs.join(graph.edges.select("src", "dst", "eid"), ["src", "dst"]).filter(~F.array_contains("eids", F.col("eid")))
     return out.select(F.sort_array(F.concat("eids", F.array("eid"))).alias("eids"), "verts").distinct()
 
@@ -105,15 +100,17 @@ def _hung(graph: PropertyGraph, rows: DataFrame, most: int | None = None) -> Dat
 
 
 def _as_sets(hung: DataFrame) -> DataFrame:
-    """(eids, verts, loose) of hung rows; loose: the vertices that hang."""
+    """(eids, verts) of hung rows."""
     grown = lambda c, x: F.sort_array(F.concat(c, F.array(x)))
-    return hung.select(grown("eids", "eid").alias("eids"), grown("verts", "v").alias("verts"), F.concat("others", F.array("v")).alias("loose"))
+    return hung.select(grown("eids", "eid").alias("eids"), grown("verts", "v").alias("verts"))
 
 
 def _ringed(graph: PropertyGraph, hung: DataFrame) -> DataFrame:
-    """Of hung rows in which two vertices hang, those whose two are an edge, with it: no row is a set before that is known."""
-    other = F.col("others")[0]
-    at = hung.withColumns({"src": F.least(other, "v"), "dst": F.greatest(other, "v")})
+    """Of hung rows in which at most two vertices hang, the sets with one more edge in which none does: from v to the other
+    one, or to any vertex. No row is a set before it is known that there is such an edge."""
+    away = F.filter("verts", lambda _, q: q != F.col("p"))
+    at = hung.withColumn("y", F.explode(F.when(F.size("others") == 1, F.col("others")).otherwise(away)))
+    at = at.withColumns({"src": F.least("y", "v"), "dst": F.greatest("y", "v")})
     both = at.join(graph.edges.select("src", "dst", F.col("eid").alias("last")), ["src", "dst"])
     eids, verts = F.concat("eids", F.array("eid", "last")), F.concat("verts", F.array("v"))
     return both.select(F.sort_array(eids).alias("eids"), F.sort_array(verts).alias("verts")).distinct()
@@ -139,21 +136,18 @@ def raw_sets(graph: PropertyGraph, k: int) -> dict[int, int]:
     open_, cyclic, counts, made, ringed = materialise(start(graph), "relation"), [], Counter(), [], []
     widest = (k - 1) * (k - 2) // 2  # edges of an open set, one of fewer than k vertices, at most
     for size in range(2, k * (k - 1) // 2 + 1):
-        now, ringed = ringed + [closed(graph, x) for x in made], []
-        now = [materialise(functools.reduce(DataFrame.unionByName, now).distinct(), "closed")] if now else []
-        cyclic += now
-        made = [x.withColumn("loose", F.array().cast("array<bigint>")) for x in now]
+        made = ringed + [closed(graph, x) for x in made]
+        made = [materialise(functools.reduce(DataFrame.unionByName, made).distinct(), "closed")] if made else []
+        cyclic, ringed = cyclic + made, []
         last = open_.filter(F.size("verts") == k - 1) if size - 1 <= widest else None
         if last is not None and not last.isEmpty():
             shaped = materialise(_shaped(graph, last), "shaped")
             if size == k - 1:
                 for r in _hung(graph, shaped).groupBy("bits", "p").agg(F.count("*").alias("n")).collect():
                     counts[r["bits"] | 1 << bit(r["p"], k - 1)] += r["n"]
-                ringed = [_ringed(graph, _hung(graph, shaped, most=2))]
             else:
-                hung = materialise(_as_sets(_hung(graph, shaped)), "hung")
-                cyclic.append(hung.select("eids", "verts"))
-                made.append(hung.filter(F.size("loose") <= 2))
+                cyclic.append(materialise(_as_sets(_hung(graph, shaped)), "hung"))
+            ringed = [_ringed(graph, _hung(graph, shaped, most=2))]
         if size <= widest:
             more = grow(graph, open_.filter(F.size("verts") < k - 1), k - 1)
             open_ = materialise(more.unionByName(closed(graph, last)).distinct(), "relation")
